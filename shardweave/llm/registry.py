@@ -7,8 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from shardweave.llm import jump, mixing, pseudonyms, rules, warc
-from shardweave.llm.sql import MIXING_SQL, RULES_SQL, WARC_SQL
+from shardweave.llm import balltree, jump, mixing, pseudonyms, rules, simhash, warc
+from shardweave.llm.sql import BALLTREE_SQL, MIXING_SQL, RULES_SQL, WARC_SQL
 from shardweave.llm.textcols import table
 
 SHARDS = 40
@@ -19,6 +19,15 @@ def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(docs).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = simhash.classes(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return found.select(F.col("id").alias("doc_id"), simhash.hexadecimal().alias("fingerprint"), "component_id")
+
+
+def op3_balltree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return balltree.top_k(table(spark, sf_dir, "embeddings").select("vec_id", "embedding"), F.col("vec_id") % 50 == 0)
+
+
 def op5_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.digest(warc.round_trip(table(spark, sf_dir, "pages")))
 
@@ -43,10 +52,12 @@ def op10_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mixing": op1_mixing,
+    "op2_simhash": op2_simhash,
+    "op3_balltree": op3_balltree,
     "op5_warc": op5_warc,
     "op6_rules": op6_rules,
     "op9_jump": op9_jump,
     "op10_pseudonyms": op10_pseudonyms,
 }
 
-ORACLES: dict[str, str] = {"op1_mixing": MIXING_SQL, "op5_warc": WARC_SQL, "op6_rules": RULES_SQL}
+ORACLES: dict[str, str] = {"op1_mixing": MIXING_SQL, "op3_balltree": BALLTREE_SQL, "op5_warc": WARC_SQL, "op6_rules": RULES_SQL}
