@@ -83,7 +83,7 @@ def resident(edges: DataFrame, vectors: DataFrame, queries: DataFrame, entries:
     lists = edges.groupBy("src").agg(F.collect_list("dst").alias("to"))
     rows = v.join(lists, v["vec_id"] == lists["src"], "left").join(F.broadcast(entries.select("index_id", "ep")), F.col("part") == F.col("index_id"))
     shard = rows.select(F.col("part").cast("int").alias("target"), "vec_id", "x", F.coalesce("to", F.array().cast("array<long>")).alias("to"), "ep")
-    ask = ask.select(F.col("target").cast("int").alias("target"), F.col("vec_id").alias("q_id"), "x")
+    ask = ask.select(F.col("target").cast("int").alias("target"), F.col("vec_id").alias("q_id"), F.col("x").alias("qx"))
 
     def run(graph: pa.Table, some: pa.Table) -> pa.Table:
         names = ["q_id", "index_id", "rank", "vec_id", "dist", "ndc", "hops"]
@@ -96,7 +96,7 @@ def resident(edges: DataFrame, vectors: DataFrame, queries: DataFrame, entries:
         entry = int(np.searchsorted(own.ids, graph.column("ep")[0].as_py()))
         target = graph.column("target")[0].as_py()
         out = []
-        for q, x in zip(some.column("q_id").to_pylist(), distance.matrix(some.column("x")), strict=True):
+        for q, x in zip(some.column("q_id").to_pylist(), distance.matrix(some.column("qx")), strict=True):
             found, ndc, hops = own.beam(x, entry, pool)
             out += [(q, target, r + 1, int(own.ids[v]), d, ndc, hops) for r, (d, v) in enumerate(found[:k])]
         columns = list(zip(*out, strict=True)) or [[]] * 7

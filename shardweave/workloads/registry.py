@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from shardweave.workloads import core
+from shardweave.workloads import core, experiments, relational
 
-QUERIES = {**core.QUERIES}
-ORACLES: dict[str, str] = {**core.ORACLES}
+QUERIES = {**core.QUERIES, **relational.QUERIES, **experiments.QUERIES}
+ORACLES: dict[str, str] = {**core.ORACLES, **relational.ORACLES}
