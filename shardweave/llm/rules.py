@@ -70,13 +70,17 @@ def _tagged(h: Column) -> Column:
 
 
 def _positions(tagged: Column) -> Column:
-    """Ascending start positions of windows that occur twice or more. ``tagged`` is a column, so lambdas don't sort anew."""
+    """Ascending start positions of windows that occur twice or more."""
 
-    def repeated(x: Column, j: Column) -> Column:
-        before, after = F.get(tagged, j - 1).h, F.get(tagged, j + 1).h
-        return F.coalesce(x.h == before, F.lit(False)) | F.coalesce(x.h == after, F.lit(False))
+    def of(t: Column) -> Column:
+        def repeated(x: Column, j: Column) -> Column:
+            before, after = F.get(t, j - 1).h, F.get(t, j + 1).h
+            return F.coalesce(x.h == before, F.lit(False)) | F.coalesce(x.h == after, F.lit(False))
 
-    return F.array_sort(F.transform(F.filter(tagged, repeated), lambda x: x.i))
+        return F.array_sort(F.transform(F.filter(t, repeated), lambda x: x.i))
+
+    # A lambda's variable is worked out once, even where the optimiser inlines the column.
+    return F.get(F.transform(F.array(tagged), of), F.lit(0))
 
 
 def _covered(at: Column) -> Column:
@@ -96,7 +100,8 @@ def measures(df: DataFrame, text: str = "text") -> DataFrame:
     out = out.withColumn("_at", _positions(F.col("_tagged")))
     w = F.col("_w")
     counts = {
-        "n_words": F.size(w),
+        # Always true, but not deterministic: filters on the verdict stay above this projection and don't repeat it.
+        "n_words": F.when(F.spark_partition_id() >= 0, F.size(w)),
         "word_chars": F.length(F.array_join(w, "")),
         "n_symbols": F.length(F.regexp_replace(t, r"[^#*$%&|<>]+", "")),
         "n_lines": F.size("_lines"),
