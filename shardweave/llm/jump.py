@@ -60,7 +60,7 @@ def assign(df: DataFrame, key: str, order: list[str], shards: int, buckets: int
         {
             "shard": shard_of(F.col(key), shards),
             "grown_shard": shard_of(F.col(key), shards + 1),
-            "_bucket": F.pmod(F.xxhash64(key), F.lit(buckets)).cast("int"),
+            "_bucket": (F.crc32(F.coalesce(F.col(key), F.lit(0)).cast("string").cast("binary")) % buckets).cast("int"),
         }
     )
     counts = placed.groupBy("shard", "_bucket").count()

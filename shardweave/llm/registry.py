@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from shardweave.llm import balltree, crf, jump, kneser_ney, mixing, pieces, pseudonyms, rules, simhash, warc
-from shardweave.llm.sql import BALLTREE_SQL, MIXING_SQL, RULES_SQL, WARC_SQL
+from shardweave.llm.sql import BALLTREE_SQL, JUMP_SQL, MIXING_SQL, RULES_SQL, WARC_SQL
 from shardweave.llm.textcols import table
 
 SHARDS = 40
@@ -90,4 +90,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_pseudonyms": op10_pseudonyms,
 }
 
-ORACLES: dict[str, str] = {"op1_mixing": MIXING_SQL, "op3_balltree": BALLTREE_SQL, "op5_warc": WARC_SQL, "op6_rules": RULES_SQL}
+ORACLES: dict[str, str] = {"op1_mixing": MIXING_SQL, "op3_balltree": BALLTREE_SQL, "op5_warc": WARC_SQL, "op6_rules": RULES_SQL, "op9_jump": JUMP_SQL}

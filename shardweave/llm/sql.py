@@ -92,3 +92,32 @@ WITH v AS (
 )
 SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 5
 """
+
+
+def _crc32(digits: str) -> str:
+    """The checksum of hexadecimal bytes in DuckDB, byte by byte; ``tab`` must be in scope."""
+    start = f"list_transform(range(length({digits}) // 2), lambda i: ('0x' || substr({digits}, 2 * i + 1, 2))::BIGINT)"
+    return f"xor(list_reduce(list_prepend(4294967295::BIGINT, {start}), lambda a, x: xor(a >> 8, tab[(xor(a, x) & 255) + 1])), 4294967295)"
+
+
+JUMP_SQL = f"""
+WITH RECURSIVE t AS (
+  SELECT list(v ORDER BY n) AS tab FROM (
+    SELECT n, list_reduce(list_prepend(n, range(8)), lambda c, k: CASE WHEN c & 1 = 1 THEN xor(c >> 1, 3988292384) ELSE c >> 1 END) AS v
+    FROM (SELECT unnest(range(256)) AS n))
+), h AS MATERIALIZED (
+  SELECT doc_id, hex(encode(coalesce(text, ''))) AS of_text, hex(encode(coalesce(doc_id, 0)::VARCHAR)) AS of_id FROM documents
+), d AS (
+  SELECT doc_id, length(of_text) // 2 + 16 AS size, {_crc32("of_text")} AS text_crc32, {_crc32("of_id")} % 1024 AS bucket FROM h, t
+), j AS (
+  SELECT doc_id, n, doc_id::HUGEINT AS key, -1::BIGINT AS b, 0::BIGINT AS ahead FROM (SELECT DISTINCT doc_id FROM documents), (VALUES (40), (41)) AS s(n)
+  UNION ALL
+  SELECT doc_id, n, next, ahead, floor((ahead + 1) * (2147483648::DOUBLE / ((next // 8589934592) + 1)::DOUBLE))::BIGINT
+  FROM (SELECT *, (key * 2862933555777941757 + 1) % 18446744073709551616::HUGEINT AS next FROM j WHERE ahead < n)
+), g AS (
+  SELECT doc_id, max(b) FILTER (n = 40)::INTEGER AS shard, max(b) FILTER (n = 41)::INTEGER AS grown_shard FROM j GROUP BY doc_id
+)
+SELECT doc_id, size::BIGINT AS size, text_crc32::BIGINT AS text_crc32, 'key' AS law, shard, grown_shard,
+  row_number() OVER (PARTITION BY shard ORDER BY bucket, doc_id, size, text_crc32) - 1 AS slot
+FROM d JOIN g USING (doc_id)
+"""
