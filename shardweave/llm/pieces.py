@@ -19,19 +19,23 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
-from itertools import chain
 
+import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 SPACE = "▁"
 WORD = rf"{SPACE}*[^{SPACE}\n]+|\n|{SPACE}+"
 #: Bounds: words in the broadcast dictionary, pieces of a model.
 DICTIONARY, PIECES = 200_000, 1_000_000
+#: Rarer words that a task keeps at a time.
+KEPT = 400_000
 PENALTY = 10.0
 #: Back pointers of a word are kept in blocks, so that a very long word is not copied at every step.
 BLOCK = 256
+#: Characters of text that one output batch holds the ids of.
+SLICE = 4 << 20
 
 
 class Pieces:
@@ -40,6 +44,9 @@ class Pieces:
     def __init__(self, score: dict[str, tuple[float, int]], raw: dict[int, bytes], byte_ids: dict[int, int], unknown: int):
         self.score, self.raw, self.byte_ids, self.unknown = score, raw, byte_ids, unknown
         self.longest = max(map(len, score), default=1)
+        #: Score, id and whether a longer piece goes on, for every piece and (id -1) every other beginning of one.
+        begun = {p[:i] for p in score for i in range(1, len(p))}
+        self.step = {p: (*score.get(p, (0.0, -1)), p in begun) for p in begun | score.keys()}
         self.floor = min((s for s, _ in score.values()), default=0.0) - PENALTY
 
     def spell(self, char: str) -> tuple[int, ...]:
@@ -154,29 +161,31 @@ def viterbi(edges: Column, longest: int) -> Column:
 
 def word_ids(word: str, pieces: Pieces) -> tuple[int, ...]:
     """The ids of the best path through one word."""
-    n, longest, score = len(word), pieces.longest, pieces.score
-    best: list[float] = [0.0] * (n + 1)
-    came: list[tuple[int, tuple[int, ...]]] = [(0, ())] * (n + 1)
-    for end in range(1, n + 1):
-        top = None
-        for start in range(max(0, end - longest), end):
-            found = score.get(word[start:end])
-            if found is None:
-                if end - start > 1:
-                    continue
-                s, ids = pieces.floor, None
-            else:
-                s, ids = found[0], (found[1],)
-            if top is None or best[start] + s > top:
-                top = best[start] + s
-                came[end] = (start, pieces.spell(word[start:end]) if ids is None else ids)
-        best[end] = top or 0.0
-    out: list[tuple[int, ...]] = []
+    n, step, longest, floor = len(word), pieces.step.get, pieces.longest, pieces.floor
+    best, came, ids = [float("-inf")] * (n + 1), [0] * (n + 1), [-1] * (n + 1)
+    best[0] = 0.0
+    for start in range(n):
+        base, end, stop = best[start], start + 1, min(n, start + longest)
+        while True:
+            score, at, more = step(word[start:end], (0.0, -1, False))
+            if at < 0 and end == start + 1:
+                score = floor
+            # An earlier start came first and wins ties.
+            if (at >= 0 or end == start + 1) and base + score > best[end]:
+                best[end], came[end], ids[end] = base + score, start, at
+            if not more or end == stop:
+                break
+            end += 1
+    out: list[int] = []
     at = n
     while at:
-        at, ids = came[at]
-        out.append(ids)
-    return tuple(chain.from_iterable(reversed(out)))
+        if ids[at] < 0:
+            out.extend(reversed(pieces.spell(word[at - 1 : at])))
+        else:
+            out.append(ids[at])
+        at = came[at]
+    out.reverse()
+    return tuple(out)
 
 
 def dictionary(df: DataFrame, pieces: Pieces, text: str = "text", size: int = DICTIONARY) -> dict[str, tuple[int, ...]]:
@@ -188,38 +197,60 @@ def dictionary(df: DataFrame, pieces: Pieces, text: str = "text", size: int = DI
     return {w: tuple(i) for w, i in zip(got.column("word").to_pylist(), got.column("ids").to_pylist(), strict=True)}
 
 
-def _held(spark: SparkSession, pieces: Pieces, known: dict[str, tuple[int, ...]]):
-    return spark.sparkContext.broadcast((vars(pieces), known))
+class Words(dict):
+    """Ids of words as bytes; words that the dictionary lacks are encoded when asked for, and kept up to a bound."""
 
+    def __init__(self, pieces: Pieces, known: dict[str, bytes]):
+        super().__init__(known)
+        self.pieces, self.rare = pieces, []
 
-def _restored(state: dict) -> Pieces:
-    out = Pieces.__new__(Pieces)
-    out.__dict__ = state
-    return out
+    def __missing__(self, word: str) -> bytes:
+        ids = np.array(word_ids(word, self.pieces), np.int32).tobytes()
+        if len(self.rare) >= KEPT:
+            for old in self.rare:
+                self.pop(old, None)
+            self.rare.clear()
+        self.rare.append(word)
+        self[word] = ids
+        return ids
+
+
+class Spelling:
+    """The bytes of all pieces in one buffer, so that many ids decode in a few array operations."""
+
+    def __init__(self, pieces: Pieces):
+        parts = [pieces.raw.get(i, b"") for i in range(max(pieces.raw, default=0) + 1)]
+        self.size = np.array([len(p) for p in parts], np.int64)
+        self.start = np.concatenate(([0], np.cumsum(self.size)[:-1]))
+        self.buffer = np.frombuffer(b"".join(parts), np.uint8)
+
+    def text(self, ids: np.ndarray) -> bytes:
+        """The bytes of ids, without the leading space."""
+        if not len(ids):
+            return b""
+        sizes = self.size[ids]
+        ends = np.cumsum(sizes)
+        at = np.arange(ends[-1]) + np.repeat(self.start[ids] - (ends - sizes), sizes)
+        return self.buffer[at].tobytes()[1:]
 
 
 def encode(df: DataFrame, pieces: Pieces, id_col: str = "doc_id", text: str = "text", size: int = DICTIONARY) -> DataFrame:
     """``(id, ids, n_tokens, round_trip)``; ``round_trip`` says whether decoding gives the text back."""
-    held = _held(df.sparkSession, pieces, dictionary(df, pieces, text, size))
+    known = {w: np.array(i, np.int32).tobytes() for w, i in dictionary(df, pieces, text, size).items()}
+    held = df.sparkSession.sparkContext.broadcast((vars(pieces), known))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        state, known = held.value
-        own = _restored(state)
-        split, raw = re.compile(WORD).findall, own.raw
-        names = ["id", "ids", "n_tokens", "round_trip"]
+        state, often = held.value
+        own = Pieces.__new__(Pieces)
+        own.__dict__ = state
+        ids_of, split, spelling = Words(own, often).__getitem__, re.compile(WORD).findall, Spelling(own)
         for batch in batches:
-            rare: dict[str, tuple[int, ...]] = {}
-
-            def ids_of(word: str, rare=rare) -> tuple[int, ...]:
-                found = known.get(word) or rare.get(word)
-                if found is None:
-                    found = rare[word] = word_ids(word, own)
-                return found
-
             at = 0
-            while at < batch.num_rows:  # pieces of a batch, as ids outweigh their text
-                ids, trips, first, weight = [], [], at, 0
-                while at < batch.num_rows and weight < 4 << 20:
+            while at < batch.num_rows:  # slices of a batch, as ids outweigh their text
+                ids: list[bytes | None] = []
+                trips: list[bool | None] = []
+                first, weight = at, 0
+                while at < batch.num_rows and weight < SLICE:
                     t = batch.column("text")[at].as_py()
                     at += 1
                     if t is None:
@@ -227,28 +258,22 @@ def encode(df: DataFrame, pieces: Pieces, id_col: str = "doc_id", text: str = "t
                         trips.append(None)
                         continue
                     weight += len(t)
-                    found = list(chain.from_iterable(map(ids_of, split(SPACE + t.replace(" ", SPACE))))) if t else []
-                    ids.append(pa.array(found, pa.int32()))
-                    trips.append(b"".join(map(raw.__getitem__, found))[1:] == t.encode() if t else True)
-                lists = _lists(ids)
-                lengths = pa.array([None if x is None else len(x) for x in ids], pa.int64())
-                yield pa.RecordBatch.from_arrays([batch.column("id").slice(first, at - first), lists, lengths, pa.array(trips, pa.bool_())], names=names)
+                    found = b"".join(map(ids_of, split(SPACE + t.replace(" ", SPACE)))) if t else b""
+                    ids.append(found)
+                    trips.append(spelling.text(np.frombuffer(found, np.int32)) == t.encode())
+                sizes = np.array([0 if x is None else len(x) // 4 for x in ids], np.int64)
+                ends = np.concatenate(([0], np.cumsum(sizes))).astype(np.int32)
+                null = pa.array([x is None for x in ids])
+                values = pa.array(np.frombuffer(b"".join(x for x in ids if x), np.int32))
+                lists = pa.ListArray.from_arrays(pa.array(ends), values, mask=null)
+                lengths = pa.array(sizes, mask=null.to_numpy(zero_copy_only=False))
+                yield pa.RecordBatch.from_arrays([batch.column("id").slice(first, at - first), lists, lengths, pa.array(trips, pa.bool_())], names=["id", "ids", "n_tokens", "round_trip"])
 
     slim = df.select(F.col(id_col).alias("id"), F.col(text).alias("text"))
     kind = slim.schema["id"].dataType.simpleString()
     return slim.mapInArrow(run, f"id {kind}, ids array<int>, n_tokens long, round_trip boolean")
 
 
-def _lists(parts: list[pa.Array | None]) -> pa.ListArray:
-    """A list column from arrays, null where one is None, without a Python number for each id."""
-    ends, at = [0], 0
-    for p in parts:
-        at += 0 if p is None else len(p)
-        ends.append(at)
-    values = pa.concat_arrays([p for p in parts if p is not None] or [pa.array([], pa.int32())])
-    return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), values, mask=pa.array([p is None for p in parts]))
-
-
 def decode(df: DataFrame, pieces: Pieces, ids: str = "ids", text: str = "text") -> DataFrame:
     """``df`` with ``text`` from ``ids``, in native expressions: the hexadecimal bytes of the pieces, joined and read back."""
     top = max(pieces.raw, default=0)
