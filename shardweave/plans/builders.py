@@ -43,10 +43,19 @@ class Net:
         ids = [v for _, v in near]
         x = self.x[ids]
         between = distance.rows(self.metric, x[:, None, :], x[None, :, :])
-        self.ndc += len(ids) * (len(ids) - 1) // 2
-        d = np.array([w for w, _ in near])[None]
-        keep = thin.choose(d, between[None], np.ones((1, len(ids)), bool), np.zeros((1, len(ids)), bool), cap, rule, alpha, tau)[0]
-        return [v for v, k in zip(ids, keep, strict=True) if k]
+        hides = thin.occluded(np.array([w for w, _ in near]), between, rule, alpha, tau)
+        kept: list[int] = []
+        for v in range(len(ids)):
+            if len(kept) >= cap:
+                break
+            hidden = hides[kept, v]
+            # A scan compares with the kept ones until one hides the candidate; only those distances count.
+            if hidden.any():
+                self.ndc += int(hidden.argmax()) + 1
+            else:
+                self.ndc += len(kept)
+                kept.append(v)
+        return [ids[v] for v in kept]
 
     def sorted(self, a: int, others) -> list[tuple[float, int]]:
         others = [o for o in dict.fromkeys(others) if o != a]

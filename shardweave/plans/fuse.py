@@ -73,7 +73,11 @@ def merge(
                     break
         now = stage(new.select("src", "dst", "dist"), "merge-refine")
     facts["ndc_refine"] = sum(r["pairs"] for r in facts["rounds"])
+    facts["ndc_thin"] = 0
     if "thin" in stages:
+        # Every pair of a list, the most that the rule can ask for.
+        n = F.col("count")
+        facts["ndc_thin"] = now.groupBy("src").count().agg(F.sum(F.floor(n * (n - 1) / 2))).first()[0] or 0
         slim = thin.select(now, vectors, k, rule, guard, alpha, tau, metric)
         now = stage(thin.reciprocate(slim, k).select("src", "dst", "dist"), "merge-thin")
     layers = stage(tower.rebuild(vectors.select("vec_id", "x"), k, seed, metric), "merge-tower") if with_tower else None

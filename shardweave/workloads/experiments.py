@@ -1,6 +1,8 @@
 """Experiments on the embeddings: strategies, sweeps and ablations as tables of measures.
 
-All cost figures are counts of distances, so they hold on any machine; times are for ``bench.py``.
+All cost figures are counts of distances, so they hold on any machine; times are for ``bench.py``. A merge's count has
+its foreign searches, its local joins and, as if each list were compared in full, its thinning; a builder's has its
+searches and the comparisons that its selection makes. Building the inputs counts for none.
 """
 
 from __future__ import annotations
@@ -17,6 +19,8 @@ from shardweave.staging import stage
 
 #: Degree, pool of a search, results asked for.
 K, POOL, ASK = 16, 40, 10
+#: Construction effort of the insertion builders, as published.
+EFFORT = 200
 
 
 class Bench:
@@ -48,7 +52,7 @@ class Bench:
 
     def merged(self, k: int | None = None, **how) -> tuple[DataFrame, int, dict]:
         got = fuse.merge(self.edges, self.base, k or self.k, **how)
-        return got.edges, got.facts["ndc_lift"] + got.facts["ndc_refine"], got.facts
+        return got.edges, sum(got.facts[f"ndc_{s}"] for s in ("lift", "refine", "thin")), got.facts
 
 
 COLUMNS = "setting string, method string, pool int, ask int, recall double, search_ndc double, hops double, n_edges long, merge_ndc long"
@@ -65,12 +69,12 @@ def merge2_cost(spark: SparkSession, sf_dir: str) -> DataFrame:
     b = Bench(spark, sf_dir, 2, "hnsw")
     edges, cost, _ = b.merged()
     rows += b.measured("merge", edges, cost, setting="hnsw")
-    inserted = stage(baselines.insert_all(b.base, "hnsw", K // 2, 50), "inserted")
+    inserted = stage(baselines.insert_all(b.base, "hnsw", K // 2, EFFORT), "inserted")
     rows += b.measured("insert_all", baselines.base_layer(inserted), baselines.cost(inserted), setting="hnsw")
     b = Bench(spark, sf_dir, 2, "nsw", ef=50)
     edges, cost, _ = b.merged()
     rows += b.measured("merge", edges, cost, setting="nsw")
-    inserted = stage(baselines.insert_all(b.base, "nsw", K // 2, 50), "inserted")
+    inserted = stage(baselines.insert_all(b.base, "nsw", K // 2, EFFORT), "inserted")
     rows += b.measured("insert_all", baselines.base_layer(inserted), baselines.cost(inserted), setting="nsw")
     b = Bench(spark, sf_dir, 2, "vamana")
     edges, cost, _ = b.merged()
@@ -84,7 +88,7 @@ def search_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recall against pool and distances, 10 and 100 results, of a merge and of insertion."""
     b = Bench(spark, sf_dir, 2, "hnsw")
     edges, cost, _ = b.merged()
-    inserted = stage(baselines.insert_all(b.base, "hnsw", K // 2, 50), "inserted")
+    inserted = stage(baselines.insert_all(b.base, "hnsw", K // 2, EFFORT), "inserted")
     rows = []
     for ask, pools in ((10, (10, 20, 40, 80, 160, 320)), (100, (100, 160, 320))):
         rows += b.measured("merge", edges, cost, pools, ask)
@@ -96,13 +100,13 @@ def strategy_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Incremental insertion, neighbour-graph merge, union of graphs, segment merge, the merge, and no merge at all."""
     b = Bench(spark, sf_dir, 2, "hnsw")
     rows = []
-    inserted = stage(baselines.insert_all(b.base, "hnsw", K // 2, 50), "inserted")
+    inserted = stage(baselines.insert_all(b.base, "hnsw", K // 2, EFFORT), "inserted")
     rows += b.measured("insert_all", baselines.base_layer(inserted), baselines.cost(inserted))
     near, log = baselines.knng_merge(b.edges, b.base, K)
     rows += b.measured("knng_merge", near, sum(r["pairs"] for r in log))
     rows += b.measured("naive_union", baselines.naive_union(b.edges), 0)
     rows += b.measured("overlap_union", baselines.overlap_build(b.base.select("vec_id", "x"), 4, 2, degree=K), 0)
-    segment = stage(baselines.segment_merge(b.base, K // 2, 50, 20), "segment")
+    segment = stage(baselines.segment_merge(b.base, K // 2, EFFORT, EFFORT // 4), "segment")
     rows += b.measured("segment_merge", baselines.base_layer(segment), baselines.cost(segment))
     edges, cost, _ = b.merged()
     rows += b.measured("merge", edges, cost)
@@ -120,7 +124,7 @@ def multi_merge(h: int):
         b = Bench(spark, sf_dir, h, "hnsw")
         edges, cost, _ = b.merged()
         rows = b.measured("merge", edges, cost)
-        inserted = stage(baselines.insert_all(b.base, "hnsw", K // 2, 50), "inserted")
+        inserted = stage(baselines.insert_all(b.base, "hnsw", K // 2, EFFORT), "inserted")
         rows += b.measured("insert_all", baselines.base_layer(inserted), baselines.cost(inserted))
         return report(spark, rows, f"h={h}")
 
