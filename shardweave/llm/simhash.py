@@ -30,7 +30,7 @@ SHINGLE = 3
 SEED = 42
 #: Fingerprints that the upper tree is fitted on, and how many one shard should hold.
 SAMPLE = 8192
-PER_SHARD = 8192
+PER_SHARD = 2048
 LEAF = 256
 BLOCK = 1 << 22
 
