@@ -208,15 +208,20 @@ def links(distinct: DataFrame, radius: int = RADIUS, per_shard: int = PER_SHARD,
     return distinct.select("fp").mapInArrow(send, "shard int, fp long, home boolean").groupBy("shard").applyInArrow(join, "a long, b long")
 
 
-def classes(df: DataFrame, id_col: str = "doc_id", text: str = "text", shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
-    """``(id, fp, component_id)``: the smallest id that links lead to."""
+def _classed(df: DataFrame, id_col: str, text: str, shingle: int, radius: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """``(id, fp)`` of the rows, ``(fp, least, root)`` of the distinct fingerprints, ``(root, component_id)`` of the classes."""
     marked = stage(fingerprints(df, id_col, text, shingle), "simhash")
     distinct = stage(marked.groupBy("fp").agg(F.min("id").alias("least")), "simhash-distinct")
     found = components(links(distinct, radius))
     # Fingerprints of classes of their own need no class table: their smallest id is at hand.
     joined = found.select(F.col("a").alias("fp"), F.col("b").alias("root")).unionByName(found.select(F.col("b").alias("fp"), F.col("b").alias("root")).distinct())
     member = distinct.join(joined, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    least = member.groupBy("root").agg(F.min("least").alias("component_id"))
+    return marked, member, member.groupBy("root").agg(F.min("least").alias("component_id"))
+
+
+def classes(df: DataFrame, id_col: str = "doc_id", text: str = "text", shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
+    """``(id, fp, component_id)``: the smallest id that links lead to."""
+    marked, member, least = _classed(df, id_col, text, shingle, radius)
     by_print = member.join(least, "root").select(F.col("fp").alias("_fp"), "component_id")
     return marked.join(by_print, marked["fp"] == by_print["_fp"]).drop("_fp")
 
@@ -226,8 +231,15 @@ def hexadecimal(fp: str = "fp"):
 
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text: str = "text", shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
-    """``df`` with one row of each class, that of the smallest id; of rows that share it, one."""
-    found = classes(df, id_col, text, shingle, radius)
-    kept = found.groupBy("component_id").agg(F.count("*").alias("_n")).select(F.col("component_id").alias("_kept"))
-    met = df.join(kept, df[id_col].cast("long").eqNullSafe(kept["_kept"])).drop("_kept")
-    return met.dropDuplicates([id_col])
+    """``df`` with one row of each class, that of the smallest id; of rows that share it, one. A class whose rows all lack
+    an id keeps the row with the smallest digest of its text."""
+    _, member, least = _classed(df, id_col, text, shingle, radius)
+    kept = least.where("component_id is not null").select(F.col("component_id").alias("_kept"))
+    # Join and deduplication share the partitioning by id.
+    named = df.join(kept, df[id_col].cast("long") == kept["_kept"], "left_semi").dropDuplicates([id_col])
+    blank = df.where(df[id_col].isNull()).withColumn("_digest", F.xxhash64(F.coalesce(F.col(text), F.lit(""))))
+    prints = fingerprints(blank, "_digest", text, shingle).distinct()
+    lone = prints.join(member.select("fp", "root"), "fp").join(least.where("component_id is null").select("root"), "root")
+    first = lone.groupBy("root").agg(F.min("id").alias("_first")).select("_first")
+    nameless = blank.join(first, blank["_digest"] == first["_first"], "left_semi").dropDuplicates(["_digest"]).drop("_digest")
+    return named.unionByName(nameless)

@@ -127,6 +127,12 @@ def test_classes_odd_rows(spark, odd):
     assert sorted(r["doc_id"] for r in simhash.keep_one(odd).collect()) == [1, 4, 5, 6]
 
 
+def test_classes_without_ids_keep_a_row(spark):
+    rows = [(None, "alpha beta gamma delta"), (None, "alpha beta gamma delta"), (None, "one two three four five"), (7, "six seven eight nine"), (None, "six seven eight nine"), (7, "six seven eight nine")]
+    kept = simhash.keep_one(spark.createDataFrame(rows, "doc_id long, text string").withColumn("fp", F.lit("extra"))).collect()
+    assert sorted((r["doc_id"] or 0, r["text"]) for r in kept) == [(0, "alpha beta gamma delta"), (0, "one two three four five"), (7, "six seven eight nine")]
+
+
 # --- 3: top k ---
 
 
