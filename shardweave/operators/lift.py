@@ -70,22 +70,36 @@ def cross(edges: DataFrame, vectors: DataFrame, entries: DataFrame, pool: int, m
     return found.select(F.col("q_id").alias("src"), F.col("vec_id").alias("dst"), "dist", F.when(F.col("rank") == 1, F.col("ndc")).otherwise(0).alias("ndc"))
 
 
+#: Vertices in a bin of :func:`random_cross`, on average.
+BIN = 8
+
+
 def random_cross(vectors: DataFrame, pool: int, metric: str = "l2", seed: int = 7) -> DataFrame:
     """``pool`` foreign vertices of every vertex, picked by hash instead of by search.
 
-    Vertices are put in a hashed ring; each takes the next foreign ones on it, found by equal ring places: no cross join.
+    Each part's vertices fall into bins of a few; bins are numbered part by part. A vertex draws bins outside its part's
+    range and one member of each, by an equal join on the bin: no global order and no cross join. Repeats and empty bins
+    cost draws, so twice the pool and a few more are made; a pool near the number of foreign vertices may stay short.
     """
     from shardweave.functions import distance
 
-    n = vectors.count()
-    ring = vectors.withColumn("place", F.row_number().over(Window.orderBy(F.xxhash64("vec_id", F.lit(seed)), "vec_id")) - 1)
-    steps = ring.withColumn("step", F.explode(F.sequence(F.lit(1), F.lit(min(n - 1, 6 * pool + 6)))))
-    steps = steps.withColumn("at", (F.col("place") + F.col("step")) % n)
-    other = ring.select(F.col("place").alias("at"), F.col("vec_id").alias("dst"), F.col("part").alias("dst_part"), F.col("x").alias("y"))
-    met = steps.join(other, "at").where("part <> dst_part")
-    order = Window.partitionBy("vec_id").orderBy("step")
-    some = met.withColumn("r", F.row_number().over(order)).where(F.col("r") <= pool)
-    return distance.measured(some.select(F.col("vec_id").alias("src"), "dst", "x", "y"), "x", "y", metric=metric)
+    # One row a part.
+    sizes = vectors.groupBy("part").agg(F.ceil(F.count("*") / BIN).cast("long").alias("bins"))
+    before = F.coalesce(F.sum("bins").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    ranges = sizes.select(F.col("part").alias("p"), "bins", before.alias("first"), F.sum("bins").over(Window.partitionBy()).alias("every"))
+    placed = vectors.select("vec_id", "part").join(F.broadcast(ranges), F.col("part") == F.col("p"))
+    packed = placed.groupBy((F.col("first") + F.pmod(F.xxhash64("vec_id", F.lit(seed)), F.col("bins"))).alias("bin")).agg(F.array_sort(F.collect_list("vec_id")).alias("members"))
+    draws = placed.where("every > bins").select("vec_id", "bins", "first", "every", F.explode(F.sequence(F.lit(1), F.lit(2 * pool + 4))).alias("step"))
+    draw = draws.withColumn("r", F.pmod(F.xxhash64("vec_id", "step", F.lit(seed)), F.col("every") - F.col("bins")))
+    draw = draw.select("vec_id", "step", F.when(F.col("r") < F.col("first"), F.col("r")).otherwise(F.col("r") + F.col("bins")).alias("bin"))
+    met = draw.join(packed, "bin")
+    member = F.get("members", F.pmod(F.xxhash64("step", "vec_id", F.lit(seed)), F.size("members")).cast("int"))
+    once = met.select(F.col("vec_id").alias("src"), member.alias("dst"), "step").groupBy("src", "dst").agg(F.min("step").alias("step"))
+    order = Window.partitionBy("src").orderBy("step")
+    some = once.withColumn("r", F.row_number().over(order)).where(F.col("r") <= pool).select("src", "dst")
+    x = vectors.select(F.col("vec_id").alias("src"), "x")
+    y = vectors.select(F.col("vec_id").alias("dst"), F.col("x").alias("y"))
+    return distance.measured(some.join(x, "src").join(y, "dst").select("src", "dst", "x", "y"), "x", "y", metric=metric)
 
 
 def run(edges: DataFrame, candidates: DataFrame, k: int) -> DataFrame:

@@ -14,6 +14,8 @@ from shardweave.staging import drop, stage
 
 #: Rows of the orphans' surroundings that one task may repair in sequence.
 REPAIR_LIMIT = 2_000_000
+#: Edges that one task may refine vertex by vertex.
+SWEEP_LIMIT = 2_000_000
 
 
 def pools(edges: DataFrame, cap: int | None = None) -> DataFrame:
@@ -80,13 +82,29 @@ def once(edges: DataFrame, vectors: DataFrame, origin: DataFrame, k: int, scope:
 
 def run(
     edges: DataFrame, vectors: DataFrame, origin: DataFrame, k: int, max_rounds: int = 8, scope: str = "cross", repair: str = "every", metric: str = "l2",
-    stop_fraction: float = 0.0, cap: int | None = None, log: Callable[[dict], None] | None = None,
+    stop_fraction: float = 0.0, cap: int | None = None, log: Callable[[dict], None] | None = None, mode: str = "bsp", order: str = "id",
 ) -> DataFrame:
-    """Rounds until no more than ``stop_fraction`` of the edges is new. Each is written out and the one before deleted."""
+    """Rounds until no more than ``stop_fraction`` of the edges is new. Each is written out and the one before deleted.
+
+    ``bsp`` visits all vertices and then updates all, in joins. ``sweep`` visits and updates vertex by vertex, so that a
+    vertex sees what the ones before it in ``order`` (``id`` or ``dfs``) changed; it is sequential and runs in one task
+    while the edges fit :data:`SWEEP_LIMIT`. A larger graph is refined by rounds of joins, which find the same kind of list.
+    """
     if repair not in ("every", "last", "off"):
         raise ValueError(f"repair must be every, last or off, not {repair!r}")
+    if mode not in ("bsp", "sweep") or order not in ("id", "dfs"):
+        raise ValueError(f"mode must be bsp or sweep and order id or dfs, not {mode!r} and {order!r}")
     given = edges if "is_new" in edges.columns else edges.withColumn("is_new", F.lit(True))
     now = stage(given.select("src", "dst", "dist", "is_new"), "refine")
+    if mode == "sweep" and now.count() <= SWEEP_LIMIT:
+        swept = stage(_swept(now, vectors, origin, k, max_rounds, scope, metric, stop_fraction, order), "refine-sweep")
+        if log:
+            facts = swept.where("src is null").orderBy("round").collect()  # a row a round
+            for r in facts:
+                log({"round": r["round"], "pairs": r["pairs"], "accepted": r["accepted"]})
+        drop(now)
+        now = swept.where("src is not null").select("src", "dst", "dist", "is_new")
+        return now if repair == "off" else stage(repaired(now, vectors), "refine")
     for turn in range(1, max_rounds + 1):
         tried = stage(pairs(now, origin, scope, cap), "refine-pairs")
         new = absorb(now, offers(tried, now, vectors, metric, k), k)
@@ -110,6 +128,94 @@ def run(
     return now
 
 
+# --- visit and update in one pass ---
+
+
+def walk(lists: list[list[list]]) -> list[int]:
+    """Positions in depth-first order, nearest neighbours first, from the lowest position on."""
+    seen, out = set(), []
+    for root in range(len(lists)):
+        todo = [root]
+        while todo:
+            v = todo.pop()
+            if v in seen:
+                continue
+            seen.add(v)
+            out.append(v)
+            todo += [e[1] for e in reversed(lists[v]) if e[1] not in seen]
+    return out
+
+
+def sweep(x: np.ndarray, part: np.ndarray, lists: list[list[list]], k: int, rounds: int, scope: str, metric: str, stop_fraction: float, order: str) -> list[tuple[int, int]]:
+    """Refine ``lists`` (sorted ``[dist, position, new ahead, new behind]``) in place; ``(pairs, accepted)`` of each round.
+
+    An edge is new to its source and to its target apart, since either is visited at its own time.
+    """
+    behind: list[set[int]] = [set() for _ in lists]
+    for v, row in enumerate(lists):
+        for e in row:
+            behind[e[1]].add(v)
+    has = [{e[1] for e in row} for row in lists]
+
+    def offer(v: int, u: int, d: float) -> int:
+        row = lists[v]
+        if u in has[v] or (len(row) >= k and (d, u) >= (row[-1][0], row[-1][1])):
+            return 0
+        row.append([d, u, True, True])
+        row.sort(key=lambda e: (e[0], e[1]))
+        has[v].add(u)
+        behind[u].add(v)
+        if len(row) > k:
+            gone = row.pop()[1]
+            has[v].discard(gone)
+            behind[gone].discard(v)
+        return 1
+
+    log = []
+    for _ in range(rounds):
+        pairs = accepted = 0
+        for p in walk(lists) if order == "dfs" else range(len(lists)):
+            fresh: dict[int, bool] = {}
+            for e in lists[p]:
+                fresh[e[1]] = e[2]
+                e[2] = False
+            for s in behind[p]:
+                e = next(e for e in lists[s] if e[1] == p)
+                fresh[s] = fresh.get(s, False) or e[3]
+                e[3] = False
+            ids = sorted(fresh)
+            found = [(a, b) for i, a in enumerate(ids) for b in ids[i + 1 :] if (fresh[a] or fresh[b]) and (scope == "all" or part[a] != part[b]) and not (b in has[a] and a in has[b])]
+            if not found:
+                continue
+            a, b = np.array(found).T
+            pairs += len(found)
+            for (v, u), d in zip(found, distance.rows(metric, x[a], x[b]).tolist(), strict=True):
+                accepted += offer(v, u, d) + offer(u, v, d)
+        log.append((pairs, accepted))
+        if accepted <= stop_fraction * sum(map(len, lists)):
+            break
+    return log
+
+
+def _swept(edges: DataFrame, vectors: DataFrame, origin: DataFrame, k: int, rounds: int, scope: str, metric: str, stop_fraction: float, order: str) -> DataFrame:
+    """Edges after sweeps, and a row without a source for each round's counts."""
+    lists = edges.groupBy("src").agg(F.array_sort(F.collect_list(F.struct("dist", "dst", "is_new"))).alias("to"))
+    rows = vectors.select("vec_id", "x").join(origin.select("vec_id", "part"), "vec_id").join(lists, F.col("vec_id") == F.col("src"), "left").select("vec_id", "x", "part", "to")
+
+    def run(t: pa.Table) -> pa.Table:
+        t = t.sort_by("vec_id")
+        ids = t.column("vec_id").to_pylist()
+        at = {v: i for i, v in enumerate(ids)}
+        near = [[[e["dist"], at[e["dst"]], e["is_new"], e["is_new"]] for e in to or []] for to in t.column("to").to_pylist()]
+        log = sweep(distance.matrix(t.column("x")), t.column("part").to_numpy(), near, k, rounds, scope, metric, stop_fraction, order)
+        out = [(ids[v], ids[e[1]], e[0], e[2] or e[3], None, None, None) for v, row in enumerate(near) for e in row]
+        out += [(None, None, None, None, i + 1, n, m) for i, (n, m) in enumerate(log)]
+        kinds = (pa.int64(), pa.int64(), pa.float64(), pa.bool_(), pa.int32(), pa.int64(), pa.int64())
+        return pa.table({n: pa.array(c, kind) for n, c, kind in zip(("src", "dst", "dist", "is_new", "round", "pairs", "accepted"), zip(*out, strict=True), kinds, strict=True)})
+
+    return rows.groupBy(F.lit("all")).applyInArrow(run, "src long, dst long, dist double, is_new boolean, round int, pairs long, accepted long")
+
+
 # --- vertices without an in-edge ---
 
 
@@ -180,11 +286,11 @@ def _moved(edges: DataFrame, moves: DataFrame) -> DataFrame:
     return kept.select(*names).unionByName(come)
 
 
-def _by_rounds(edges: DataFrame, vectors: DataFrame, max_rounds: int = 20) -> DataFrame:
+def _by_rounds(edges: DataFrame, vectors: DataFrame) -> DataFrame:
     """Each orphan proposes to its nearest neighbour that has a victim; one proposal a neighbour wins, and a victim loses
-    fewer in-edges a round than it has."""
+    fewer in-edges a round than it has. Every move settles an orphan and makes none, so the rounds end."""
     now = edges
-    for _ in range(max_rounds):
+    while True:
         degree = indegrees(now, vectors)
         lost = degree.where("indeg = 0").select(F.col("id").alias("orphan"))
         own = now.join(lost, F.col("src") == F.col("orphan")).select("orphan", F.col("dst").alias("v"), F.col("dist").alias("w"))
@@ -198,4 +304,3 @@ def _by_rounds(edges: DataFrame, vectors: DataFrame, max_rounds: int = 20) -> Da
         if moves.isEmpty():
             return now
         now = stage(_moved(now, moves), "repair")
-    return now

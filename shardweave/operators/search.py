@@ -73,7 +73,8 @@ def beam(x: np.ndarray, neighbours, q: np.ndarray, entries: list[int], size: int
 def resident(edges: DataFrame, vectors: DataFrame, queries: DataFrame, entries: DataFrame, pool: int, k: int, metric: str = "l2") -> DataFrame:
     """Search the shard ``target`` of every query. ``vectors`` has ``part``, ``edges`` run inside parts, entries ``(index_id, ep)``.
 
-    Result ``(q_id, index_id, rank, vec_id, dist, ndc, hops)``; without ``part`` all is one shard, 0.
+    Result ``(q_id, index_id, rank, vec_id, dist, ndc, hops)``; without ``part`` all is one shard, 0. Queries with a column
+    ``ep`` start there and not at their shard's entry.
     """
     if k > pool:
         raise ValueError(f"the pool ({pool}) must not be smaller than k ({k})")
@@ -83,7 +84,8 @@ def resident(edges: DataFrame, vectors: DataFrame, queries: DataFrame, entries:
     lists = edges.groupBy("src").agg(F.collect_list("dst").alias("to"))
     rows = v.join(lists, v["vec_id"] == lists["src"], "left").join(F.broadcast(entries.select("index_id", "ep")), F.col("part") == F.col("index_id"))
     shard = rows.select(F.col("part").cast("int").alias("target"), "vec_id", "x", F.coalesce("to", F.array().cast("array<long>")).alias("to"), "ep")
-    ask = ask.select(F.col("target").cast("int").alias("target"), F.col("vec_id").alias("q_id"), F.col("x").alias("qx"))
+    own_entry = F.col("ep") if "ep" in ask.columns else F.lit(None)
+    ask = ask.select(F.col("target").cast("int").alias("target"), F.col("vec_id").alias("q_id"), F.col("x").alias("qx"), own_entry.cast("long").alias("q_ep"))
 
     def run(graph: pa.Table, some: pa.Table) -> pa.Table:
         names = ["q_id", "index_id", "rank", "vec_id", "dist", "ndc", "hops"]
@@ -96,8 +98,8 @@ def resident(edges: DataFrame, vectors: DataFrame, queries: DataFrame, entries:
         entry = int(np.searchsorted(own.ids, graph.column("ep")[0].as_py()))
         target = graph.column("target")[0].as_py()
         out = []
-        for q, x in zip(some.column("q_id").to_pylist(), distance.matrix(some.column("qx")), strict=True):
-            found, ndc, hops = own.beam(x, entry, pool)
+        for q, x, start in zip(some.column("q_id").to_pylist(), distance.matrix(some.column("qx")), some.column("q_ep").to_pylist(), strict=True):
+            found, ndc, hops = own.beam(x, entry if start is None else int(np.searchsorted(own.ids, start)), pool)
             out += [(q, target, r + 1, int(own.ids[v]), d, ndc, hops) for r, (d, v) in enumerate(found[:k])]
         columns = list(zip(*out, strict=True)) or [[]] * 7
         kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.int64(), pa.int32())

@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from shardweave.operators import exact, search, thin
+from shardweave.staging import stage
 
 #: Vertices of a layer that an exact neighbour search may cover.
 EXACT_LIMIT = 50_000
@@ -46,14 +47,33 @@ def rebuild(vectors: DataFrame, k: int, seed: int = 0, metric: str = "l2") -> Da
     return out
 
 
-def descend(layers: DataFrame, vectors: DataFrame, queries: DataFrame, base_entry: DataFrame, pool: int = 1) -> DataFrame:
-    """``(q_id, ep)``: each query's entry into the base, by greedy descent through the layers."""
-    at = queries.select(F.col("vec_id").alias("q_id")).join(F.broadcast(base_entry.select("ep")), F.lit(True))
-    tops = [r[0] for r in layers.select("layer").distinct().orderBy(F.desc("layer")).collect()]
-    for layer in tops:
+def descend(layers: DataFrame, vectors: DataFrame, queries: DataFrame, base_entry: DataFrame, pool: int = 1, metric: str = "l2") -> DataFrame:
+    """``(q_id, ep, ndc)``: each query's entry into the base, by descent from the top layer; where a layer ends, the next begins.
+
+    ``layers`` has a handful of levels; without any, every query enters at ``base_entry``.
+    """
+    at = None
+    # A row a level; there are log(n) / log(k) of them.
+    for layer in [r[0] for r in layers.select("layer").distinct().orderBy(F.desc("layer")).collect()]:
         own = layers.where(F.col("layer") == layer)
-        members = vectors.join(own.select(F.col("src").alias("vec_id")).distinct(), "vec_id", "left_semi")
-        entry = search.lowest(members)
-        found = search.resident(own, members, queries, entry, max(pool, 1), 1)
-        at = found.select("q_id", F.col("vec_id").alias("ep"))
+        members = vectors.select("vec_id", "x").join(own.select(F.col("src").alias("vec_id")).distinct(), "vec_id", "left_semi")
+        asked = queries.select("vec_id", "x")
+        if at is not None:
+            asked = asked.join(at.select(F.col("q_id").alias("vec_id"), "ep"), "vec_id", "left")
+        found = search.resident(own, members, asked, search.lowest(members), max(pool, 1), 1, metric)
+        step = found.select("q_id", F.col("vec_id").alias("ep"), "ndc")
+        if at is not None:
+            step = step.join(at.select("q_id", F.col("ndc").alias("before")), "q_id").select("q_id", "ep", (F.col("ndc") + F.col("before")).alias("ndc"))
+        at = stage(step, "descend")
+    if at is None:
+        return queries.select(F.col("vec_id").alias("q_id")).join(F.broadcast(base_entry.select("ep")), F.lit(True)).withColumn("ndc", F.lit(0).cast("long"))
     return at
+
+
+def layered(base: DataFrame, layers: DataFrame, vectors: DataFrame, queries: DataFrame, base_entry: DataFrame, pool: int, k: int, metric: str = "l2") -> DataFrame:
+    """Search of a layered graph: descent, then a beam in the base from where it ends; ``ndc`` counts both."""
+    at = descend(layers, vectors, queries, base_entry, 1, metric)
+    asked = queries.select("vec_id", "x").join(at.select(F.col("q_id").alias("vec_id"), "ep"), "vec_id", "left")
+    found = search.resident(base, vectors.select("vec_id", "x"), asked, base_entry, pool, k, metric)
+    cost = at.select(F.col("q_id").alias("q"), F.col("ndc").alias("above"))
+    return found.join(cost, F.col("q_id") == F.col("q")).withColumn("ndc", F.col("ndc") + F.col("above")).drop("q", "above")

@@ -10,12 +10,15 @@ from pyspark.sql import functions as F
 from shardweave.operators import lift, refine, search, thin, tower
 from shardweave.staging import drop, stage
 
-#: The ablations: whether candidates come from search, and whether the repair and the fused order of work are on.
+#: The ablations: random foreign candidates or searched ones, rounds of joins (all visits, then all updates) or fused sweeps
+#: by id or depth first. ``plain`` also forgets which edges are new.
 PRESETS = {
     "plain": {"init": "random", "flags": False},
-    "flags": {"init": "random", "flags": True},
-    "probe": {"init": "probe", "flags": False},
-    "full": {"init": "probe", "flags": True},
+    "o0": {"init": "random"},
+    "o1": {"init": "probe"},
+    "o2": {"init": "random", "mode": "sweep"},
+    "full": {"init": "probe", "mode": "sweep"},
+    "full_dfs": {"init": "probe", "mode": "sweep", "order": "dfs"},
 }
 
 
@@ -33,11 +36,13 @@ def merge(
     edges: DataFrame, vectors: DataFrame, k: int, *, pool: int | str = "worst", init: str = "probe", flags: bool = True, max_rounds: int = 8, scope: str = "cross",
     repair: str = "every", rule: str = "kept", guard: str = "static", alpha: float = 1.0, tau: float = 0.0, stages: tuple[str, ...] = ("lift", "refine", "thin"),
     with_tower: bool = False, metric: str = "l2", reach: int | None = None, stop_fraction: float = 0.0, cap: int | None = None, seed: int = 7,
+    mode: str = "bsp", order: str = "id",
 ) -> Merged:
     """One graph over all parts of ``vectors (vec_id, x, part)`` from ``edges (src, dst, dist)`` inside the parts.
 
     ``init``: foreign candidates by ``probe`` (beam search), ``random`` or ``exact``. Without ``flags`` every edge counts
-    as new in each round. ``reach`` routes a vertex to the nearest foreign indexes only.
+    as new in each round. ``reach`` routes a vertex to the nearest foreign indexes only. ``mode`` and ``order``: see
+    :func:`shardweave.operators.refine.run`.
     """
     if init not in ("probe", "random", "exact"):
         raise ValueError(f"init must be probe, random or exact, not {init!r}")
@@ -63,7 +68,7 @@ def merge(
     if "refine" in stages:
         log = facts["rounds"].append
         if flags:
-            new = refine.run(now, vectors, origin, k, max_rounds, scope, repair, metric, stop_fraction, cap, log)
+            new = refine.run(now, vectors, origin, k, max_rounds, scope, repair, metric, stop_fraction, cap, log, mode, order)
         else:
             new = now
             for _ in range(max_rounds):
@@ -93,6 +98,7 @@ def tree(vectors: DataFrame, k: int, parts: int, fan_in: int = 8, kind: str = "n
     now = vectors.select("vec_id", "x", F.pmod(F.xxhash64("vec_id"), F.lit(parts)).cast("int").alias("part"))
     edges = builders.build(now, kind, metric, **({"k": k} | how)).select("src", "dst", "dist")
     merged = None
+    costs: list[int] = []
     while parts > 1:
         groups = -(-parts // fan_in)
         done = []
@@ -100,12 +106,17 @@ def tree(vectors: DataFrame, k: int, parts: int, fan_in: int = 8, kind: str = "n
             some = now.where(F.floor(F.col("part") / fan_in) == g)
             own = edges.join(some.select(F.col("vec_id").alias("src")), "src", "left_semi").select("src", "dst", "dist")
             last = g == groups - 1 and parts - g * fan_in == 1
-            done.append(own if last else merge(own, some, k, metric=metric).edges)
+            if last:
+                done.append(own)
+                continue
+            one = merge(own, some, k, metric=metric)
+            costs.append(sum(v for name, v in one.facts.items() if name.startswith("ndc")))
+            done.append(one.edges)
         edges = done[0]
         for d in done[1:]:
             edges = edges.unionByName(d)
         edges = stage(edges, "tree")
         now = now.withColumn("part", F.floor(F.col("part") / fan_in).cast("int"))
         parts = groups
-        merged = Merged(edges, None, search.medoids(vectors.select("vec_id", "x"), metric))
+        merged = Merged(edges, None, search.medoids(vectors.select("vec_id", "x"), metric), {"ndc": sum(costs)})
     return merged or Merged(stage(edges, "tree"), None, search.medoids(vectors.select("vec_id", "x"), metric))

@@ -26,8 +26,9 @@ EFFORT = 200
 class Bench:
     """Base vectors in parts, queries, truth, and a built input index."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, h: int = 2, kind: str = "vamana", k: int = K, **how):
+    def __init__(self, spark: SparkSession, sf_dir: str, h: int = 2, kind: str = "vamana", k: int = K, copies: int = 1, **how):
         base, asked = tables.base_and_queries(spark, sf_dir)
+        base = tables.jittered(base, copies) if copies > 1 else base
         self.spark, self.k = spark, k
         self.base = stage(idmap.by_hash(base, h, 3) if h > 1 else base.withColumn("part", F.lit(0)), "base")
         self.asked = stage(asked, "asked")
@@ -153,6 +154,51 @@ def rebuild_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
     return report(spark, rows)
 
 
+def method_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Search quality of merges and of rebuilt indexes of two methods over pools."""
+    rows = []
+    for kind, how in (("vamana", {}), ("nn_descent", {})):
+        b = Bench(spark, sf_dir, 2, kind, **how)
+        edges, cost, _ = b.merged()
+        rows += b.measured("merge", edges, cost, (10, 20, 80, 320), setting=kind)
+        again = stage(baselines.rebuild(b.base, kind, degree=K, k=K), "again")
+        rows += b.measured("rebuild", baselines.base_layer(again), baselines.cost(again), (10, 20, 80, 320), setting=kind)
+    return report(spark, rows)
+
+
+def growth(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The merge of halves against insertion as the base grows: copies of every vector, each moved a little."""
+    rows = []
+    for copies in (1, 2, 4):
+        b = Bench(spark, sf_dir, 2, "hnsw", copies=copies)
+        edges, cost, _ = b.merged()
+        rows += b.measured("merge", edges, cost, setting=f"copies={copies}")
+        inserted = stage(baselines.insert_all(b.base, "hnsw", K // 2, EFFORT), "inserted")
+        rows += b.measured("insert_all", baselines.base_layer(inserted), baselines.cost(inserted), setting=f"copies={copies}")
+    return report(spark, rows)
+
+
+def layered_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A merged graph searched from its medoid, and by descent through rebuilt upper layers."""
+    b = Bench(spark, sf_dir, 2, "vamana")
+    edges, cost, _ = b.merged()
+    rows = b.measured("medoid", edges, cost)
+    layers = stage(tower.rebuild(b.base.select("vec_id", "x"), K // 2, seed=1), "tower")
+    found = stage(tower.layered(edges, layers, b.base, b.asked, b.whole, POOL, ASK), "layered")
+    c = found.where("rank = 1").agg(F.avg("ndc").alias("n"), F.avg("hops").alias("h")).first()
+    rows.append(rows[0] | {"method": "layered", "recall": float(quality.recall(found, b.truth, ASK).first()["recall"]), "search_ndc": float(c["n"]), "hops": float(c["h"])})
+    return report(spark, rows, "halves")
+
+
+def hub_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Degrees by sketches of fixed size instead of exact tables: distinct targets, median and tail of the indegree."""
+    v = tables.vectors(spark, sf_dir)
+    near = stage(exact.graph(v, K), "near")
+    tail = refine.indegrees(near, v).agg(*[F.percentile_approx("indeg", q, 10_000).cast("long").alias(f"p{round(100 * q)}") for q in (0.5, 0.9, 0.99)])
+    seen = near.agg(F.approx_count_distinct("dst", 0.02).alias("n_targets"), F.hll_sketch_estimate(F.hll_sketch_agg("dst")).alias("n_targets_hll"))
+    return seen.join(F.broadcast(tail), F.lit(True))
+
+
 def builders_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every builder on all base vectors in one shard."""
     rows = []
@@ -272,7 +318,7 @@ def merge_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Eight parts merged two at a time."""
     b = Bench(spark, sf_dir, 1, "random")
     got = fuse.tree(b.base.select("vec_id", "x"), K, 4, 2)
-    return report(spark, b.measured("merge_tree", got.edges, 0), "4 parts, fan-in 2")
+    return report(spark, b.measured("merge_tree", got.edges, got.facts["ndc"]), "4 parts, fan-in 2")
 
 
 def document_overlap(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -289,5 +335,6 @@ QUERIES = {
     **{f"multi_merge_h{h}": multi_merge(h) for h in (3, 5, 7)},
     "multi_recall": multi_recall, "rebuild_curve": rebuild_curve, "builders_table": builders_table, "prefix_doubling": doubling, "effort_sweep": effort_sweep,
     "pool_sweep": pool_sweep, "ablation": ablation, "stage_ablation": stage_ablation, "repair_ablation": repair_ablation, "rule_table": rule_table,
-    "heterogeneous": heterogeneous, "tower_layers": tower_layers, "beam_modes": beam_modes, "merge_tree": merge_tree, "document_overlap": document_overlap,
+    "heterogeneous": heterogeneous, "tower_layers": tower_layers, "beam_modes": beam_modes, "merge_tree": merge_tree,
+    "method_curve": method_curve, "growth": growth, "layered_search": layered_search, "hub_sketch": hub_sketch, "document_overlap": document_overlap,
 }

@@ -268,7 +268,7 @@ QUERIES = {
     "split_mod": lambda s, d: idmap.by_modulus(tables.vectors(s, d), 5).groupBy("part").agg(F.count("*").alias("n")),
     "doc_tokens": doc_tokens, "page_host": page_host, "writes_by_day": writes_by_day, "array_suite": array_suite, "norms": norms, "map_suite": map_suite, "props_json": props_json,
     "sql_l2": sql_l2, "udtf_neighbors": udtf_neighbors, "consolidate_region": shards_by_region, "part_neighbors": part_neighbors, "order_shards": order_shards,
-    "segments_by_window": lambda s, d: segments.by_window(log(s, d)), "win_sliding": lambda s, d: segments.by_sliding(log(s, d)), "win_session": lambda s, d: segments.sessions(events(s, d)),
+    "segments_by_window": lambda s, d: segments.by_window(log(s, d)), "win_tumbling": lambda s, d: segments.by_window(log(s, d), "1 day").select("window_start", "n"), "win_sliding": lambda s, d: segments.by_sliding(log(s, d)), "win_session": lambda s, d: segments.sessions(events(s, d)),
 }
 
 _NEAR = sql.exact_graph(K)
@@ -318,6 +318,7 @@ SELECT a.vec_id AS u, b.vec_id AS v, round(list_distance(a.x, b.x), 6) AS l2, ro
     "consolidate_region": "SELECT r_name, count(DISTINCT n_nationkey)::BIGINT AS n_shards, count(*)::BIGINT AS n_vectors FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY 1",
     "order_shards": "SELECT n_name, count(*)::BIGINT AS n, round(sum(l_quantity), 2) AS quantity FROM lineitem JOIN orders ON l_orderkey = o_orderkey AND o_orderstatus = 'O' JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey GROUP BY 1",
     "segments_by_window": f"WITH l AS ({_LOG}) SELECT strftime(time_bucket(INTERVAL 1 hour, ts, TIMESTAMP '1970-01-01'), '%Y-%m-%d %H:%M:%S') AS window_start, count(*)::BIGINT AS n, count(DISTINCT vec_id)::BIGINT AS n_vectors FROM l GROUP BY 1",
+    "win_tumbling": f"WITH l AS ({_LOG}) SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS window_start, count(*)::BIGINT AS n FROM l GROUP BY 1",
     "win_sliding": f"""WITH l AS ({_LOG}) SELECT strftime(time_bucket(INTERVAL 30 minute, ts, TIMESTAMP '1970-01-01') - o * INTERVAL 30 minute, '%Y-%m-%d %H:%M:%S') AS window_start, count(*)::BIGINT AS n
 FROM l, range(2) AS t(o) GROUP BY 1""",
     "win_session": """WITH m AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 30 minute AND ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 minute THEN 0 ELSE 1 END AS fresh FROM events),

@@ -4,6 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from shardweave import api
 from shardweave.functions import distance
 from shardweave.operators import exact, idmap, lift, quality, refine, search, thin, tower
 from shardweave.plans import baselines, builders, fuse
@@ -204,3 +205,55 @@ def test_store_and_vecs(spark, two, tmp_path):
 def test_components_of_a_tree(spark):
     n = quality.tarjan([0, 1, 2, 2, 3], [1, 2, 0, 3, 4])
     assert n == 3
+
+
+def test_random_candidates_are_foreign(spark):
+    v = stage(idmap.skewed(tables.vectors(spark, SF)))
+    got = lift.random_cross(v, 6)
+    part = {r["vec_id"]: r["part"] for r in v.collect()}
+    rows = pairs(got)
+    assert len(rows) == len(set(rows)) and all(part[a] != part[b] for a, b in rows)
+    assert len(rows) == 6 * v.count() and pairs(lift.random_cross(v, 6)) == rows
+    assert lift.random_cross(v.withColumn("part", F.lit(0)), 6).count() == 0
+
+
+@pytest.mark.parametrize("order", ["id", "dfs"])
+def test_sweeps_settle_like_rounds(spark, order):
+    v = stage(idmap.by_modulus(tables.vectors(spark, SF), 2))
+    origin = v.select("vec_id", "part")
+    start = stage(lift.run(exact.graph(v, 8, scope="same"), lift.random_cross(v, 8), 8).select("src", "dst", "dist"))
+    truth = exact.graph(v.select("vec_id", "x"), 8)
+    rounds, sweeps = [], []
+    one = quality.graph_recall(refine.run(start, v, origin, 8, repair="off", log=rounds.append), truth).first()[0]
+    swept = refine.run(start, v, origin, 8, repair="off", log=sweeps.append, mode="sweep", order=order)
+    two = quality.graph_recall(swept, truth).first()[0]
+    assert swept.groupBy("src").count().agg(F.max("count")).first()[0] == 8 and swept.where("src = dst").count() == 0
+    assert two > quality.graph_recall(start, truth).first()[0] and abs(one - two) < 0.1
+    assert len(sweeps) <= len(rounds) + 1 and sweeps[-1]["accepted"] <= sweeps[0]["accepted"]
+
+
+def test_sweep_fixture():
+    # The refine fixture: one sweep does what two rounds do.
+    x, part = np.array([[0.0], [10.0], [1.0], [11.0]]), np.array([0, 0, 1, 1])
+    near = [[[10.0, 1, True, True], [11.0, 3, True, True]], [[9.0, 2, True, True], [10.0, 0, True, True]], [[9.0, 1, True, True], [10.0, 3, True, True]], [[10.0, 2, True, True], [11.0, 0, True, True]]]
+    refine.sweep(x, part, near, 2, 4, "cross", "l2", 0.0, "id")
+    assert [[e[1] for e in row] for row in near] == [[2, 1], [3, 2], [0, 1], [1, 2]]
+
+
+def test_the_surface(spark, tmp_path):
+    base, asked = tables.base_and_queries(spark, SF)
+    table = api.VectorTable(base.where("vec_id < 200"))
+    parts = table.index("vamana", 2, degree=12, size=40)
+    whole = api.merge(parts, 12, with_tower=True)
+    truth = exact.knn(table.vectors, asked, 10)
+    assert quality.recall(whole.search(asked, 10, 60), truth, 10).first()["recall"] > 0.9
+    whole.save(str(tmp_path / "w"))
+    back = api.GraphIndex.load(spark, str(tmp_path / "w"), "l2")
+    assert pairs(back.edges) == pairs(whole.edges) and back.search(asked, 5, 20).count() == 5 * asked.count()
+    assert back.stats().first()["n_edges"] == whole.edges.count()
+    again = api.merge([whole, parts[1]], 12)
+    assert again.vectors.count() == table.vectors.count()
+    with pytest.raises(ValueError):
+        api.merge([parts[0]], 12)
+    with pytest.raises(ValueError):
+        api.merge([parts[0], api.GraphIndex(parts[1].edges, parts[1].vectors, "cosine")], 12)
