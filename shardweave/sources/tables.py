@@ -64,6 +64,20 @@ def jittered(base: DataFrame, copies: int, step: float = 0.001) -> DataFrame:
     return many.select((F.col("vec_id") * copies + F.col("copy")).alias("vec_id"), moved.alias("x"))
 
 
+def blended(base: DataFrame, copies: int, stride: int = 33) -> DataFrame:
+    """``base`` and ``copies - 1`` new vectors for each of its own, half way to the vector ``stride`` ids further on (or back).
+
+    A multiple of 11 keeps partners on the same side of :func:`held_out`.
+    """
+    top = base.agg(F.max("vec_id")).first()[0] or 0
+    many = base.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))))
+    ahead, back = F.col("vec_id") + stride * F.col("copy"), F.col("vec_id") - stride * F.col("copy")
+    many = many.withColumn("other", F.when(ahead <= top, ahead).otherwise(back))
+    met = many.join(base.select(F.col("vec_id").alias("other"), F.col("x").alias("y")), "other", "left")
+    mean = F.zip_with("x", F.coalesce("y", "x"), lambda a, b: ((a + b) / 2).cast("float"))
+    return met.select((F.col("vec_id") * copies + F.col("copy")).alias("vec_id"), mean.alias("x"))
+
+
 def write_log(spark: SparkSession, sf_dir: str, n: int) -> DataFrame:
     """``(event_id, ts, vec_id, op)``: events as changes of vectors; an error deletes."""
     e = table(spark, sf_dir, "events")

@@ -26,9 +26,9 @@ EFFORT = 200
 class Bench:
     """Base vectors in parts, queries, truth, and a built input index."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, h: int = 2, kind: str = "vamana", k: int = K, copies: int = 1, **how):
+    def __init__(self, spark: SparkSession, sf_dir: str, h: int = 2, kind: str = "vamana", k: int = K, larger=None, **how):
         base, asked = tables.base_and_queries(spark, sf_dir)
-        base = tables.jittered(base, copies) if copies > 1 else base
+        base = larger(base) if larger else base
         self.spark, self.k = spark, k
         self.base = stage(idmap.by_hash(base, h, 3) if h > 1 else base.withColumn("part", F.lit(0)), "base")
         self.asked = stage(asked, "asked")
@@ -166,16 +166,21 @@ def method_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
     return report(spark, rows)
 
 
-def growth(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The merge of halves against insertion as the base grows: copies of every vector, each moved a little."""
-    rows = []
-    for copies in (1, 2, 4):
-        b = Bench(spark, sf_dir, 2, "hnsw", copies=copies)
-        edges, cost, _ = b.merged()
-        rows += b.measured("merge", edges, cost, setting=f"copies={copies}")
-        inserted = stage(baselines.insert_all(b.base, "hnsw", K // 2, EFFORT), "inserted")
-        rows += b.measured("insert_all", baselines.base_layer(inserted), baselines.cost(inserted), setting=f"copies={copies}")
-    return report(spark, rows)
+def growth(form: str, sizes: tuple[int, ...]):
+    """The merge of halves against insertion as the base grows by vectors between others, or by near twins."""
+    grow = {"blend": tables.blended, "twins": tables.jittered}[form]
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        rows = []
+        for n in sizes:
+            b = Bench(spark, sf_dir, 2, "hnsw", larger=lambda base, n=n: grow(base, n))
+            edges, cost, _ = b.merged()
+            rows += b.measured("merge", edges, cost, setting=f"{form} x{n}")
+            inserted = stage(baselines.insert_all(b.base, "hnsw", K // 2, EFFORT), "inserted")
+            rows += b.measured("insert_all", baselines.base_layer(inserted), baselines.cost(inserted), setting=f"{form} x{n}")
+        return report(spark, rows)
+
+    return run
 
 
 def layered_search(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -336,5 +341,5 @@ QUERIES = {
     "multi_recall": multi_recall, "rebuild_curve": rebuild_curve, "builders_table": builders_table, "prefix_doubling": doubling, "effort_sweep": effort_sweep,
     "pool_sweep": pool_sweep, "ablation": ablation, "stage_ablation": stage_ablation, "repair_ablation": repair_ablation, "rule_table": rule_table,
     "heterogeneous": heterogeneous, "tower_layers": tower_layers, "beam_modes": beam_modes, "merge_tree": merge_tree,
-    "method_curve": method_curve, "growth": growth, "layered_search": layered_search, "hub_sketch": hub_sketch, "document_overlap": document_overlap,
+    "method_curve": method_curve, "growth": growth("blend", (1, 2, 4)), "growth_twins": growth("twins", (2,)), "layered_search": layered_search, "hub_sketch": hub_sketch, "document_overlap": document_overlap,
 }
