@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from shardweave.llm import mixing, pieces, pseudonyms, rules, simhash
+from shardweave.llm import mixing, nearcopies, pieces, pseudonyms, rules
 from shardweave.llm.registry import MODEL
 from shardweave.staging import stage
 
@@ -21,8 +21,8 @@ def good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def apart(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate class."""
-    return simhash.keep_one(docs).select(*COLUMNS)
+    """One document of each class of near copies: five-word shingles, similarity 0.8 or more."""
+    return nearcopies.keep_one(docs).select(*COLUMNS)
 
 
 def private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

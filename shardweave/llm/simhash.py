@@ -14,7 +14,7 @@ an empty table gives an empty result.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -231,14 +231,19 @@ def hexadecimal(fp: str = "fp"):
 
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text: str = "text", shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
-    """``df`` with one row of each class, that of the smallest id; of rows that share it, one. A class whose rows all lack
-    an id keeps the row with the smallest digest of its text."""
+    """``df`` with one row of each class, as :func:`one_of` chooses it."""
     _, member, least = _classed(df, id_col, text, shingle, radius)
+    return one_of(df, member, least, lambda rows, key: fingerprints(rows, key, text, shingle), id_col, text)
+
+
+def one_of(df: DataFrame, member: DataFrame, least: DataFrame, marks: Callable[[DataFrame, str], DataFrame], id_col: str, text: str) -> DataFrame:
+    """``df`` with one row of each class, that of the smallest id; of rows that share it, one. A class whose rows all lack
+    an id keeps the row with the smallest digest of its text. ``marks`` gives rows ``(id, fp)`` by the named key."""
     kept = least.where("component_id is not null").select(F.col("component_id").alias("_kept"))
     # Join and deduplication share the partitioning by id.
     named = df.join(kept, df[id_col].cast("long") == kept["_kept"], "left_semi").dropDuplicates([id_col])
     blank = df.where(df[id_col].isNull()).withColumn("_digest", F.xxhash64(F.coalesce(F.col(text), F.lit(""))))
-    prints = fingerprints(blank, "_digest", text, shingle).distinct()
+    prints = marks(blank, "_digest").distinct()
     lone = prints.join(member.select("fp", "root"), "fp").join(least.where("component_id is null").select("root"), "root")
     first = lone.groupBy("root").agg(F.min("id").alias("_first")).select("_first")
     nameless = blank.join(first, blank["_digest"] == first["_first"], "left_semi").dropDuplicates(["_digest"]).drop("_digest")
