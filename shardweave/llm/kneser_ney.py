@@ -8,8 +8,10 @@ or never seen weighs the same in both. A text's evidence is the length-normalise
 whole text, in its most toxic window, and of its strong expressions; a logistic curve turns the three into a score. The curve is fitted on a bounded
 sample of labelled rows, each scored without its own counts.
 
-Counts cover all labelled rows and come from one aggregation of bigram keys. What is broadcast is bounded whatever the
-input: ``2 ** SLOT_BITS`` words and bigrams, the most frequent of each slot. A bigram that lost its slot backs off.
+Counts cover all labelled rows and come from one aggregation of bigram keys. Every word, bigram and beginning that can
+contribute (a count above the discount, or a word that both classes continue to) is kept, in tables that grow with the
+input. They are dealt by hash into shards of about ``PER_SHARD`` keys, each collected and broadcast on its own; where there
+is more than one, a batch of texts asks one shard after the other for its keys.
 
 Defined cases: null, empty and blank texts have no evidence and get the score of none; labels that are null or belong to
 no row are not learnt from; with one class only, scores are all 0.5; repeated rows and ties count as they come; an empty
@@ -28,7 +30,8 @@ from pyspark.sql import functions as F
 
 from shardweave.staging import stage
 
-SLOT_BITS = 19
+#: Keys that one broadcast shard of the tables should hold, about 30 MB.
+PER_SHARD = 1 << 20
 #: Taken off every count. It is far above the usual 0.75: what one or two texts of the rarer class say is no evidence.
 DISCOUNT = 4.0
 #: Occurrences that a context needs before its own bigrams weigh as much as the unigrams.
@@ -69,8 +72,10 @@ def pairs(words: np.ndarray) -> np.ndarray:
     return (before << np.uint64(32)) | words
 
 
-def slot(keys: np.ndarray) -> np.ndarray:
-    return ((keys * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - SLOT_BITS)).astype(np.int64)
+def find(table: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Where ``keys`` are in a sorted table that isn't empty, and whether they are there."""
+    at = np.minimum(np.searchsorted(table, keys), len(table) - 1)
+    return at, table[at] == keys
 
 
 def held_out(id_col: str, parts: int, part: int) -> Column:
@@ -131,54 +136,61 @@ def less_own(counts: np.ndarray, own: np.ndarray, values: np.ndarray) -> np.ndar
     return np.maximum(counts - np.where(kinds[at] == values, times[at], 0), 0)
 
 
+class Shards:
+    """The broadcast shards of the tables; each has the columns ``kind, key, n, types, spent``."""
+
+    def __init__(self, held: list, totals: dict):
+        self.held, self.totals = held, totals
+        self.whole: Model | None = None
+
+    def model(self, texts: list[np.ndarray]) -> Model:
+        """The model for texts of these tokens: of a single shard all of it, else what the texts ask for."""
+        if len(self.held) == 1:
+            self.whole = self.whole or Model(self.held[0].value, self.totals)
+            return self.whole
+        ask = [np.unique(np.concatenate(x or [np.zeros(0, np.uint64)])) for x in ([t[0] for t in texts], [pairs(t[0]) for t in texts], [t[1:].ravel() for t in texts])]
+        got = []
+        for one in self.held:
+            rows = one.value
+            wanted = np.zeros(len(rows["key"]), bool)
+            for kind in range(3):
+                own = rows["kind"] == kind
+                wanted[own] = np.isin(rows["key"][own], ask[kind])
+            got.append({k: v[wanted] for k, v in rows.items()})
+            one.__dict__.pop("_value", None)
+            del rows
+        return Model({k: np.concatenate([g[k] for g in got]) for k in got[0]}, self.totals)
+
+
 class Model:
-    """The two class models in tables of a fixed size."""
-
-    def __init__(self, words: tuple[np.ndarray, ...], grams: tuple[np.ndarray, ...], begins: tuple[np.ndarray, ...], totals: dict):
-        size = 1 << SLOT_BITS
-        self.word, self.gram = np.full(size, -1, np.int64), np.zeros(size, np.uint64)
-        self.n, self.g = np.zeros((2, size), np.float32), np.zeros((2, size), np.float32)
-        self.types, self.spent = np.zeros(size, np.float32), np.zeros(size, np.float32)
-        key, n, types = words
-        at = slot(key)
-        self.word[at] = key.astype(np.int64)
-        # In shares of the smaller class, so that both count alike.
-        all_types = totals["types"]
-        self.types[at] = np.minimum((types & LOW32) / max(1, all_types[0]), (types >> PACK) / max(1, all_types[1])) * min(all_types)
-        key2, n2 = grams
-        at2 = slot(key2)
-        self.gram[at2] = key2
+    """The two class models in sorted tables."""
+
+    def __init__(self, rows: dict[str, np.ndarray], totals: dict):
+        tables = []
+        for kind in range(3):
+            own = np.flatnonzero(rows["kind"] == kind)
+            own = own[np.argsort(rows["key"][own])]
+            # A last key that nothing has: no table is empty.
+            key = np.append(rows["key"][own], np.uint64(2**64 - 1))
+            n = np.append(rows["n"][own], 0)
+            tables.append((key, np.stack((n & LOW32, n >> PACK)).astype(np.float32), own))
+        (self.word, self.n, own), (self.gram, self.g, _), (self.begin, self.h, _) = tables
+        self.types = np.append(shares(rows["types"][own], totals), 0.0)
+        self.spent = np.append(rows["spent"][own], 0.0)
         self.sum, self.vocabulary = totals["sum"], totals["words"]
-        self.shared = self.types.sum() + 0.5 * (self.vocabulary + 1)
+        self.shared = totals["shares"] + 0.5 * (self.vocabulary + 1)
         self.kept = min(0.5, DISCOUNT * self.vocabulary / sum(self.sum))
-        self.begin, self.h = np.zeros(size, np.uint64), np.zeros((2, size), np.float32)
-        at3 = slot(begins[0])
-        self.begin[at3] = begins[0]
-        before = key2 >> np.uint64(32)
-        for c, shift in enumerate((0, PACK)):
-            self.n[c, at] = (n >> shift) & LOW32
-            self.g[c, at2] = (n2 >> shift) & LOW32
-            self.h[c, at3] = (begins[1] >> shift) & LOW32
-            np.add.at(self.spent, slot(before), np.maximum(self.g[c, at2] - DISCOUNT, 0) * (self.word[slot(before)] == before.astype(np.int64)))
-
-    @classmethod
-    def of(cls, state: dict) -> Model:
-        """The model from its plain attributes, as broadcast."""
-        out = cls.__new__(cls)
-        out.__dict__ = state
-        return out
 
     def evidence(self, found: np.ndarray, own: int | None = None) -> np.ndarray:
         """Each word's log ratio, toxic over ordinary. ``own``: leave out this text's counts in its class."""
         words = found[0]
-        w = slot(words)
-        known = self.word[w] == words.astype(np.int64)
+        w, known = find(self.word, words)
         keys = pairs(words)
-        k = slot(keys)
-        seen = self.gram[k] == keys
+        k, seen = find(self.gram, keys)
         before = np.concatenate((np.array([START], np.uint64), words[:-1]))
-        b = slot(before)
-        context = self.word[b] == before.astype(np.int64)
+        # The context of a word is the word before it; the first has none.
+        b, context = np.append(len(self.word) - 1, w[:-1]), np.append(False, known[:-1])
+        begun = [(*find(self.begin, row), row > 0) for row in found[1:]]
         shared = (np.where(known, self.types[w], 0.0) + 0.5) / self.shared
         left = 1 - np.where(context, self.spent[b] / (self.n[:, b].sum(axis=0) + 2 * CONTEXT), 0.0)
         logs = []
@@ -191,18 +203,16 @@ class Model:
                 g = np.maximum(g - 1, 0)
                 total = max(1.0, total - len(once))
             unigram = np.maximum(n - DISCOUNT, 0) / total + self.kept * shared
-            for row in found[1:]:
-                r = slot(row)
-                h = np.where((self.begin[r] == row) & (row > 0), self.h[c, r], 0.0)
+            for r, held, some in begun:
+                h = np.where(held & some, self.h[c, r], 0.0)
                 h = np.maximum(h - 1, 0) if own == c else h
                 unigram += BEGIN_WEIGHT * np.maximum(h - DISCOUNT, 0) / total
             bigram = np.maximum(g - DISCOUNT, 0) / (np.maximum(m, g) + CONTEXT)
             logs.append(np.log(bigram + left * unigram))
         return np.clip(logs[1] - logs[0], *CLIP)
 
-    def features(self, text: bytes | None, own: int | None = None) -> tuple[float, float, float]:
-        """Mean evidence of a text, that of its most toxic window, and the log of what strong expressions add up to."""
-        words = tokens(text)
+    def features(self, words: np.ndarray, own: int | None = None) -> tuple[float, float, float]:
+        """Mean evidence of a text's tokens, that of its most toxic window, and the log of what strong expressions add up to."""
         if not words.shape[1]:
             return 0.0, 0.0, 0.0
         ratio = self.evidence(words, own)
@@ -226,7 +236,13 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2, rounds: int = 50
     return w
 
 
-def fit(rows: DataFrame, text: str = "text") -> Model | None:
+def shares(types: np.ndarray, totals: dict) -> np.ndarray:
+    """Continuations in shares of the smaller class, so that both count alike."""
+    all_types = totals["types"]
+    return np.minimum((types & LOW32) / max(1, all_types[0]), (types >> PACK) / max(1, all_types[1])) * min(all_types)
+
+
+def fit(rows: DataFrame, text: str = "text") -> Shards | None:
     """The models from rows with a ``label``; None where a class has no row with a word."""
     given = rows.select(F.col(text).cast("binary").alias("text"), "label")
     grams = given.mapInArrow(_count, "key long, n long").groupBy("key").agg(F.sum("n").alias("n"))
@@ -237,21 +253,26 @@ def fit(rows: DataFrame, text: str = "text") -> Model | None:
     if not t["o"] or not t["t"]:
         return None
 
-    def best(kind: int) -> pa.Table:
-        tagged = parts.where(F.col("kind") == kind).mapInArrow(_slots, "at int, key long, n long, types long")
-        top = tagged.groupBy("at").agg(F.max(F.struct((F.col("n").bitwiseAND(LOW32) + F.shiftright("n", PACK)).alias("all"), "key", "n", "types")).alias("x"))
-        return top.select("x.key", "x.n", "x.types").toArrow()
-
-    w, g, h = best(0), best(1), best(2)
-    column = lambda x, name: x.column(name).to_numpy().astype(np.int64)
-    totals = {"sum": (float(t["o"]), float(t["t"])), "types": (float(t["to"]), float(t["tt"])), "words": float(t["words"])}
-    return Model((column(w, "key").view(np.uint64), column(w, "n"), column(w, "types")), (column(g, "key").view(np.uint64), column(g, "n")), (column(h, "key").view(np.uint64), column(h, "n")), totals)
-
-
-def _slots(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        at = slot(batch.column("key").to_numpy().astype(np.int64).view(np.uint64)).astype(np.int32)
-        yield pa.RecordBatch.from_arrays([pa.array(at), batch.column("key"), batch.column("n"), batch.column("types")], names=["at", "key", "n", "types"])
+    over = lambda x: F.greatest(x - int(DISCOUNT), F.lit(0))
+    speaks = (low > DISCOUNT) | (high > DISCOUNT)
+    both = (F.col("types").bitwiseAND(LOW32) > 0) & (F.shiftright("types", PACK) > 0)
+    spent = parts.where("kind = 1").where(speaks).groupBy(F.shiftrightunsigned("key", 32).alias("key")).agg(F.sum(over(low) + over(high)).alias("spent"))
+    words = of_words.where(speaks | both).join(spent, "key", "left").select("kind", "key", "n", "types", F.coalesce("spent", F.lit(0)).cast("long").alias("spent"))
+    rest = parts.where("kind > 0").where(speaks).select("kind", "key", "n", "types", F.lit(0).cast("long").alias("spent"))
+    tables = stage(words.unionByName(rest), "kneser-ney-tables")
+    count = max(1, -(-tables.count() // PER_SHARD))
+    if count > 1:
+        tables = stage(tables.withColumn("shard", F.pmod(F.xxhash64("kind", "key"), F.lit(count)).cast("int")).repartition(count, "shard"), "kneser-ney-shards", ["shard"])
+    totals = {"sum": (float(t["o"]), float(t["t"])), "types": (float(t["to"]), float(t["tt"])), "words": float(t["words"]), "shares": 0.0}
+    held = []
+    for at in range(count):
+        got = (tables.where(F.col("shard") == at) if count > 1 else tables).select("kind", "key", "n", "types", "spent").toArrow()
+        one = {k: got.column(k).to_numpy().astype(np.int8 if k == "kind" else np.int64) for k in got.column_names}
+        order = np.lexsort((one["key"], one["kind"]))
+        one = {k: v[order] for k, v in one.items()} | {"key": one["key"][order].view(np.uint64)}
+        totals["shares"] += float(shares(one["types"][one["kind"] == 0], totals).sum())
+        held.append(rows.sparkSession.sparkContext.broadcast(one))
+    return Shards(held, totals)
 
 
 def score(docs: DataFrame, labels: DataFrame, train: Column, id_col: str = "doc_id", text: str = "text", label: str = "toxic", curve_rows: int = CURVE_ROWS) -> DataFrame:
@@ -261,16 +282,18 @@ def score(docs: DataFrame, labels: DataFrame, train: Column, id_col: str = "doc_
     rows = labelled(docs.select(id_col, text), own, id_col, label)
     model = fit(rows, text)
     weights = np.zeros(4)
-    held = spark.sparkContext.broadcast(vars(model) if model else None)
+    held, totals = (model.held, model.totals) if model else ([], {})
     if model is not None:
         few = stage(own.where(F.col(label).isNotNull()).orderBy(F.xxhash64(id_col), id_col).limit(curve_rows), "curve-rows")
         some = labelled(docs.select(id_col, text), few, id_col, label).select(F.col(text).cast("binary").alias("text"), "label")
 
         def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            own = Model.of(held.value)
+            tables = Shards(held, totals)
             for batch in batches:
                 y = batch.column("label").to_pylist()
-                x = [own.features(t.as_py(), 1 if c else 0) for t, c in zip(batch.column("text"), y, strict=True)]
+                said = [tokens(t.as_py()) for t in batch.column("text")]
+                own = tables.model(said)
+                x = [own.features(t, 1 if c else 0) for t, c in zip(said, y, strict=True)]
                 yield pa.RecordBatch.from_arrays([*(pa.array([v[i] for v in x], pa.float64()) for i in range(3)), pa.array(y, pa.int32())], names=["a", "b", "c", "y"])
 
         x = some.mapInArrow(measure, "a double, b double, c double, y int").toPandas().sort_values(["a", "b", "c", "y"])
@@ -278,9 +301,11 @@ def score(docs: DataFrame, labels: DataFrame, train: Column, id_col: str = "doc_
             weights = logistic(x[["a", "b", "c"]].to_numpy(), x["y"].to_numpy(float))
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = Model.of(held.value) if held.value else None
+        tables = Shards(held, totals) if held else None
         for batch in batches:
-            found = np.array([own.features(t.as_py()) if own else (0.0, 0.0, 0.0) for t in batch.column("text")]).reshape(-1, 3)
+            said = [tokens(t.as_py()) for t in batch.column("text")] if tables else []
+            own = tables.model(said) if tables else None
+            found = np.array([own.features(t) for t in said] if own else [(0.0, 0.0, 0.0)] * batch.num_rows).reshape(-1, 3)
             z = weights[0] + found @ weights[1:]
             yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(1 / (1 + np.exp(-np.clip(z, -30, 30))))], names=["id", "score"])
 
