@@ -32,8 +32,14 @@ ISO = r"\b[0-9]{4}-[0-9]{2}-[0-9]{2}\b"
 SLASHED = r"(?<![0-9/])[0-9]{1,2}/[0-9]{1,2}/[0-9]{4}(?![0-9/])"
 DOTTED = r"(?<![0-9.])[0-9]{1,2}\.[0-9]{1,2}\.[0-9]{4}(?!\.?[0-9])"
 SSN = r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])"
-PHONE = r"\+[0-9]{1,3}[ .-]?\(?[0-9]{2,4}\)?(?:[ .-]?[0-9]{2,4}){2,4}(?![0-9])|\([0-9]{3}\) ?[0-9]{3}-[0-9]{4}(?![0-9])|(?<![0-9-])[0-9]{3}-[0-9]{3}-[0-9]{4}(?![0-9-])"
-CARD = r"(?<![0-9])[0-9](?:[ -]?[0-9]){12,18}(?![0-9])"
+#: Ten digits behind +1; other countries have no fixed lengths, but an address behind the number is not a part of it.
+PHONE = (
+    r"\+1[ .-]?\(?[0-9]{3}\)?[ .-]?[0-9]{3}[ .-]?[0-9]{4}(?![0-9])"
+    r"|\+[0-9]{1,3}[ .-]?\(?[0-9]{2,4}\)?(?:[ .-]?(?!(?:[0-9]{1,3}\.){3}[0-9]{1,3}(?!\.?[0-9]))[0-9]{2,4}){2,4}(?![0-9])"
+    r"|\([0-9]{3}\) ?[0-9]{3}-[0-9]{4}(?![0-9])|(?<![0-9-])[0-9]{3}-[0-9]{3}-[0-9]{4}(?![0-9-])"
+)
+#: A run of 13 to 19 digits before digits joined over marks, which don't reach into such a run behind them.
+CARD = r"(?<![0-9])[0-9]{13,19}(?![0-9])|(?<![0-9])(?!(?:[0-9]{1,12}[ -]){1,3}[0-9]{13,19}(?![0-9]))[0-9](?:[ -]?[0-9]){12,18}(?![0-9])"
 
 #: In order of precedence; the first that matches at a place wins it.
 PATTERNS = {"email": EMAIL, "secret": SECRET, "iban": IBAN, "ip": IP, "iso": ISO, "slashed": SLASHED, "dotted": DOTTED, "ssn": SSN, "phone": PHONE, "card": CARD}
