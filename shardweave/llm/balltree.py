@@ -1,18 +1,24 @@
 """Exact top-k by inner product: ball trees with branch and bound, shard by shard.
 
 Vectors become integers, ``floor(scale * x)``, so scores are exact. Every task turns its rows into shards of bounded size
-with a ball tree each. Queries come in blocks of bounded size, one broadcast a block. A first pass over a bounded sample
-of the candidates gives every query a k-th score to start from; that score and those found later are shared by all nodes:
-a node whose bound ``q . centre + |q| radius`` stays below the k-th score of all queries is left out, better nodes come
-first. Tasks send only rows that reach the shared score, and the best k are taken at the end.
+with a ball tree each. Queries come in blocks of bounded size, one broadcast a block, released when the block's results are
+written. A first pass over a bounded sample of the candidates gives every query a k-th score to start from; that score and
+those found later are shared by all nodes. Nodes wait in order of their upper bound ``q . centre + |q| radius``, the mean
+over the queries that still ask there; the best is opened first, and a query leaves a node whose bound stays below its k-th
+score. Tasks send only rows that reach the shared score, and the best k are taken at the end.
+
+The bound is rounded: a product of doubles errs by less than ``dim * 2**-52 * |q| (|centre| + radius)``, and ``SLACK`` times
+that product of norms is added, which covers any dimension below four million.
 
 Defined cases: vectors that are null or hold null or non-finite components take no part, nor do rows of null id; shorter
 vectors count as padded with zeros; equal scores go to the smaller id; a query never meets rows of its own id; rows
-repeated under one id count one by one; scores beyond a long are cut to its range; an empty table gives an empty result.
+repeated under one id count one by one; scores beyond a long are cut to its range; an empty table gives an empty result;
+other columns take no part.
 """
 
 from __future__ import annotations
 
+import heapq
 from collections.abc import Iterator
 
 import numpy as np
@@ -20,13 +26,15 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from shardweave.staging import stage
+from shardweave.staging import drop, fresh_path, stage
 
 K = 5
 SCALE = 256
 #: Bounds: queries in a broadcast, rows of a shard, of a leaf, and of the sample that gives the first scores.
 QUERIES, SHARD, LEAF, PILOT = 16_384, 32_768, 512, 16_384
+FOUND = "query_id long, vec_id long, score long"
 EXACT = float(1 << 53)
+SLACK = 1e-9
 LOW, HIGH = -(1 << 63), (1 << 63) - 1
 
 
@@ -80,28 +88,41 @@ class Best:
         self.floor[last] = np.maximum(self.floor[last], self.score[rank[keep] == self.k - 1])
 
 
-def search(q: np.ndarray, best: Best, x: np.ndarray, vec: np.ndarray) -> None:
-    """Branch and bound over a ball tree that is grown as it is walked."""
+def search(q: np.ndarray, best: Best, x: np.ndarray, vec: np.ndarray) -> int:
+    """Branch and bound over a ball tree that is grown as it is opened; returns the number of products."""
+    if not len(x) or not len(q):
+        return 0
     norms = np.sqrt((q * q).sum(axis=1))
-
-    def visit(rows: np.ndarray, active: np.ndarray) -> None:
-        own = x[rows]
-        centre = own.mean(axis=0)
-        radius = np.sqrt(((own - centre) ** 2).sum(axis=1).max())
-        bound = q[active] @ centre + norms[active] * radius
-        active = active[bound * (1 + 1e-9 * np.sign(bound)) + 1e-3 >= best.floor[active]]
+    waiting: list[tuple[float, int, np.ndarray, np.ndarray, np.ndarray, np.ndarray, float]] = []
+    made = done = 0
+
+    def wait(rows: np.ndarray, active: np.ndarray) -> None:
+        nonlocal made
+        centre = x[rows].mean(axis=0)
+        radius = float(np.sqrt(((x[rows] - centre) ** 2).sum(axis=1).max()))
+        bound = q[active] @ centre + norms[active] * (radius + SLACK * (radius + float(np.sqrt(centre @ centre)))) + 1e-3
+        heapq.heappush(waiting, (-float(bound.mean()), made, rows, active, bound, centre, radius))
+        made += 1
+
+    wait(np.arange(len(x)), np.arange(len(q)))
+    while waiting:
+        _, _, rows, active, bound, centre, radius = heapq.heappop(waiting)
+        # The k-th scores may have risen since the node began to wait.
+        active = active[bound >= best.floor[active]]
         if not len(active):
-            return
+            continue
         if len(rows) <= LEAF or radius == 0:
             for at in range(0, len(active), 4096):
                 some = active[at : at + 4096]
                 for lo in range(0, len(rows), 4 * LEAF):
                     part = rows[lo : lo + 4 * LEAF]
                     score = products(q[some], x[part])
+                    done += score.size
                     hit = (score >= best.floor[some][:, None]) & (vec[part][None, :] != best.ids[some][:, None])
                     i, j = np.nonzero(hit)
                     best.add(some[i], score[i, j], vec[part][j])
-            return
+            continue
+        own = x[rows]
         a = own[((own - centre) ** 2).sum(axis=1).argmax()]
         b = own[((own - a) ** 2).sum(axis=1).argmax()]
         side = own @ (b - a)
@@ -109,18 +130,17 @@ def search(q: np.ndarray, best: Best, x: np.ndarray, vec: np.ndarray) -> None:
         left = side <= cut
         if left.all():
             left = side < cut
-        children = [rows[left], rows[~left]]
-        # The side whose centre promises more to the queries comes first and lifts the k-th scores for the other.
-        promise = [float((q[active] @ x[c].mean(axis=0)).mean()) for c in children]
-        for c in sorted(range(2), key=lambda c: -promise[c]):
-            visit(children[c], active)
-
-    if len(x) and len(q):
-        visit(np.arange(len(x)), np.arange(len(q)))
+        if not left.any():  # the split is below what doubles tell apart
+            left = np.arange(len(rows)) < len(rows) // 2
+        wait(rows[left], active)
+        wait(rows[~left], active)
+    return done
 
 
-def _run(candidates: DataFrame, ids: np.ndarray, q: np.ndarray, floor: np.ndarray, k: int) -> DataFrame:
-    held = candidates.sparkSession.sparkContext.broadcast((ids, q, floor))
+def _run(candidates: DataFrame, ids: np.ndarray, q: np.ndarray, floor: np.ndarray, k: int, path: str) -> DataFrame:
+    """The best of every task under ``path``; the block's broadcast is gone when they are written."""
+    spark = candidates.sparkSession
+    held = spark.sparkContext.broadcast((ids, q, floor))
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, q, floor = held.value
@@ -142,7 +162,9 @@ def _run(candidates: DataFrame, ids: np.ndarray, q: np.ndarray, floor: np.ndarra
         flush()
         yield pa.RecordBatch.from_arrays([pa.array(ids[best.q]), pa.array(best.vec), pa.array(best.score)], names=["query_id", "vec_id", "score"])
 
-    return candidates.mapInArrow(find, "query_id long, vec_id long, score long")
+    candidates.mapInArrow(find, FOUND).write.mode("append").parquet(path)
+    held.destroy()
+    return spark.read.schema(FOUND).parquet(path)
 
 
 def _top(found: DataFrame, k: int) -> DataFrame:
@@ -153,26 +175,32 @@ def _top(found: DataFrame, k: int) -> DataFrame:
 def top_k(df: DataFrame, is_query: Column, id_col: str = "vec_id", vector: str = "embedding", k: int = K, scale: int = SCALE, block: int = QUERIES) -> DataFrame:
     """``(query_id, rank, vec_id, score)`` of the k best rows for every row that ``is_query`` picks.
 
-    Queries that share an id must be one row; of several, the smallest vector asks. One pass over the candidates a block.
+    Queries that share an id must be one row; of several, the smallest vector asks. One pass over the candidates a block;
+    the blocks' results are files of one table, so the plan doesn't grow with the queries.
     """
     spark = df.sparkSession
     candidates = stage(integers(df, id_col, vector, scale), "balltree")
-    asked = stage(integers(df.where(is_query), id_col, vector, scale).groupBy("vec_id").agg(F.min("v").alias("v")), "balltree-queries")
+    asked = integers(df.where(is_query), id_col, vector, scale).groupBy("vec_id").agg(F.min("v").alias("v"))
     facts = candidates.agg(F.count("*").alias("n"), F.max(F.size("v")).alias("dim")).first()
-    count = asked.count()
+    parts = max(1, -(-asked.count() // block))
+    asked = stage(asked.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(parts)).cast("int")).repartition(parts, "block"), "balltree-queries", ["block"])
     dim = facts["dim"] or 0
-    parts = max(1, -(-count // block))
     every = max(1, facts["n"] // PILOT)
     pilot = candidates.where(F.pmod(F.xxhash64("vec_id"), F.lit(every)) == 0) if every > 1 else None
-    found = spark.createDataFrame([], "query_id long, vec_id long, score long")
+    path = fresh_path(spark, "balltree-found")
+    spark.createDataFrame([], FOUND).write.parquet(path)
     for part in range(parts):
-        some = asked.where(F.pmod(F.xxhash64("vec_id"), F.lit(parts)) == part).orderBy("vec_id").toArrow()
+        some = asked.where(F.col("block") == part).orderBy("vec_id").toArrow()
         if not some.num_rows:
             continue
         ids, q = some.column("vec_id").to_numpy(), matrix(some.column("v"), dim)
         floor = np.full(len(ids), LOW, np.int64)
         if pilot is not None:
-            first = _top(_run(pilot, ids, q, floor, k), k).where(F.col("rank") == k).select("query_id", "score").toArrow()
+            tried = _run(pilot, ids, q, floor, k, fresh_path(spark, "balltree-pilot"))
+            first = _top(tried, k).where(F.col("rank") == k).select("query_id", "score").toArrow()
+            drop(tried)
             floor[np.searchsorted(ids, first.column("query_id").to_numpy())] = first.column("score").to_numpy()
-        found = found.unionByName(_run(candidates, ids, q, floor, k))
-    return _top(found, k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+        _run(candidates, ids, q, floor, k, path)
+    drop(asked)
+    drop(candidates)
+    return _top(spark.read.schema(FOUND).parquet(path), k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
