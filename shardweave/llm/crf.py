@@ -8,7 +8,8 @@ The field is fitted on a bounded sample of labelled rows (``FIT_ROWS``); scoring
 without a shuffle.
 
 Defined cases: null, empty and blank texts have no line and quality zero before the curve; null labels are not learnt
-from; with one class only, scores are all 0.5; repeated rows score alike; an empty table gives an empty result.
+from; with one class only, scores are all 0.5; repeated rows score alike; an empty table gives an empty result; other columns
+take no part. A labelled text of very many lines is a group of its own when the field is fitted.
 """
 
 from __future__ import annotations
@@ -25,6 +26,8 @@ from shardweave.llm.kneser_ney import labelled, logistic
 from shardweave.staging import stage
 
 FIT_ROWS = 4000
+#: Chains, and lines with padding, that one step of the fit holds at a time (one longer chain is held alone).
+GROUP_CHAINS, GROUP_LINES = 256, 1 << 17
 _SYMBOLS, _UPPER, _DIGITS, _LETTERS = b"#*$%&|<>", bytes(range(65, 91)), bytes(range(48, 58)), bytes([*range(65, 91), *range(97, 123), *range(128, 256)])
 #: The neighbours' features that a line sees besides its own.
 SHARED = (2, 3, 4, 6, 8, 9)
@@ -97,7 +100,11 @@ class Field:
         own, sizes = lines(text)
         if not len(own):
             return 0.0
-        got, _ = marginals((features(own) @ self.weights)[None], self.move, np.ones((1, len(own)), bool))
+        return self.mean(features(own), sizes)
+
+    def mean(self, seen: np.ndarray, sizes: np.ndarray) -> float:
+        """The marginals for good, weighted by the lengths of the lines."""
+        got, _ = marginals((seen @ self.weights)[None], self.move, np.ones((1, len(seen)), bool))
         return float((got[0, :, 1] * sizes).sum() / sizes.sum())
 
 
@@ -109,11 +116,20 @@ def padded(chains: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     return x, at
 
 
+def grouped(lengths: list[int]) -> list[list[int]]:
+    """Chains of similar length together, within the bounds of a group."""
+    out: list[list[int]] = []
+    for i in np.argsort(lengths, kind="stable").tolist():
+        if not out or len(out[-1]) >= GROUP_CHAINS or (len(out[-1]) + 1) * lengths[i] > GROUP_LINES:
+            out.append([])
+        out[-1].append(i)
+    return out
+
+
 def fit(chains: list[np.ndarray], good: np.ndarray, rounds: int = 60, rate: float = 0.15, ridge: float = 1e-3) -> Field:
     """Conditional likelihood by adaptive gradient steps over chains of similar length."""
     width = chains[0].shape[1]
-    order = np.argsort([len(c) for c in chains], kind="stable")
-    groups = [(padded([chains[i] for i in some]), good[some]) for some in np.array_split(order, max(1, len(order) // 256)) if len(some)]
+    groups = [(padded([chains[i] for i in some]), good[some]) for some in grouped([len(c) for c in chains])]
     total = sum(len(c) for c in chains)
     w, move = np.zeros((width, 2)), np.zeros((2, 2))
     seen_w, seen_m = np.full_like(w, 1e-8), np.full_like(move, 1e-8)
@@ -136,26 +152,25 @@ def fit(chains: list[np.ndarray], good: np.ndarray, rounds: int = 60, rate: floa
 
 def _extract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        own = [lines(t.as_py())[0] for t in batch.column("text")]
-        yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array([x.ravel().tolist() for x in own], pa.list_(pa.float64())), batch.column("label")], names=["id", "x", "y"])
+        own = [lines(t.as_py()) for t in batch.column("text")]
+        kind = pa.list_(pa.float64())
+        yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array([x.ravel() for x, _ in own], kind), pa.array([n for _, n in own], kind), batch.column("label")], names=["id", "x", "sizes", "y"])
 
 
 def score(docs: DataFrame, labels: DataFrame, train: Column, id_col: str = "doc_id", text: str = "text", label: str = "quality", fit_rows: int = FIT_ROWS) -> DataFrame:
     """``(id, score)`` of every row of ``docs``; labels are learnt from where ``train`` holds."""
     few = stage(labels.where(train & F.col(label).isNotNull()).orderBy(F.xxhash64(id_col), id_col).limit(fit_rows), "crf-rows")
-    some = labelled(docs.select(id_col, text), few, id_col, label)
-    shown = some.select(F.col(id_col).cast("long").alias("id"), F.col(text).cast("binary").alias("text"), "label")
-    got = shown.mapInArrow(_extract, "id long, x array<double>, y int").toPandas()
+    some = labelled(docs.select(F.col(id_col), F.col(text).alias("text")), few, id_col, label)
+    shown = some.select(F.col(id_col).cast("long").alias("id"), F.col("text").cast("binary").alias("text"), "label")
+    got = shown.mapInArrow(_extract, "id long, x array<double>, sizes array<double>, y int").toPandas()
     got["x"] = got["x"].map(lambda v: features(np.array(v, float).reshape(-1, WIDTH)))
     got = got[got["x"].map(len) > 0].sort_values("id", kind="stable")
     field, weights = None, np.zeros(2)
     if got["y"].nunique() == 2:
         field = fit(got["x"].tolist(), got["y"].to_numpy(int))
         means = []
-        for x in got["x"]:
-            p, _ = marginals((x @ field.weights)[None], field.move, np.ones((1, len(x)), bool))
-            size = np.exp(x[:, 0]) * x[:, 1]
-            means.append((p[0, :, 1] * size).sum() / size.sum())
+        for x, sizes in zip(got["x"], got["sizes"], strict=True):
+            means.append(field.mean(x, np.array(sizes, float)))
         weights = logistic(_odds(np.array(means))[:, None], got["y"].to_numpy(float))
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
