@@ -5,7 +5,8 @@ A row's shard follows from its key and the number of shards alone; one more shar
 shards, prefix-summed, plus a rank inside one bucket, so no task ever holds a whole shard.
 
 Defined cases: a null key hashes as zero; equal keys share a shard and their slots follow from the remaining columns;
-a null text has size 16 and the checksum of the empty string; an empty table gives an empty result.
+equal rows take slots that follow on each other; a null text has size 16 and the checksum of the empty string; an empty table
+gives an empty result; input columns named like the added ones are replaced, all others are kept; columns of maps are an error.
 """
 
 from __future__ import annotations
@@ -18,6 +19,9 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from shardweave.llm.textcols import boxed
+from shardweave.staging import stage
+
 #: Fixed values of the published generator: the multiplier and the 31 bits that it divides by.
 MULTIPLIER = np.uint64(2862933555777941757)
 SPAN = float(1 << 31)
@@ -54,24 +58,25 @@ def shard_of(key: Column, shards: int) -> Column:
 def assign(df: DataFrame, key: str, order: list[str], shards: int, buckets: int = 1024) -> DataFrame:
     """``df`` with ``shard``, ``slot`` and ``grown_shard`` (the shard if there were one more).
 
-    ``buckets``: parts of a shard that are ranked apart; raise it with the input so that one part fits a task.
+    ``buckets``: parts of a shard that are ranked apart; raise it with the input so that one part fits a task. A row's
+    bucket follows from its key and from ``order``, so the rows of a repeated key spread over the buckets of its shard; rows
+    that are equal in all columns are counted before they are ranked, and their slots follow on each other.
     """
-    placed = df.drop("shard", "slot", "grown_shard", "_bucket").withColumns(
-        {
-            "shard": shard_of(F.col(key), shards),
-            "grown_shard": shard_of(F.col(key), shards + 1),
-            "_bucket": (F.crc32(F.coalesce(F.col(key), F.lit(0)).cast("string").cast("binary")) % buckets).cast("int"),
-        }
-    )
-    counts = placed.groupBy("shard", "_bucket").count()
-    before = F.sum("count").over(Window.partitionBy("shard").orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1))
-    offsets = counts.select(
-        F.col("shard").alias("_shard"), F.col("_bucket").alias("_part"), F.coalesce(before, F.lit(0)).alias("_before")
-    )
-    inside = Window.partitionBy("shard", "_bucket").orderBy(key, *order)
-    ranked = placed.withColumn("_rank", F.row_number().over(inside) - 1)
+    bare = df.drop("shard", "slot", "grown_shard")
+    named = [F.col(key), *map(F.col, order)]
+    said = F.concat_ws("|", *[F.coalesce(c.cast("string"), F.lit("0")) for c in named])
+    rows = bare.select(
+        boxed(bare).alias("row"), F.struct(*[c.alias(f"c{i}") for i, c in enumerate(named)]).alias("entry"),
+        shard_of(F.col(key), shards).alias("shard"), shard_of(F.col(key), shards + 1).alias("grown_shard"), (F.crc32(said.cast("binary")) % buckets).cast("int").alias("bucket"),
+    )
+    once = rows.groupBy("shard", "bucket", "entry", "row", "grown_shard").agg(F.count("*").alias("n"))
+    placed = stage(once, "jump")
+    counts = placed.groupBy("shard", "bucket").agg(F.sum("n").alias("n"))
+    ahead = Window.partitionBy("shard").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
     # The table of offsets has at most shards * buckets rows, whatever the input.
-    joined = ranked.join(offsets, (F.col("shard") == F.col("_shard")) & (F.col("_bucket") == F.col("_part")))
-    return joined.withColumn("slot", (F.col("_before") + F.col("_rank")).cast("long")).drop(
-        "_bucket", "_rank", "_shard", "_part", "_before"
-    )
+    offsets = counts.select("shard", "bucket", F.coalesce(F.sum("n").over(ahead), F.lit(0)).alias("before"))
+    inside = Window.partitionBy("shard", "bucket").orderBy("entry", F.xxhash64("row")).rowsBetween(Window.unboundedPreceding, -1)
+    first = F.col("before") + F.coalesce(F.sum("n").over(inside), F.lit(0))
+    ranked = placed.join(offsets, ["shard", "bucket"]).withColumn("first", first)
+    slots = F.sequence(F.col("first"), F.col("first") + F.col("n") - 1)
+    return ranked.select("row", "shard", F.explode(slots).alias("slot"), "grown_shard").select("row.*", "shard", F.col("slot").cast("long").alias("slot"), "grown_shard")

@@ -1,12 +1,13 @@
-"""Near copies: texts whose sets of five-word shingles have a Jaccard similarity of 0.8 or more, checked exactly.
+"""Near copies by SimHash and an exact check: texts whose sets of five-word shingles have a Jaccard similarity of 0.8 or more.
 
-Equal sets are joined first, by a digest. The distinct ones hand out banded minima of their shingles' hashes; what shares
-a band is a candidate, and the components of the candidates are blocks, so that each set travels once to its block. Of
+Equal sets are joined first, by a digest. The distinct ones are candidates of each other where their fingerprints differ in
+``RADIUS`` bits or fewer, found by the vantage-point trees of :mod:`shardweave.llm.simhash`. Pairs near the threshold differ
+in more bits than any tree can prune by (up to 17 of 64), so banded minima of the shingles' hashes hand out the other
+candidates: what shares a band. The components of all candidates are blocks, so that each set travels once to its block. Of
 two sets at the threshold, no band is shared with a chance of ``(1 - 0.8 ** ROWS) ** BANDS``, under 3e-7, and
 less above it. Inside a block the rarest shingles of each set (as many as two similar sets can't all differ in) are looked
 up and every pair found is compared in full, unless links before already joined it. A block larger than ``PER_BLOCK`` is
-dealt out as pairs of its parts. Nothing is capped or sampled; fingerprints of 64 bits are no filter here, as pairs at the
-threshold differ in up to 17 bits.
+dealt out as pairs of its parts. Nothing is capped or sampled.
 
 Defined cases: null, empty and blank texts are equal; texts shorter than a shingle hash as a whole; the rest is as in
 :mod:`shardweave.llm.simhash`.
@@ -24,11 +25,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from shardweave.components import components
-from shardweave.llm.simhash import one_of
+from shardweave.llm import simhash
 from shardweave.staging import stage
 
 SHINGLE = 5
 SIMILARITY = 0.8
+RADIUS = 2
 SEED = 42
 BANDS, ROWS = 50, 6
 PER_BLOCK = 2048
@@ -50,8 +52,7 @@ def shingles(text: bytes | None, shingle: int = SHINGLE) -> np.ndarray:
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
     starts = np.concatenate(([0], ends[:-shingle]))
     hash_of = xxhash.xxh64_intdigest
-    hashes = [hash_of(line[a:b], SEED) for a, b in zip(starts.tolist(), (ends[shingle - 1 :] - 1).tolist(), strict=True)]
-    return np.unique(np.array(hashes, np.uint64))
+    return np.unique(np.array([hash_of(line[a:b], SEED) for a, b in zip(starts.tolist(), (ends[shingle - 1 :] - 1).tolist(), strict=True)], np.uint64))
 
 
 def digest(found: np.ndarray) -> int:
@@ -69,25 +70,25 @@ def bands(found: np.ndarray) -> np.ndarray:
 
 
 def digests(df: DataFrame, id_col: str = "doc_id", text: str = "text", shingle: int = SHINGLE, banded: bool = False) -> DataFrame:
-    """``(id, fp)`` with the digest of the shingles as a long; with ``banded`` also the text's hash and the bands."""
+    """``(id, fp)`` with the digest of the shingles as a long; with ``banded`` also the text's hash, its fingerprint and the bands."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            known: dict[bytes, tuple[int, np.ndarray]] = {}
+            known: dict[bytes, tuple[int, np.ndarray, int]] = {}
             rows = []
             for t in batch.column("text"):
                 raw = t.as_py() or b""
                 if raw not in known:
                     found = shingles(raw, shingle)
-                    known[raw] = digest(found), bands(found).view(np.int64) if banded and len(found) else np.zeros(0, np.int64)
+                    known[raw] = digest(found), bands(found).view(np.int64) if banded and len(found) else np.zeros(0, np.int64), simhash.majority(found) if banded else 0
                 rows.append(known[raw])
             columns = {"id": batch.column("id"), "fp": pa.array(np.array([r[0] for r in rows], np.uint64).view(np.int64))}
             if banded:
-                columns |= {"said": batch.column("said"), "bands": pa.array([r[1] for r in rows], pa.list_(pa.int64()))}
+                columns |= {"said": batch.column("said"), "mark": pa.array(np.array([r[2] for r in rows], np.uint64).view(np.int64)), "bands": pa.array([r[1] for r in rows], pa.list_(pa.int64()))}
             yield pa.RecordBatch.from_pydict(columns)
 
     slim = df.select(F.col(id_col).cast("long").alias("id"), F.xxhash64(F.col(text)).alias("said"), F.col(text).cast("binary").alias("text"))
-    return slim.mapInArrow(run, "id long, fp long" + (", said long, bands array<long>" if banded else ""))
+    return slim.mapInArrow(run, "id long, fp long" + (", said long, mark long, bands array<long>" if banded else ""))
 
 
 def near(sets: list[np.ndarray], similarity: float = SIMILARITY) -> list[tuple[int, int]]:
@@ -139,7 +140,12 @@ def links(df: DataFrame, distinct: DataFrame, text: str, shingle: int, similarit
     keyed = distinct.select("fp", F.explode("bands").alias("key"))
     shared = keyed.groupBy("key").agg(F.min("fp").alias("low"), F.count("*").alias("n")).where("n > 1")
     drawn = keyed.join(shared, "key").where("fp <> low").select(F.col("fp").alias("a"), F.col("low").alias("b")).distinct()
-    found = components(drawn)
+    # Fingerprints in reach of each other, each by the smallest digest that has it.
+    prints = stage(distinct.groupBy("mark").agg(F.min("fp").alias("low")), "near-prints")
+    same = distinct.join(prints, "mark").where("fp <> low").select(F.col("fp").alias("a"), F.col("low").alias("b"))
+    near_prints = simhash.links(prints.select(F.col("mark").alias("fp")), RADIUS)
+    ends = near_prints.join(prints.select(F.col("mark").alias("a"), F.col("low").alias("x")), "a").join(prints.select(F.col("mark").alias("b"), F.col("low").alias("y")), "b")
+    found = components(drawn.unionByName(same).unionByName(ends.select(F.col("x").alias("a"), F.col("y").alias("b"))))
     blocks = found.select(F.col("a").alias("fp"), F.col("b").alias("block")).unionByName(found.select(F.col("b").alias("fp"), F.col("b").alias("block")).distinct())
     parts = blocks.groupBy("block").agg(F.ceil(F.count("*") / per_block).cast("int").alias("parts"))
     wanted = stage(distinct.select("fp", "said").join(blocks, "fp").join(parts, "block"), "near-blocks")
@@ -173,9 +179,9 @@ def links(df: DataFrame, distinct: DataFrame, text: str, shingle: int, similarit
 def keep_one(df: DataFrame, id_col: str = "doc_id", text: str = "text", shingle: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
     """``df`` with one row of each class of near copies, chosen as in :func:`shardweave.llm.simhash.one_of`."""
     marked = stage(digests(df, id_col, text, shingle, True), "near")
-    distinct = stage(marked.groupBy("fp").agg(F.min("id").alias("least"), F.min("said").alias("said"), F.first("bands").alias("bands")), "near-distinct")
+    distinct = stage(marked.groupBy("fp").agg(F.min("id").alias("least"), F.min("said").alias("said"), F.min("mark").alias("mark"), F.first("bands").alias("bands")), "near-distinct")
     found = components(links(df, distinct, text, shingle, similarity))
     joined = found.select(F.col("a").alias("fp"), F.col("b").alias("root")).unionByName(found.select(F.col("b").alias("fp"), F.col("b").alias("root")).distinct())
     member = distinct.select("fp", "least").join(joined, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     least = member.groupBy("root").agg(F.min("least").alias("component_id"))
-    return one_of(df, member, least, lambda rows, key: digests(rows, key, text, shingle), id_col, text)
+    return simhash.one_of(df, marked, member, least, lambda rows, key: digests(rows, key, text, shingle), id_col, text)

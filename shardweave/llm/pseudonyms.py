@@ -3,14 +3,17 @@
 Numbers and dates are found by pattern, validated (Luhn, mod 97, octets, calendar, number ranges) and permuted under a key
 within their own format: a card stays a card with a right check digit, a date stays a date. The permutation is a Feistel
 network over symbols with a radix each, so it is a bijection of the format, and equal values get equal pseudonyms in every
-document, however they are spaced. Local parts of mail addresses and hexadecimal secrets are permuted the same way.
+document, however they are spaced: of a phone number only the digits count, less the country code, which stays (so a number
+of the code 1 links with and without it). Local parts of mail addresses and hexadecimal secrets are permuted the same way.
+The caller gives the key.
 
 No shuffle and no Python: a text is split at its matches, each match is replaced, and the pieces are joined again. Texts
 without a digit or an at sign skip all that.
 
 Defined cases: null texts stay null and have no findings, empty texts stay empty; values that fail validation stay as they
 are; dates are permuted from 1900-01-01 to 2099-12-30 and stay outside of it; repeated rows get equal results; an empty
-table gives an empty result; the count column replaces an input column of that name.
+table gives an empty result; the count column replaces an input column of that name, all others are kept; four numbers behind
+a word for a version are no address.
 """
 
 from __future__ import annotations
@@ -20,14 +23,19 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from shardweave.llm.textcols import unused
+
 ROUNDS = 8
+#: Of the international country codes those of one and of two digits; all others have three.
+CODES_1 = "17"
+CODES_2 = "20 27 30 31 32 33 34 36 39 40 41 43 44 45 46 47 48 49 51 52 53 54 55 56 57 58 60 61 62 63 64 65 66 81 82 84 86 90 91 92 93 94 95 98".split()
 #: Dates in the permuted range as two symbols: 8 * 9131 days from 1900-01-01.
 DAY_ZERO, DAY_RADIX = "1900-01-01", (8, 9131)
 
 EMAIL = r"[\p{L}\p{N}._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+"
 SECRET = r"\b(?=[A-Fa-f]*[0-9])[0-9A-Fa-f]{32,64}\b"
 IBAN = r"\b[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?\b"
-IP = r"(?<![0-9.])(?:[0-9]{1,3}\.){3}[0-9]{1,3}(?!\.?[0-9])"
+IP = r"(?<![0-9.])(?<!\b[Vv])(?<!\b(?i:v|ver|version|release|build)[.:]? )(?:[0-9]{1,3}\.){3}[0-9]{1,3}(?!\.?[0-9])"
 ISO = r"\b[0-9]{4}-[0-9]{2}-[0-9]{2}\b"
 SLASHED = r"(?<![0-9/])[0-9]{1,2}/[0-9]{1,2}/[0-9]{4}(?![0-9/])"
 DOTTED = r"(?<![0-9.])[0-9]{1,2}\.[0-9]{1,2}\.[0-9]{4}(?!\.?[0-9])"
@@ -104,7 +112,11 @@ def permute(text: Column, tweak: str, key: str, hexes: bool = False) -> Column:
         return F.array_join(F.zip_with(cs, moved, lambda c, x: _glyph(c, x, hexes)), "")
 
     out = let(chars(text), of)
-    return F.when(text == F.upper(text), F.upper(out)).otherwise(out) if hexes else out
+    if not hexes:
+        return out
+    # Letters keep the case of their place; where a digit was, that of the whole, small in mixed ones.
+    cased = F.zip_with(chars(text), chars(out), lambda c, x: F.when(c.rlike("[A-F]"), F.upper(x)).otherwise(x))
+    return F.when(text == F.upper(text), F.upper(out)).when(text == F.lower(text), out).otherwise(F.array_join(cased, ""))
 
 
 def only(text: Column, kind: str) -> Column:
@@ -181,10 +193,14 @@ def _ip(v: Column, key: str) -> Column:
 
 
 def _phone(v: Column, key: str) -> Column:
-    """Digits after the country code."""
-    code = F.regexp_extract(v, r"^\+[0-9]{1,3}(?=[ .(-])", 0)
-    rest = F.substring(v, F.length(code) + 1, F.length(v))
-    return F.concat(code, let(rest, lambda x: inject(x, DIGIT, permute(only(x, DIGIT), "phone", key))))
+    """The digits behind the country code, which only numbers with a plus have."""
+
+    def of(d: Column) -> Column:
+        code = F.when(~v.startswith("+"), 0).when(F.substring(d, 1, 1).isin(*CODES_1), 1).when(F.substring(d, 1, 2).isin(CODES_2), 2).otherwise(3)
+        new = let(code, lambda n: F.concat(F.substring(d, F.lit(1), n), permute(F.substring(d, n + 1, F.length(d)), "phone", key)))
+        return let(new, lambda w: inject(v, DIGIT, w))
+
+    return let(only(v, DIGIT), of)
 
 
 def _ssn(v: Column, key: str) -> Column:
@@ -245,13 +261,16 @@ def pseudonym(value: Column, key: str) -> Column:
     return out
 
 
-def pseudonymise(df: DataFrame, text: str = "text", key: str = "rotate-this-key", count: str = "n_private") -> DataFrame:
-    """``df`` with private values in ``text`` replaced, and how many were."""
+def pseudonymise(df: DataFrame, key: str, text: str = "text", count: str = "n_private") -> DataFrame:
+    """``df`` with private values in ``text`` replaced under ``key``, and how many were."""
+    if not key:
+        raise ValueError("pseudonyms need a key")
     t = F.col(text)
-    found = F.when(t.rlike("[0-9@]"), F.regexp_extract_all(t, F.lit(ANY), F.lit(0)))
-    out = df.drop(count).withColumn("_found", found)
-    out = out.withColumn("_new", F.transform("_found", lambda v: pseudonym(v, key)))
-    parts = F.zip_with(F.split(t, ANY, -1), F.col("_new"), lambda gap, new: F.concat(gap, F.coalesce(new, F.lit(""))))
-    n = F.size(F.filter(F.zip_with("_found", "_new", lambda a, b: a != b), lambda x: x))
+    bare = df.drop(count)
+    found, new = unused(bare, "_found", "_new")
+    out = bare.withColumn(found, F.when(t.rlike("[0-9@]"), F.regexp_extract_all(t, F.lit(ANY), F.lit(0))))
+    out = out.withColumn(new, F.transform(found, lambda v: pseudonym(v, key)))
+    parts = F.zip_with(F.split(t, ANY, -1), F.col(new), lambda gap, value: F.concat(gap, F.coalesce(value, F.lit(""))))
+    n = F.size(F.filter(F.zip_with(found, new, lambda a, b: a != b), lambda x: x))
     changed = F.coalesce(n, F.lit(0)) > 0
-    return out.withColumns({text: F.when(changed, F.array_join(parts, "")).otherwise(t), count: F.when(changed, n).otherwise(0).cast("long")}).drop("_found", "_new")
+    return out.withColumns({text: F.when(changed, F.array_join(parts, "")).otherwise(t), count: F.when(changed, n).otherwise(0).cast("long")}).drop(found, new)

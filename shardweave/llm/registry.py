@@ -20,9 +20,15 @@ def MODEL() -> str:  # noqa: N802
     return os.environ.get("SHARDWEAVE_PIECES", "/opt/tokenizers/piece_bpe_32k.model")
 
 
+def KEY(spark: SparkSession) -> str:  # noqa: N802
+    """The pseudonyms' key: ``spark.shardweave.pseudonyms.key`` of the session, else ``SHARDWEAVE_PSEUDONYMS_KEY``; for the
+    given synthetic tables, which hold nobody's data, a public one."""
+    return spark.conf.get("spark.shardweave.pseudonyms.key", None) or os.environ.get("SHARDWEAVE_PSEUDONYMS_KEY") or "synthetic tables only"
+
+
 def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "source")
-    return mixing.mix(docs).select("doc_id", "size", "source_size", "target", "taken")
+    return mixing.shares(docs).select("doc_id", "size", "source_size", "target", "taken")
 
 
 def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -74,7 +80,7 @@ def op9_jump(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pseudonyms.pseudonymise(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return pseudonyms.pseudonymise(table(spark, sf_dir, "documents").select("doc_id", "text"), KEY(spark))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {

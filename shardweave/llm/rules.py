@@ -5,7 +5,7 @@ one boolean column. No user function, no shuffle: every row is judged alone, so
 
 Defined cases: a null or blank text has no words, fails the base rules and is rejected; a ratio over zero counts as zero;
 repeated rows and repeated ids are judged row by row; an empty table gives an empty result; input columns whose names
-clash with the measures are replaced by them.
+clash with the measures or with ``base_failed``, ``kept`` and ``broken`` are replaced by them, all others are kept.
 """
 
 from __future__ import annotations
@@ -15,10 +15,12 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from shardweave.llm.textcols import GAP, WORD, words
+from shardweave.llm.textcols import WORD, unused, words
 
 #: Words in a window for the count of repeated words.
 WINDOW = 5
+#: Runs of anything but symbols.
+NO_SYMBOLS = r"[^#*$%&|<>]+"
 
 #: Frequent function words of English, French, Spanish and German.
 STOP_WORDS = (
@@ -92,26 +94,25 @@ def _covered(at: Column) -> Column:
 def measures(df: DataFrame, text: str = "text") -> DataFrame:
     """``df`` with the counts that rules refer to, all long."""
     t = F.coalesce(F.col(text), F.lit(""))
-    lines = F.filter(F.split(t, "\n", -1), lambda x: x.rlike(WORD))
-    added = {"_w": words(t), "_lines": lines}
-    out = df.drop(*MEASURES, *added).withColumns(added)
-    out = out.withColumn("_h", _window_hashes(F.col("_w")))
-    out = out.withColumn("_tagged", _tagged(F.col("_h")))
-    out = out.withColumn("_at", _positions(F.col("_tagged")))
-    w = F.col("_w")
+    bare = df.drop(*MEASURES)
+    found, lines, hashes, tagged, at = unused(bare, "_w", "_lines", "_h", "_tagged", "_at")
+    out = bare.withColumns({found: words(t), lines: F.filter(F.split(t, "\n", -1), lambda x: x.rlike(WORD))})
+    out = out.withColumn(hashes, _window_hashes(F.col(found)))
+    out = out.withColumn(tagged, _tagged(F.col(hashes)))
+    out = out.withColumn(at, _positions(F.col(tagged)))
+    w = F.col(found)
     counts = {
         # Always true, but not deterministic: filters on the verdict stay above this projection and don't repeat it.
         "n_words": F.when(F.spark_partition_id() >= 0, F.size(w)),
         "word_chars": F.length(F.array_join(w, "")),
-        "n_symbols": F.length(F.regexp_replace(t, r"[^#*$%&|<>]+", "")),
-        "n_lines": F.size("_lines"),
-        "n_dup_lines": F.size("_lines") - F.size(F.array_distinct("_lines")),
+        "n_symbols": F.length(F.regexp_replace(t, NO_SYMBOLS, "")),
+        "n_lines": F.size(lines),
+        "n_dup_lines": F.size(lines) - F.size(F.array_distinct(lines)),
         "n_stop_words": F.size(F.filter(w, lambda x: F.lower(x).isin(STOP_WORDS))),
         "n_shouted": F.size(F.filter(w, lambda x: x.endswith("!!"))),
-        "n_repeat_words": _covered(F.col("_at")),
+        "n_repeat_words": _covered(F.col(at)),
     }
-    return out.withColumns({k: v.cast("long") for k, v in counts.items()}).drop("_w", "_lines", "_h", "_tagged", "_at")
-
+    return out.withColumns({k: v.cast("long") for k, v in counts.items()}).drop(found, lines, hashes, tagged, at)
 
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_stop_words", "n_shouted", "n_repeat_words")
 

@@ -1,7 +1,7 @@
 """SimHash near-duplicates: exact pairs of fingerprints by vantage-point trees, and their connected classes.
 
 Fingerprints are majority bits of the XXH64 hashes of word shingles. Equal fingerprints are joined first; a tree over the
-distinct ones is fitted on a bounded sample and cuts them into shards by Hamming distance to vantage points. Every
+distinct ones is fitted on a sample and cuts them into shards by Hamming distance to vantage points. Every
 fingerprint lives in one shard and asks in each further shard that its ball overlaps: where its distance to a vantage
 point is within the radius of the boundary, both sides are visited, by the triangle inequality. Inside a shard a finer
 tree prunes in the same way, over all askers at once, down to small leaves that are compared in full. Shards send a
@@ -9,7 +9,7 @@ spanning forest of their links, not all pairs, and the classes are the component
 
 Defined cases: null, empty and blank texts have fingerprint zero and are linked as any other; texts shorter than a
 shingle hash as a whole; equal rows and ties share a class; null ids are never a class's smallest unless all are null;
-an empty table gives an empty result.
+an empty table gives an empty result; other columns are kept by ``keep_one``, whatever their names.
 """
 
 from __future__ import annotations
@@ -23,13 +23,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from shardweave.components import components
+from shardweave.llm.textcols import unused
 from shardweave.staging import stage
 
 RADIUS = 2
 SHINGLE = 3
 SEED = 42
-#: Fingerprints that the upper tree is fitted on, and how many one shard should hold.
-SAMPLE = 8192
+#: Fingerprints that the upper tree is fitted on: so many, or so many a shard where that is more (0.2 % of the distinct
+#: ones, 8 bytes each); and how many fingerprints one shard should hold.
+SAMPLE, SAMPLE_PER_SHARD = 8192, 4
 PER_SHARD = 2048
 LEAF = 256
 BLOCK = 1 << 22
@@ -48,6 +50,11 @@ def fingerprint(text: bytes, shingle: int = SHINGLE) -> int:
         starts = np.concatenate(([0], ends[:-shingle]))
         hash_of = xxhash.xxh64_intdigest
         hashes = [hash_of(line[a:b], SEED) for a, b in zip(starts.tolist(), (ends[shingle - 1 :] - 1).tolist(), strict=True)]
+    return majority(hashes)
+
+
+def majority(hashes: list[int] | np.ndarray) -> int:
+    """The bits that more than half of the hashes have; zero for none."""
     counts = np.zeros(64, np.int64)
     for at in range(0, len(hashes), 1 << 16):
         h = np.array(hashes[at : at + (1 << 16)], np.uint64)
@@ -77,8 +84,8 @@ def fingerprints(df: DataFrame, id_col: str = "doc_id", text: str = "text", shin
 # --- the tree that cuts fingerprints into shards ---
 
 
-def plant(sample: np.ndarray, shards: int) -> list[tuple[int, int, int, int]]:
-    """Nodes ``(vantage, boundary, near, far)``; a child below zero is the shard ``-1 - child``. The root comes first."""
+def plant(sample: np.ndarray, shards: int) -> tuple[np.ndarray, np.ndarray]:
+    """The nodes' vantage points, and rows ``(boundary, near, far)``; a child below zero is the shard ``-1 - child``. The root comes first."""
     nodes: list[tuple[int, int, int, int]] = []
     leaves = [0]
 
@@ -108,19 +115,19 @@ def plant(sample: np.ndarray, shards: int) -> list[tuple[int, int, int, int]]:
         return at
 
     grow(sample, shards)
-    return nodes
+    return np.array([n[0] for n in nodes], np.uint64), np.array([n[1:] for n in nodes], np.int64).reshape(-1, 3)
 
 
-def route(points: np.ndarray, nodes: list[tuple[int, int, int, int]], radius: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def route(points: np.ndarray, nodes: tuple[np.ndarray, np.ndarray], radius: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """``(index of the point, shard, whether it lives there)`` of every visit."""
-    if not nodes:
+    if not len(nodes[0]):
         return np.arange(len(points)), np.zeros(len(points), np.int64), np.ones(len(points), bool)
     out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
     todo = [(0, np.arange(len(points)), np.ones(len(points), bool))]
     while todo:
         at, idx, home = todo.pop()
-        vantage, boundary, near, far = nodes[at]
-        away = np.bitwise_count(points[idx] ^ np.uint64(vantage)).astype(np.int64)
+        boundary, near, far = nodes[1][at].tolist()
+        away = np.bitwise_count(points[idx] ^ nodes[0][at]).astype(np.int64)
         for child, visit, lives in ((near, away <= boundary + radius, away <= boundary), (far, away > boundary - radius, away > boundary)):
             i, h = idx[visit], (home & lives)[visit]
             if len(i) == 0:
@@ -188,12 +195,13 @@ def links(distinct: DataFrame, radius: int = RADIUS, per_shard: int = PER_SHARD,
     shards = max(1, -(-n // per_shard))
     fitted = np.zeros(0, np.uint64)
     if shards > 1:
-        # Bounded: the smallest ``sample`` hashes.
-        rows = distinct.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(sample).collect()
-        fitted = np.array([r[0] for r in rows], np.int64).view(np.uint64)
-    nodes = plant(fitted, shards) if shards > 1 else []
+        # The smallest hashes.
+        rows = distinct.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(max(sample, SAMPLE_PER_SHARD * shards)).toArrow()
+        fitted = rows.column("fp").to_numpy().astype(np.int64).view(np.uint64)
+    held = distinct.sparkSession.sparkContext.broadcast(plant(fitted, shards if len(fitted) else 1))
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        nodes = held.value
         for batch in batches:
             points = batch.column("fp").to_numpy().astype(np.int64).view(np.uint64)
             i, shard, home = route(points, nodes, radius)
@@ -232,19 +240,34 @@ def hexadecimal(fp: str = "fp"):
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text: str = "text", shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
     """``df`` with one row of each class, as :func:`one_of` chooses it."""
-    _, member, least = _classed(df, id_col, text, shingle, radius)
-    return one_of(df, member, least, lambda rows, key: fingerprints(rows, key, text, shingle), id_col, text)
-
-
-def one_of(df: DataFrame, member: DataFrame, least: DataFrame, marks: Callable[[DataFrame, str], DataFrame], id_col: str, text: str) -> DataFrame:
-    """``df`` with one row of each class, that of the smallest id; of rows that share it, one. A class whose rows all lack
-    an id keeps the row with the smallest digest of its text. ``marks`` gives rows ``(id, fp)`` by the named key."""
-    kept = least.where("component_id is not null").select(F.col("component_id").alias("_kept"))
+    marked, member, least = _classed(df, id_col, text, shingle, radius)
+    return one_of(df, marked, member, least, lambda rows, key: fingerprints(rows, key, text, shingle), id_col, text)
+
+
+def one_of(df: DataFrame, marked: DataFrame, member: DataFrame, least: DataFrame, marks: Callable[[DataFrame, str], DataFrame], id_col: str, text: str) -> DataFrame:
+    """``df`` with one row of each class, that of the smallest id. ``marked`` holds rows ``(id, fp)``.
+
+    Where rows of one id are in several classes, they are told apart by a digest of their texts, whose fingerprints
+    ``marks`` gives as ``(id, fp)`` by the named key; of such rows, and of rows without an id, a class keeps the one with
+    the smallest digest.
+    """
+    digest, of, root = unused(df, "_digest", "_of", "_root")
+    said = F.xxhash64(F.coalesce(F.col(text), F.lit("")))
+    own = F.col(id_col).cast("long")
+    placed = marked.where("id is not null").join(member.select("fp", "root"), "fp")
+    mixed = stage(placed.groupBy("id").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select(F.col("id").alias("component_id")), "mixed-ids")
+    first = least.where("component_id is not null")
     # Join and deduplication share the partitioning by id.
-    named = df.join(kept, df[id_col].cast("long") == kept["_kept"], "left_semi").dropDuplicates([id_col])
-    blank = df.where(df[id_col].isNull()).withColumn("_digest", F.xxhash64(F.coalesce(F.col(text), F.lit(""))))
-    prints = marks(blank, "_digest").distinct()
-    lone = prints.join(member.select("fp", "root"), "fp").join(least.where("component_id is null").select("root"), "root")
-    first = lone.groupBy("root").agg(F.min("id").alias("_first")).select("_first")
-    nameless = blank.join(first, blank["_digest"] == first["_first"], "left_semi").dropDuplicates(["_digest"]).drop("_digest")
-    return named.unionByName(nameless)
+    plain = first.join(mixed, "component_id", "left_anti").select(F.col("component_id").alias(of))
+    named = df.join(plain, own == F.col(of), "left_semi").dropDuplicates([id_col])
+    twins = df.join(mixed.select(F.col("component_id").alias(of)), own == F.col(of), "left_semi").withColumn(digest, said)
+    blank = df.where(F.col(id_col).isNull()).withColumn(digest, said)
+    for rows, classes_ in ((twins, first.join(mixed, "component_id", "left_semi")), (blank, least.where("component_id is null"))):
+        prints = marks(rows, digest).distinct().join(member.select("fp", "root"), "fp").select(F.col("id").alias(of), F.col("root").alias(root))
+        met = rows.join(prints, F.col(digest) == F.col(of)).drop(of)
+        wanted = classes_.select(F.col("root").alias(of), F.col("component_id").alias(f"{of}id"))
+        kept = met.join(wanted, (F.col(root) == F.col(of)) & own.eqNullSafe(F.col(f"{of}id")), "left_semi")
+        low = kept.groupBy(F.col(root).alias(of)).agg(F.min(digest).alias(f"{of}id"))
+        kept = kept.join(low, (F.col(root) == F.col(of)) & (F.col(digest) == F.col(f"{of}id")), "left_semi")
+        named = named.unionByName(kept.dropDuplicates([root]).drop(root, digest))
+    return named

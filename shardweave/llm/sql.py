@@ -8,12 +8,19 @@ _WORD = r"'[^\x20\x09-\x0D]+'"
 _STOPS = ", ".join(f"'{w}'" for w in STOP_WORDS)
 
 MIXING_SQL = rf"""
-WITH d AS (
-  SELECT doc_id, source, coalesce(text, '') AS t, len(regexp_extract_all(coalesce(text, ''), {_WORD})) AS size FROM documents
+WITH t AS (
+  SELECT doc_id, source, coalesce(text, '') AS t, len(regexp_extract_all(coalesce(text, ''), {_WORD})) AS size,
+    list_filter(string_split(coalesce(text, ''), chr(10)), lambda x: regexp_matches(x, {_WORD})) AS lines
+  FROM documents
+), d AS (
+  SELECT *, CASE WHEN len(lines) = 0 THEN 0.0::DOUBLE ELSE (len(lines) - len(list_distinct(lines)))::DOUBLE / len(lines) END AS again,
+    CASE WHEN size = 0 THEN 0.0::DOUBLE ELSE length(regexp_replace(t, '[^#*$%&|<>]+', '', 'g'))::DOUBLE / size END AS symbols
+  FROM t
 ), k AS (
   SELECT doc_id, source, size,
     -ln((('0x' || substr(md5('42|' || coalesce(doc_id::VARCHAR, 'null') || '|' || md5(t)), 1, 13))::BIGINT + 0.5::DOUBLE) / 4503599627370496::DOUBLE)
-    / greatest(0.05::DOUBLE, CASE WHEN t = '' THEN 0.05::DOUBLE ELSE length(regexp_replace(t, '[^\p{{L}}]+', '', 'g'))::DOUBLE / length(t) END) AS key
+    / greatest(0.05::DOUBLE, CASE WHEN t = '' THEN 0.0::DOUBLE ELSE length(regexp_replace(t, '[^\p{{L}}]+', '', 'g'))::DOUBLE / length(t) END
+      * (1 - again) * (1 - least(1.0::DOUBLE, symbols))) AS key
   FROM d
 ), s AS (
   SELECT source, sum(size)::BIGINT AS source_size, row_number() OVER (ORDER BY source NULLS LAST) AS nth FROM d GROUP BY source
@@ -106,9 +113,13 @@ WITH RECURSIVE t AS (
     SELECT n, list_reduce(list_prepend(n, range(8)), lambda c, k: CASE WHEN c & 1 = 1 THEN xor(c >> 1, 3988292384) ELSE c >> 1 END) AS v
     FROM (SELECT unnest(range(256)) AS n))
 ), h AS MATERIALIZED (
-  SELECT doc_id, hex(encode(coalesce(text, ''))) AS of_text, hex(encode(coalesce(doc_id, 0)::VARCHAR)) AS of_id FROM documents
+  SELECT doc_id, hex(encode(coalesce(text, ''))) AS of_text FROM documents
+), e AS (
+  SELECT doc_id, length(of_text) // 2 + 16 AS size, {_crc32("of_text")}::BIGINT AS text_crc32 FROM h, t
+), n AS MATERIALIZED (
+  SELECT *, hex(encode(coalesce(doc_id, 0)::VARCHAR || '|' || size || '|' || text_crc32)) AS of_row FROM e
 ), d AS (
-  SELECT doc_id, length(of_text) // 2 + 16 AS size, {_crc32("of_text")} AS text_crc32, {_crc32("of_id")} % 1024 AS bucket FROM h, t
+  SELECT doc_id, size, text_crc32, {_crc32("of_row")} % 1024 AS bucket FROM n, t
 ), j AS (
   SELECT doc_id, n, doc_id::HUGEINT AS key, -1::BIGINT AS b, 0::BIGINT AS ahead FROM (SELECT DISTINCT doc_id FROM documents), (VALUES (40), (41)) AS s(n)
   UNION ALL

@@ -24,3 +24,19 @@ def word_count(text: Column) -> Column:
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def unused(df: DataFrame, *names: str) -> list[str]:
+    """Names for working columns: those given, with underscores behind as long as an input column has the name."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
+def boxed(df: DataFrame) -> Column:
+    """All columns of a frame as one, so that working columns beside it never clash."""
+    return F.struct(*[F.col(f"`{c}`") for c in df.columns])

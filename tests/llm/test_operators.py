@@ -329,7 +329,7 @@ def test_pseudonyms_keep_formats_and_links(spark):
         "und.34@mail7.example.com", "DE89 3704 0044 0532 0130 00 and DE88370400440532013000", "078-05-1120 000-12-3456", 'token = "04dbebab91ab85687d33eeaaf9ac699e1188f962"', None, "", "plain",
     ]
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id int, text string").withColumn("n_private", F.lit("x"))
-    got = {r["doc_id"]: r for r in pseudonyms.pseudonymise(df).collect()}
+    got = {r["doc_id"]: r for r in pseudonyms.pseudonymise(df, "k").collect()}
     a, b = re.findall(r"\d[\d-]+\d", got[0]["text"])
     assert a == b.replace("-", "") and a != "4929348385146306" and luhn(a) and got[0]["n_private"] == 2
     assert got[1]["text"] == texts[1] and got[1]["n_private"] == 0
@@ -355,7 +355,7 @@ def test_the_permutation_is_one_to_one(spark):
 
 
 def test_pseudonyms_run_no_python(spark, docs):
-    plan = pseudonyms.pseudonymise(docs)._jdf.queryExecution().toString()
+    plan = pseudonyms.pseudonymise(docs, "k")._jdf.queryExecution().toString()
     assert not re.search("Python|Pandas|Arrow|Exchange", plan)
 
 
