@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from shardweave.llm import mixing, nearcopies, pieces, pseudonyms, rules
-from shardweave.llm.registry import MODEL
+from shardweave.llm.registry import KEY, MODEL
 from shardweave.staging import stage
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
@@ -27,7 +27,7 @@ def apart(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Private values replaced; ``n_chars`` follows the text."""
-    out = pseudonyms.pseudonymise(docs)
+    out = pseudonyms.pseudonymise(docs, KEY(spark))
     return out.withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
 
 
