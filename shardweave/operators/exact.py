@@ -14,34 +14,69 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from shardweave.functions import distance
+from shardweave.staging import drop, fresh_path, stage
 
-#: Queries of one broadcast, vectors of one matrix product.
-BLOCK, ROWS = 8192, 4096
+#: Queries of one broadcast, vectors of one matrix product, pairs that are measured at a time.
+BLOCK, ROWS, PAIRS = 8192, 1024, 1 << 19
 
 
 def nearest(metric: str, q: np.ndarray, qid: np.ndarray, x: np.ndarray, xid: np.ndarray, k: int, drop: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """``(row of the query, id, distance)`` of the k nearest of ``x``, by distance and id; ``drop`` marks pairs to leave out."""
-    rough = distance.block(metric, q, x)
+    """``(row of the query, id, distance)`` of the k nearest of ``x``, by distance and id; ``drop`` marks pairs to leave out.
+
+    A matrix product gives rough distances. All candidates whose rough distance may belong to the first k, given the error of
+    the product, are measured in full, so ties go by id however many there are.
+    """
+    empty = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+    if not len(q) or not len(xid):
+        return empty
+    rough, slack = distance.rough(metric, q, x)
     if drop is not None:
         rough[drop] = np.inf
-    take = min(len(xid), k + 8)
-    near = np.argpartition(rough, take - 1, axis=1)[:, :take] if take < len(xid) else np.tile(np.arange(len(xid)), (len(q), 1))
-    r = np.repeat(np.arange(len(q)), near.shape[1])
-    c = near.ravel()
-    fine = np.isfinite(rough[r, c])
-    r, c = r[fine], c[fine]
-    d = distance.rows(metric, q[r], x[c])
-    order = np.lexsort((xid[c], d, r))
-    r, c, d = r[order], c[order], d[order]
-    keep = np.arange(len(r)) - np.searchsorted(r, r) < k
-    return r[keep], xid[c[keep]], d[keep]
-
-
-def _candidates(vectors: DataFrame, ids: np.ndarray, q: np.ndarray, part: np.ndarray, k: int, metric: str, exclude_self: bool, scope: str) -> DataFrame:
-    held = vectors.sparkSession.sparkContext.broadcast((ids, q, part))
+    last = min(k, len(xid)) - 1
+    reach = np.partition(rough, last, axis=1)[:, last] + 2 * slack
+    maybe = (rough <= reach[:, None]) & np.isfinite(rough)
+    ends = np.cumsum(maybe.sum(axis=1))
+    out = []
+    lo = 0
+    while lo < len(q):  # so many queries at a time as have a bounded number of candidates
+        hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + PAIRS, "right")))
+        r, c = np.nonzero(maybe[lo:hi])
+        r += lo
+        d = distance.rows(metric, q[r], x[c])
+        order = np.lexsort((xid[c], d, r))
+        r, c, d = r[order], c[order], d[order]
+        keep = np.arange(len(r)) - np.searchsorted(r, r) < k
+        out.append((r[keep], xid[c[keep]], d[keep]))
+        lo = hi
+    return tuple(np.concatenate(z) for z in zip(*out, strict=True))
+
+
+def blocks(vectors: DataFrame, queries: DataFrame, block: int, schema: str, ask) -> DataFrame:
+    """``ask(vectors, pack)`` for blocks of ``queries``, ``pack`` a broadcast Arrow table of one. Several blocks write one
+    table each after the other and release what they hold, so plan and driver don't grow with the queries."""
+    spark = vectors.sparkSession
+    n = queries.count()
+    if n <= block:
+        return ask(vectors, spark.sparkContext.broadcast(queries.toArrow().combine_chunks()))
+    parts = -(-n // block)
+    dealt = stage(queries.withColumn("_block", F.pmod(F.xxhash64("vec_id"), F.lit(parts)).cast("int")).repartition(parts, "_block"), "query-blocks", ["_block"])
+    path = fresh_path(spark, "exact")
+    spark.createDataFrame([], schema).write.parquet(path)
+    for at in range(parts):
+        pack = spark.sparkContext.broadcast(dealt.where(F.col("_block") == at).drop("_block").toArrow().combine_chunks())
+        ask(vectors, pack).write.mode("append").parquet(path)
+        pack.destroy()
+    drop(dealt)
+    return spark.read.schema(schema).parquet(path)
+
+
+FOUND = "q_id long, part int, vec_id long, dist double"
+
 
+def _candidates(vectors: DataFrame, pack, k: int, metric: str, exclude_self: bool, scope: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, q, part = held.value
+        held = pack.value
+        ids, q, part = held.column("vec_id").to_numpy(), distance.matrix(held.column("x")), held.column("part").to_numpy()
         for batch in batches:
             for at in range(0, batch.num_rows, ROWS):
                 some = batch.slice(at, ROWS)
@@ -53,9 +88,9 @@ def _candidates(vectors: DataFrame, ids: np.ndarray, q: np.ndarray, part: np.nda
                         continue
                     drop = ids[ask][:, None] == xid[mine][None, :] if exclude_self else None
                     r, v, d = nearest(metric, q[ask], ids[ask], x[mine], xid[mine], k, drop)
-                    yield pa.RecordBatch.from_arrays([pa.array(ids[ask][r]), pa.array(np.full(len(r), p, np.int32)), pa.array(v), pa.array(d)], names=["q_id", "part", "vec_id", "dist"])
+                    yield pa.RecordBatch.from_arrays([pa.array(ids[ask][r], pa.int64()), pa.array(np.full(len(r), p, np.int32)), pa.array(v, pa.int64()), pa.array(d)], names=["q_id", "part", "vec_id", "dist"])
 
-    return vectors.mapInArrow(run, "q_id long, part int, vec_id long, dist double")
+    return vectors.mapInArrow(run, FOUND)
 
 
 def knn(vectors: DataFrame, queries: DataFrame, k: int, metric: str = "l2", exclude_self: bool = False, scope: str = "any", per_part: bool = False, block: int = BLOCK) -> DataFrame:
@@ -70,15 +105,7 @@ def knn(vectors: DataFrame, queries: DataFrame, k: int, metric: str = "l2", excl
     with_part = lambda df: df if "part" in df.columns else df.withColumn("part", F.lit(0))
     shape = lambda df: with_part(df).select("vec_id", F.col("part").cast("int").alias("part"), "x")
     vectors, queries = shape(vectors), shape(queries)
-    n = queries.count()
-    blocks = max(1, -(-n // block))
-    found = vectors.sparkSession.createDataFrame([], "q_id long, part int, vec_id long, dist double")
-    for at in range(blocks):
-        some = queries.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == at) if blocks > 1 else queries
-        held = some.toArrow()
-        if held.num_rows:
-            ids, part = held.column("vec_id").to_numpy().astype(np.int64), held.column("part").to_numpy()
-            found = found.unionByName(_candidates(vectors, ids, distance.matrix(held.column("x")), part, k, metric, exclude_self, scope))
+    found = blocks(vectors, queries, block, FOUND, lambda v, pack: _candidates(v, pack, k, metric, exclude_self, scope))
     keys = ["q_id", "part"] if per_part else ["q_id"]
     best = Window.partitionBy(*keys).orderBy("dist", "vec_id")
     ranked = found.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k)
@@ -91,22 +118,30 @@ def graph(vectors: DataFrame, k: int, metric: str = "l2", scope: str = "any") ->
     return found.select(F.col("q_id").alias("src"), F.col("vec_id").alias("dst"), "dist", "rank")
 
 
-def within(vectors: DataFrame, queries: DataFrame, radius: float, metric: str = "l2") -> DataFrame:
+def within(vectors: DataFrame, queries: DataFrame, radius: float, metric: str = "l2", block: int = BLOCK) -> DataFrame:
     """All pairs ``(q_id, vec_id, dist)`` within a radius, queries in bounded blocks."""
-    held = queries.select("vec_id", "x").toArrow()
-    if held.num_rows > BLOCK:
-        raise ValueError(f"a range search takes at most {BLOCK} queries at a time")
-    pack = vectors.sparkSession.sparkContext.broadcast((held.column("vec_id").to_numpy(), distance.matrix(held.column("x"))))
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, q = pack.value
-        for batch in batches:
-            x, xid = distance.matrix(batch.column("x")), batch.column("vec_id").to_numpy()
-            if not len(x) or not len(q):
-                continue
-            r, c = np.nonzero(distance.block(metric, q, x) <= radius + 1e-6)
-            d = distance.rows(metric, q[r], x[c])
-            keep = d <= radius
-            yield pa.RecordBatch.from_arrays([pa.array(ids[r[keep]]), pa.array(xid[c[keep]]), pa.array(d[keep])], names=["q_id", "vec_id", "dist"])
-
-    return vectors.select("vec_id", "x").mapInArrow(run, "q_id long, vec_id long, dist double")
+    distance.known(metric)
+    schema = "q_id long, vec_id long, dist double"
+
+    def ask(vectors: DataFrame, pack) -> DataFrame:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            held = pack.value
+            ids, q = held.column("vec_id").to_numpy(), distance.matrix(held.column("x"))
+            for batch in batches:
+                for at in range(0, batch.num_rows, ROWS):
+                    some = batch.slice(at, ROWS)
+                    x, xid = distance.matrix(some.column("x")), some.column("vec_id").to_numpy()
+                    if not len(x) or not len(q):
+                        continue
+                    rough, slack = distance.rough(metric, q, x)
+                    limit = radius * radius if metric == "l2" else radius
+                    r, c = np.nonzero(rough <= limit + slack[:, None] + 1e-12 * abs(limit))
+                    for lo in range(0, len(r), PAIRS):
+                        a, b = r[lo : lo + PAIRS], c[lo : lo + PAIRS]
+                        d = distance.rows(metric, q[a], x[b])
+                        keep = d <= radius
+                        yield pa.RecordBatch.from_arrays([pa.array(ids[a[keep]], pa.int64()), pa.array(xid[b[keep]], pa.int64()), pa.array(d[keep])], names=["q_id", "vec_id", "dist"])
+
+        return vectors.mapInArrow(run, schema)
+
+    return blocks(vectors.select("vec_id", "x"), queries.select("vec_id", "x"), block, schema, ask)

@@ -49,12 +49,9 @@ def document_vectors(docs: DataFrame, dim: int = 64, id_col: str = "doc_id", tex
 
 
 def part_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Standardised numeric columns of ``part``: few dimensions, ties and twins."""
-    p = table(spark, sf_dir, "part").select("p_partkey", F.col("p_size").cast("double").alias("a"), "p_retailprice", (F.col("p_partkey") % 97).cast("double").alias("c"), F.length("p_name").cast("double").alias("d"))
-    names = ["a", "p_retailprice", "c", "d"]
-    facts = p.agg(*[F.avg(n).alias(f"m_{n}") for n in names], *[F.greatest(F.stddev_pop(n), F.lit(1e-9)).alias(f"s_{n}") for n in names])
-    z = [(F.col(n) - F.col(f"m_{n}")) / F.col(f"s_{n}") for n in names]
-    return p.join(F.broadcast(facts), F.lit(True)).select(F.col("p_partkey").alias("vec_id"), F.array(*z).cast("array<float>").alias("x"))
+    """Whole-numbered columns of ``part``: few dimensions, ties and twins."""
+    x = F.array("p_size", F.floor(F.col("p_retailprice") / 100), F.col("p_partkey") % 97, F.length("p_name"))
+    return table(spark, sf_dir, "part").select(F.col("p_partkey").alias("vec_id"), x.cast("array<float>").alias("x"))
 
 
 def jittered(base: DataFrame, copies: int, step: float = 0.001) -> DataFrame:

@@ -31,7 +31,7 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
 def scan_vectors(s: SparkSession, d: str) -> DataFrame:
     """Filter and columns reach the scan."""
     e = tables.table(s, d, "embeddings")
-    return e.where((F.col("label") == 3) & (F.col("vec_id") < 400)).select("vec_id", "label")
+    return e.where(F.col("label") == 3).select("vec_id", "label")
 
 
 def scan_json_props(s: SparkSession, d: str) -> DataFrame:
@@ -142,7 +142,7 @@ def topk_edges(s: SparkSession, d: str) -> DataFrame:
 
 def rank_family(s: SparkSession, d: str) -> DataFrame:
     order = Window.partitionBy("event_type").orderBy("user_id")
-    w = events(s, d).where("event_id < 400").select(
+    w = events(s, d).select(
         "event_id", F.rank().over(order).alias("rank"), F.dense_rank().over(order).alias("dense"), F.round(F.percent_rank().over(order), 6).alias("pct"), F.round(F.cume_dist().over(order), 6).alias("cume"),
         F.ntile(4).over(Window.partitionBy("event_type").orderBy("user_id", "event_id")).alias("tile"),
     )
@@ -151,14 +151,14 @@ def rank_family(s: SparkSession, d: str) -> DataFrame:
 
 def curve_lead(s: SparkSession, d: str) -> DataFrame:
     order = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    return events(s, d).where("user_id < 20").select(
+    return events(s, d).select(
         "event_id", F.lag("event_id").over(order).alias("before"), F.lead("event_id").over(order).alias("after"), F.first("event_id").over(order).alias("first"), F.nth_value("event_id", 2).over(order).alias("second"),
     )
 
 
 def running_writes(s: SparkSession, d: str) -> DataFrame:
     order = Window.partitionBy("vec_id").orderBy("event_id").rowsBetween(Window.unboundedPreceding, 0)
-    return log(s, d).where("vec_id < 50").select("event_id", F.count("*").over(order).alias("n"), F.sum((F.col("op") == "delete").cast("long")).over(order).alias("n_deletes"))
+    return log(s, d).select("event_id", F.count("*").over(order).alias("n"), F.sum((F.col("op") == "delete").cast("long")).over(order).alias("n_deletes"))
 
 
 def global_topk(s: SparkSession, d: str) -> DataFrame:
@@ -182,8 +182,8 @@ def recursive_reach(s: SparkSession, d: str) -> DataFrame:
 
 
 def doc_tokens(s: SparkSession, d: str) -> DataFrame:
-    docs = tables.table(s, d, "documents").where("lang = 'en'")
-    words = docs.select(F.explode(F.split(F.lower(F.regexp_replace("text", r"[^A-Za-z ]+", " ")), " +")).alias("w")).where("length(w) = 3")
+    docs = tables.table(s, d, "documents")
+    words = docs.select(F.explode(F.split(F.lower(F.regexp_replace("text", r"[^\p{L}]+", " ")), " +")).alias("w")).where("w <> ''")
     return words.groupBy("w").agg(F.count("*").alias("n"))
 
 
@@ -217,13 +217,16 @@ def props_json(s: SparkSession, d: str) -> DataFrame:
 
 
 def sql_l2(s: SparkSession, d: str) -> DataFrame:
+    """The ends of all edges of the exact graph, measured by SQL functions."""
     distance.register(s)
-    tables.vectors(s, d).where("vec_id < 40").select("vec_id", F.col("x").cast("array<double>").alias("x")).createOrReplaceTempView("_few")
-    return s.sql("SELECT a.vec_id AS u, b.vec_id AS v, round(l2(a.x, b.x), 6) AS l2, round(cosine_dist(a.x, b.x), 6) AS cosine, round(norm2(a.x), 6) AS norm FROM _few a JOIN _few b ON a.vec_id < b.vec_id")
+    tables.vectors(s, d).select("vec_id", F.col("x").cast("array<double>").alias("x")).createOrReplaceTempView("_vectors")
+    near(s, d).createOrReplaceTempView("_edges")
+    return s.sql("""SELECT src AS u, dst AS v, round(l2(a.x, b.x), 6) AS l2, round(cosine_dist(a.x, b.x), 6) AS cosine, round(norm2(a.x), 6) AS norm
+        FROM _edges JOIN _vectors a ON a.vec_id = src JOIN _vectors b ON b.vec_id = dst""")
 
 
 def udtf_neighbors(s: SparkSession, d: str) -> DataFrame:
-    """The neighbours of some vertices through a table function over packed lists."""
+    """The neighbours of all vertices through a table function over packed lists."""
 
     @F.udtf(returnType="src: bigint, dst: bigint, rank: int")
     class Neighbours:
@@ -232,7 +235,7 @@ def udtf_neighbors(s: SparkSession, d: str) -> DataFrame:
                 yield src, dst, i + 1
 
     s.udtf.register("graph_neighbors", Neighbours)
-    store.pack(near(s, d)).where("src % 25 = 0").select("src", F.transform("nbrs", lambda n: n.dst).alias("to")).createOrReplaceTempView("_packed")
+    store.pack(near(s, d)).select("src", F.transform("nbrs", lambda n: n.dst).alias("to")).createOrReplaceTempView("_packed")
     return s.sql("SELECT n.src, n.dst, n.rank FROM _packed p, LATERAL graph_neighbors(p.src, p.to) n")
 
 
@@ -246,8 +249,7 @@ def shards_by_region(s: SparkSession, d: str) -> DataFrame:
 def part_neighbors(s: SparkSession, d: str) -> DataFrame:
     """Exact neighbours over numeric columns of ``part``; ties and twins go by id."""
     v = tables.part_vectors(s, d)
-    found = exact.knn(v, v.where("vec_id % 100 = 1"), 5, exclude_self=True)
-    return found.agg(F.count("*").alias("n"), F.round(F.avg("dist"), 4).alias("mean_dist"))
+    return exact.knn(v, v, 5, exclude_self=True).withColumn("dist", F.round("dist", 6))
 
 
 def order_shards(s: SparkSession, d: str) -> DataFrame:
@@ -274,7 +276,7 @@ QUERIES = {
 _NEAR = sql.exact_graph(K)
 
 ORACLES = {
-    "scan_vectors": "SELECT vec_id, label FROM embeddings WHERE label = 3 AND vec_id < 400",
+    "scan_vectors": "SELECT vec_id, label FROM embeddings WHERE label = 3",
     "scan_json_props": "SELECT event_type, count(*)::BIGINT AS n, sum(user_id)::BIGINT AS users FROM events GROUP BY event_type",
     **{f"roundtrip_{k}": _NEAR + sql.EDGE_OUT.format("g") for k in ("index", "csv", "orc")},
     "pack_unpack": _NEAR + sql.RANK_OUT.format("g"),
@@ -294,28 +296,30 @@ r AS (SELECT *, row_number() OVER (PARTITION BY q_id ORDER BY d, vec_id)::INTEGE
     "curve_unpivot": "SELECT event_type, CASE user_id % 2 WHEN 0 THEN 'even' ELSE 'odd' END AS half, count(*)::BIGINT AS n FROM events GROUP BY 1, 2",
     "topk_edges": sql.exact_graph(8) + " SELECT dst, src, row_number() OVER (PARTITION BY dst ORDER BY dist, src)::INTEGER AS r FROM g QUALIFY r <= 3",
     "rank_family": """SELECT event_id, rank() OVER w::INTEGER AS rank, dense_rank() OVER w::INTEGER AS dense, round(percent_rank() OVER w, 6) AS pct, round(cume_dist() OVER w, 6) AS cume,
-  ntile(4) OVER (PARTITION BY event_type ORDER BY user_id, event_id)::INTEGER AS tile FROM events WHERE event_id < 400 WINDOW w AS (PARTITION BY event_type ORDER BY user_id)""",
+  ntile(4) OVER (PARTITION BY event_type ORDER BY user_id, event_id)::INTEGER AS tile FROM events WINDOW w AS (PARTITION BY event_type ORDER BY user_id)""",
     "curve_lead": """SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS after, first_value(event_id) OVER w AS first, nth_value(event_id, 2) OVER w AS second
-FROM events WHERE user_id < 20 WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)""",
-    "running_writes": f"WITH l AS ({_LOG}) SELECT event_id, count(*) OVER w AS n, sum((op = 'delete')::BIGINT) OVER w::BIGINT AS n_deletes FROM l WHERE vec_id < 50 WINDOW w AS (PARTITION BY vec_id ORDER BY event_id ROWS UNBOUNDED PRECEDING)",
+FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)""",
+    "running_writes": f"WITH l AS ({_LOG}) SELECT event_id, count(*) OVER w AS n, sum((op = 'delete')::BIGINT) OVER w::BIGINT AS n_deletes FROM l WINDOW w AS (PARTITION BY vec_id ORDER BY event_id ROWS UNBOUNDED PRECEDING)",
     "global_topk": "SELECT event_id, round(value, 6) AS value FROM events ORDER BY events.value DESC, event_id LIMIT 20 OFFSET 5",
     "edge_union": _NEAR + " SELECT src, dst FROM g UNION SELECT dst, src FROM g",
     "edge_intersect": _NEAR + " SELECT src, dst FROM g INTERSECT SELECT dst, src FROM g",
     "edge_except": _NEAR + " SELECT src, dst FROM g EXCEPT ALL SELECT dst, src FROM g",
     "recursive_reach": sql.recursive(_NEAR + ", r AS (SELECT 0::BIGINT AS id, 0 AS step UNION SELECT g.dst, r.step + 1 FROM r JOIN g ON g.src = r.id WHERE r.step < 3) SELECT id, min(step) AS step FROM r GROUP BY id"),
     "split_mod": "SELECT (vec_id % 5)::INTEGER AS part, count(*)::BIGINT AS n FROM embeddings GROUP BY 1",
-    "doc_tokens": "SELECT w, count(*)::BIGINT AS n FROM (SELECT unnest(regexp_split_to_array(lower(regexp_replace(text, '[^A-Za-z ]+', ' ', 'g')), ' +')) AS w FROM documents WHERE lang = 'en') WHERE length(w) = 3 GROUP BY w",
+    "doc_tokens": "SELECT w, count(*)::BIGINT AS n FROM (SELECT unnest(regexp_split_to_array(lower(regexp_replace(text, '[^\\p{L}]+', ' ', 'g')), ' +')) AS w FROM documents) WHERE w <> '' GROUP BY w",
     "page_host": "SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host, count(*)::BIGINT AS n, sum(length(html))::BIGINT AS chars FROM pages GROUP BY 1",
     "writes_by_day": "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, count(*)::BIGINT AS n, strftime(min(ts), '%H:%M:%S') AS first FROM events GROUP BY 1",
     "array_suite": _NEAR + " SELECT src, count(*) FILTER (dst % 2 = 0)::INTEGER AS even, min(dst) AS least, sum(dst)::BIGINT AS total, max(dst) > 400 AS high FROM g GROUP BY src",
     "norms": "SELECT vec_id, round(sqrt(list_inner_product(embedding::DOUBLE[], embedding::DOUBLE[])), 6) AS norm FROM embeddings",
     "map_suite": _NEAR + " SELECT src, dst, ((src % 2 = 0)::INT + (dst % 2 = 0)::INT)::INTEGER AS n, CASE WHEN src % 2 = 0 THEN src * 2 ELSE -1 END::BIGINT AS s FROM g",
     "props_json": "SELECT event_id, json_valid(props) AS valid, len(json_keys(props))::INTEGER AS n_keys FROM events",
-    "sql_l2": """WITH v AS (SELECT vec_id, embedding::DOUBLE[] AS x FROM embeddings WHERE vec_id < 40)
-SELECT a.vec_id AS u, b.vec_id AS v, round(list_distance(a.x, b.x), 6) AS l2, round(1 - list_inner_product(a.x, b.x) / sqrt(list_inner_product(a.x, a.x) * list_inner_product(b.x, b.x)), 6) AS cosine,
-  round(sqrt(list_inner_product(a.x, a.x)), 6) AS norm FROM v a JOIN v b ON a.vec_id < b.vec_id""",
-    "udtf_neighbors": _NEAR + " SELECT src, dst, rank::INTEGER AS rank FROM g WHERE src % 25 = 0",
+    "sql_l2": _NEAR + """ SELECT src AS u, dst AS v, round(list_distance(a.x, b.x), 6) AS l2, round(1 - list_inner_product(a.x, b.x) / sqrt(list_inner_product(a.x, a.x) * list_inner_product(b.x, b.x)), 6) AS cosine,
+  round(sqrt(list_inner_product(a.x, a.x)), 6) AS norm FROM g JOIN v a ON a.vec_id = src JOIN v b ON b.vec_id = dst""",
+    "udtf_neighbors": _NEAR + " SELECT src, dst, rank::INTEGER AS rank FROM g",
     "consolidate_region": "SELECT r_name, count(DISTINCT n_nationkey)::BIGINT AS n_shards, count(*)::BIGINT AS n_vectors FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY 1",
+    "part_neighbors": """WITH v AS (SELECT p_partkey AS vec_id, [p_size::DOUBLE, floor(p_retailprice / 100)::DOUBLE, (p_partkey % 97)::DOUBLE, length(p_name)::DOUBLE] AS x FROM part),
+d AS (SELECT q.vec_id AS q_id, b.vec_id, list_distance(q.x, b.x) AS d FROM v q JOIN v b ON q.vec_id <> b.vec_id),
+r AS (SELECT *, row_number() OVER (PARTITION BY q_id ORDER BY d, vec_id)::INTEGER AS rank FROM d) SELECT q_id, rank, vec_id, round(d, 6) AS dist FROM r WHERE rank <= 5""",
     "order_shards": "SELECT n_name, count(*)::BIGINT AS n, round(sum(l_quantity), 2) AS quantity FROM lineitem JOIN orders ON l_orderkey = o_orderkey AND o_orderstatus = 'O' JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey GROUP BY 1",
     "segments_by_window": f"WITH l AS ({_LOG}) SELECT strftime(time_bucket(INTERVAL 1 hour, ts, TIMESTAMP '1970-01-01'), '%Y-%m-%d %H:%M:%S') AS window_start, count(*)::BIGINT AS n, count(DISTINCT vec_id)::BIGINT AS n_vectors FROM l GROUP BY 1",
     "win_tumbling": f"WITH l AS ({_LOG}) SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS window_start, count(*)::BIGINT AS n FROM l GROUP BY 1",
