@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -46,30 +46,74 @@ def pairs(edges: DataFrame, origin: DataFrame, scope: str = "cross", cap: int |
     return two.select(F.least("a.id", "b.id").alias("a"), F.greatest("a.id", "b.id").alias("b")).distinct()
 
 
-def offers(found: DataFrame, edges: DataFrame, vectors: DataFrame, metric: str = "l2", k: int | None = None) -> DataFrame:
-    """Pairs that are no edges yet, measured and offered to both ends, ``(src, dst, dist)``.
+#: Members of a pool that are paired in one row; a larger pool is dealt out as pairs of its blocks.
+HUB = 256
+OFFERS = "src long, dst long, dist double, tried long"
 
-    Ids travel first, vectors only for the pairs that are left; an offer beyond its vertex's k-th edge is left out.
+
+def offers(edges: DataFrame, vectors: DataFrame, origin: DataFrame, k: int, scope: str = "cross", metric: str = "l2", cap: int | None = None, hub: int = HUB) -> DataFrame:
+    """``(src, dst, dist, tried)``: pairs of pool members that would enter a list, and rows without a source that count distances.
+
+    Vectors travel once to each pivot that lists them (about 2k a vertex), pairs are made and measured inside the pivot's
+    row, and only ids that beat the k-th edge of an end leave it. A pair that several pivots share is measured by each. Pools
+    of more than ``hub`` members are dealt out: block with block, each pair in one row.
     """
-    known = edges.select(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b"), "src")
-    # A pair is spent when both ends hold it.
-    both = known.groupBy("a", "b").agg(F.count("*").alias("n")).where("n = 2").select("a", "b")
-    left = found.join(both, ["a", "b"], "left_anti")
-    x = vectors.select(F.col("vec_id").alias("a"), F.col("x").alias("xa"))
-    y = vectors.select(F.col("vec_id").alias("b"), F.col("x").alias("xb"))
-    got = distance.measured(left.join(x, "a").join(y, "b").select("a", "b", "xa", "xb"), "xa", "xb", metric=metric)
-    out = got.select(F.explode(F.array(F.struct(F.col("a").alias("src"), F.col("b").alias("dst"), "dist"), F.struct(F.col("b").alias("src"), F.col("a").alias("dst"), "dist"))).alias("o")).select("o.*")
-    if k is None:
-        return out
-    bound = edges.groupBy("src").agg(F.max(F.struct("dist", "dst")).alias("last"), F.count("*").alias("n"))
-    met = out.join(bound, "src", "left")
-    return met.where((F.coalesce("n", F.lit(0)) < k) | (F.struct("dist", "dst") < F.col("last"))).select("src", "dst", "dist")
+    if scope not in ("cross", "all"):
+        raise ValueError(f"pairs must be cross or all, not {scope!r}")
+    whole = Window.partitionBy("pivot")
+    sized = pools(edges, cap).withColumns({"n": F.count("*").over(whole), "any": F.max("is_new").over(whole)}).where(F.col("any") & (F.col("n") > 1))
+    blocks = F.ceil(F.col("n") / hub).cast("int")
+    own = F.pmod(F.xxhash64("member"), blocks).cast("int")
+    other = F.explode(F.sequence(F.lit(0), blocks - 1))
+    dealt = sized.select("pivot", "member", "is_new", own.alias("own"), other.alias("other")).select("pivot", "member", "is_new", "own", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
+    last = edges.groupBy("src").agg(F.max(F.struct("dist", "dst")).alias("last"), F.count("*").alias("held"))
+    facts = vectors.select(F.col("vec_id").alias("member"), "x").join(origin.select(F.col("vec_id").alias("member"), F.col("part").cast("int").alias("part")), "member")
+    facts = facts.join(last, F.col("member") == F.col("src"), "left").select("member", "x", "part", F.when(F.col("held") >= k, F.col("last.dist")).alias("far"), F.col("last.dst").alias("far_id"))
+    names = ["member", "is_new", "own", "part", "far", "far_id", "x"]
+    rows = dealt.join(facts, "member").groupBy("pivot", "i", "j").agg(F.collect_list(F.struct(*names)).alias("m"))
+    flat = rows.select("i", "j", *[F.transform("m", (lambda n: lambda r: r[n])(n)).alias(n) for n in names[:-1]], F.flatten(F.transform("m", lambda r: r.x)).alias("x"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ends = batch.column("member").offsets.to_numpy()
+            cut = ends[0]
+            column = {n: batch.column(n).flatten().to_numpy(zero_copy_only=False) for n in names}
+            sizes = np.diff(ends)
+            total = int(sizes.sum())
+            x = column["x"].reshape(total, -1) if total else np.zeros((0, 0))
+            far = np.where(np.isnan(f := column["far"].astype(float)), np.inf, f)
+            far_id = np.where(np.isinf(far), 0, np.nan_to_num(column["far_id"].astype(float))).astype(np.int64)
+            out, tried = [], 0
+            mixed = batch.column("i").to_numpy() != batch.column("j").to_numpy()
+            for row, (lo, hi) in enumerate(zip(ends[:-1] - cut, ends[1:] - cut, strict=True)):
+                ids, new, part, at = column["member"][lo:hi], column["is_new"][lo:hi].astype(bool), column["part"][lo:hi], column["own"][lo:hi]
+                ok = (new[:, None] | new[None, :]) & (ids[:, None] < ids[None, :])
+                if scope == "cross":
+                    ok &= part[:, None] != part[None, :]
+                if mixed[row]:
+                    ok &= at[:, None] != at[None, :]
+                a, b = np.nonzero(ok)
+                if not len(a):
+                    continue
+                d = distance.rows(metric, x[lo:hi][a].astype(np.float64), x[lo:hi][b].astype(np.float64))
+                tried += len(d)
+                for p, q in ((a, b), (b, a)):
+                    f, g = far[lo:hi][p], far_id[lo:hi][p]
+                    enters = (d < f) | ((d == f) & (ids[q] < g))
+                    out.append((ids[p][enters], ids[q][enters], d[enters]))
+            src, dst, dist = (np.concatenate(z) for z in zip(*out, strict=True)) if out else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+            counts = [0] * len(src)
+            yield pa.RecordBatch.from_arrays(
+                [pa.array([*src.tolist(), None], pa.int64()), pa.array([*dst.tolist(), None], pa.int64()), pa.array([*dist.tolist(), None], pa.float64()), pa.array([*counts, tried], pa.int64())], names=["src", "dst", "dist", "tried"]
+            )
+
+    return flat.mapInArrow(run, OFFERS)
 
 
 def absorb(edges: DataFrame, offered: DataFrame, k: int) -> DataFrame:
     """The best k of edges and offers; edges that stay are old, offers that enter are new."""
     old = edges.select("src", "dst", "dist", F.lit(False).alias("is_new"))
-    fresh = offered.select("src", "dst", "dist", F.lit(True).alias("is_new"))
+    fresh = offered.where("src is not null").select("src", "dst", "dist", F.lit(True).alias("is_new"))
     once = old.unionByName(fresh).groupBy("src", "dst").agg(F.min("dist").alias("dist"), F.min("is_new").alias("is_new"))
     order = Window.partitionBy("src").orderBy("dist", "dst")
     return once.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).drop("rank")
@@ -77,18 +121,19 @@ def absorb(edges: DataFrame, offered: DataFrame, k: int) -> DataFrame:
 
 def once(edges: DataFrame, vectors: DataFrame, origin: DataFrame, k: int, scope: str = "cross", metric: str = "l2", cap: int | None = None) -> DataFrame:
     """One round: visit, offer, absorb."""
-    return absorb(edges, offers(pairs(edges, origin, scope, cap), edges, vectors, metric, k), k)
+    return absorb(edges, offers(edges, vectors, origin, k, scope, metric, cap), k)
 
 
 def run(
     edges: DataFrame, vectors: DataFrame, origin: DataFrame, k: int, max_rounds: int = 8, scope: str = "cross", repair: str = "every", metric: str = "l2",
-    stop_fraction: float = 0.0, cap: int | None = None, log: Callable[[dict], None] | None = None, mode: str = "bsp", order: str = "id",
+    stop_fraction: float = 0.0, cap: int | None = None, log: Callable[[dict], None] | None = None, mode: str = "bsp", order: str = "id", settle: str = "exact",
 ) -> DataFrame:
     """Rounds until no more than ``stop_fraction`` of the edges is new. Each is written out and the one before deleted.
 
     ``bsp`` visits all vertices and then updates all, in joins. ``sweep`` visits and updates vertex by vertex, so that a
-    vertex sees what the ones before it in ``order`` (``id`` or ``dfs``) changed; it is sequential and runs in one task
-    while the edges fit :data:`SWEEP_LIMIT`. A larger graph is refined by rounds of joins, which find the same kind of list.
+    vertex sees what the ones before it in ``order`` (``id`` or ``dfs``) changed; it is sequential, runs in one task, and
+    refuses more than :data:`SWEEP_LIMIT` edges. ``repair`` runs in ``every`` round, after the ``last``, or is ``off``;
+    ``settle`` is its mode, see :func:`repaired`.
     """
     if repair not in ("every", "last", "off"):
         raise ValueError(f"repair must be every, last or off, not {repair!r}")
@@ -96,33 +141,34 @@ def run(
         raise ValueError(f"mode must be bsp or sweep and order id or dfs, not {mode!r} and {order!r}")
     given = edges if "is_new" in edges.columns else edges.withColumn("is_new", F.lit(True))
     now = stage(given.select("src", "dst", "dist", "is_new"), "refine")
-    if mode == "sweep" and now.count() <= SWEEP_LIMIT:
-        swept = stage(_swept(now, vectors, origin, k, max_rounds, scope, metric, stop_fraction, order), "refine-sweep")
+    if mode == "sweep":
+        n = now.count()
+        if n > SWEEP_LIMIT:
+            raise ValueError(f"sweeps run in one task: {n} edges are more than {SWEEP_LIMIT}; refine by rounds (bsp)")
+        swept = stage(_swept(now, vectors, origin, k, max_rounds, scope, metric, stop_fraction, order, repair), "refine-sweep")
         if log:
             facts = swept.where("src is null").orderBy("round").collect()  # a row a round
             for r in facts:
                 log({"round": r["round"], "pairs": r["pairs"], "accepted": r["accepted"]})
         drop(now)
-        now = swept.where("src is not null").select("src", "dst", "dist", "is_new")
-        return now if repair == "off" else stage(repaired(now, vectors), "refine")
+        return swept.where("src is not null").select("src", "dst", "dist", "is_new")
     for turn in range(1, max_rounds + 1):
-        tried = stage(pairs(now, origin, scope, cap), "refine-pairs")
-        new = absorb(now, offers(tried, now, vectors, metric, k), k)
-        new = stage(new, "refine")
+        offered = stage(offers(now, vectors, origin, k, scope, metric, cap), "refine-offers")
+        new = stage(absorb(now, offered, k), "refine")
         facts = new.agg(F.sum(F.col("is_new").cast("long")).alias("accepted"), F.count("*").alias("n")).first()
         if log:
-            log({"round": turn, "pairs": tried.count(), "accepted": facts["accepted"] or 0})
-        drop(tried)
+            log({"round": turn, "pairs": offered.agg(F.sum("tried")).first()[0] or 0, "accepted": facts["accepted"] or 0})
+        drop(offered)
         drop(now)
         if repair == "every":
-            now = stage(repaired(new, vectors), "refine")
+            now = stage(repaired(new, vectors, settle), "refine")
             drop(new)
         else:
             now = new
         if (facts["accepted"] or 0) <= stop_fraction * (facts["n"] or 0):
             break
     if repair == "last":
-        fixed = stage(repaired(now, vectors), "refine")
+        fixed = stage(repaired(now, vectors, settle), "refine")
         drop(now)
         now = fixed
     return now
@@ -146,10 +192,11 @@ def walk(lists: list[list[list]]) -> list[int]:
     return out
 
 
-def sweep(x: np.ndarray, part: np.ndarray, lists: list[list[list]], k: int, rounds: int, scope: str, metric: str, stop_fraction: float, order: str) -> list[tuple[int, int]]:
+def sweep(x: np.ndarray, part: np.ndarray, lists: list[list[list]], k: int, rounds: int, scope: str, metric: str, stop_fraction: float, order: str, repair: str = "off") -> list[tuple[int, int]]:
     """Refine ``lists`` (sorted ``[dist, position, new ahead, new behind]``) in place; ``(pairs, accepted)`` of each round.
 
-    An edge is new to its source and to its target apart, since either is visited at its own time.
+    An edge is new to its source and to its target apart, since either is visited at its own time. ``repair``: after
+    ``every`` sweep, whose successors see it, after the ``last``, or ``off``.
     """
     behind: list[set[int]] = [set() for _ in lists]
     for v, row in enumerate(lists):
@@ -192,12 +239,32 @@ def sweep(x: np.ndarray, part: np.ndarray, lists: list[list[list]], k: int, roun
             for (v, u), d in zip(found, distance.rows(metric, x[a], x[b]).tolist(), strict=True):
                 accepted += offer(v, u, d) + offer(u, v, d)
         log.append((pairs, accepted))
+        if repair == "every":
+            _mend_lists(lists, behind, has)
         if accepted <= stop_fraction * sum(map(len, lists)):
             break
+    if repair == "last":
+        _mend_lists(lists, behind, has)
     return log
 
 
-def _swept(edges: DataFrame, vectors: DataFrame, origin: DataFrame, k: int, rounds: int, scope: str, metric: str, stop_fraction: float, order: str) -> DataFrame:
+def _mend_lists(lists: list[list[list]], behind: list[set[int]], has: list[set[int]]) -> None:
+    """:func:`mend` on the lists of a sweep, in place."""
+    src = [v for v, row in enumerate(lists) for _ in row]
+    flat = [e for row in lists for e in row]
+    lost = np.array([v for v, s in enumerate(behind) if not s], np.int64)
+    if not len(lost) or not flat:
+        return
+    moves = mend(np.array(src), np.array([e[1] for e in flat]), np.array([e[0] for e in flat]), lost, {v: len(s) for v, s in enumerate(behind)})
+    for v, gone, come, d in moves:
+        lists[v] = sorted([e for e in lists[v] if e[1] != gone] + [[d, come, True, True]], key=lambda e: (e[0], e[1]))
+        has[v].discard(gone)
+        has[v].add(come)
+        behind[gone].discard(v)
+        behind[come].add(v)
+
+
+def _swept(edges: DataFrame, vectors: DataFrame, origin: DataFrame, k: int, rounds: int, scope: str, metric: str, stop_fraction: float, order: str, repair: str) -> DataFrame:
     """Edges after sweeps, and a row without a source for each round's counts."""
     lists = edges.groupBy("src").agg(F.array_sort(F.collect_list(F.struct("dist", "dst", "is_new"))).alias("to"))
     rows = vectors.select("vec_id", "x").join(origin.select("vec_id", "part"), "vec_id").join(lists, F.col("vec_id") == F.col("src"), "left").select("vec_id", "x", "part", "to")
@@ -207,7 +274,7 @@ def _swept(edges: DataFrame, vectors: DataFrame, origin: DataFrame, k: int, roun
         ids = t.column("vec_id").to_pylist()
         at = {v: i for i, v in enumerate(ids)}
         near = [[[e["dist"], at[e["dst"]], e["is_new"], e["is_new"]] for e in to or []] for to in t.column("to").to_pylist()]
-        log = sweep(distance.matrix(t.column("x")), t.column("part").to_numpy(), near, k, rounds, scope, metric, stop_fraction, order)
+        log = sweep(distance.matrix(t.column("x")), t.column("part").to_numpy(), near, k, rounds, scope, metric, stop_fraction, order, repair)
         out = [(ids[v], ids[e[1]], e[0], e[2] or e[3], None, None, None) for v, row in enumerate(near) for e in row]
         out += [(None, None, None, None, i + 1, n, m) for i, (n, m) in enumerate(log)]
         kinds = (pa.int64(), pa.int64(), pa.float64(), pa.bool_(), pa.int32(), pa.int64(), pa.int64())
@@ -255,17 +322,24 @@ def mend(src: np.ndarray, dst: np.ndarray, dist: np.ndarray, lost: np.ndarray, i
 
 
 def repaired(edges: DataFrame, vectors: DataFrame, mode: str = "exact", limit: int = REPAIR_LIMIT) -> DataFrame:
-    """``edges`` with in-edges for orphans; out-degrees stay. ``exact`` runs the orphans' surroundings through one task
-    while those fit ``limit``; otherwise, or with ``rounds``, proposals are settled in parallel rounds."""
+    """``edges`` with in-edges for orphans; out-degrees stay. ``exact`` takes the orphans one by one, their surroundings in one
+    task, and refuses more than ``limit`` edges there; ``rounds`` settles proposals in parallel rounds."""
     if mode not in ("exact", "rounds"):
         raise ValueError(f"mode must be exact or rounds, not {mode!r}")
+    if mode == "rounds":
+        return _by_rounds(edges, vectors)
     degree = indegrees(edges, vectors)
     lost = degree.where("indeg = 0").select("id")
     own = edges.join(lost, F.col("src") == F.col("id"), "left_semi")
     asked = edges.join(own.select(F.col("dst").alias("v")).distinct(), F.col("src") == F.col("v"), "left_semi")
     around = own.select("src", "dst", "dist").unionByName(asked.select("src", "dst", "dist")).distinct()
-    if mode == "rounds" or around.count() > limit:
-        return _by_rounds(edges, vectors)
+    around = stage(around, "repair-around")
+    n = around.count()
+    if n > limit:
+        raise ValueError(f"exact repair runs in one task: {n} edges around the orphans are more than {limit}; settle by rounds")
+    if not n:
+        drop(around)
+        return edges
     near = around.join(degree, F.col("dst") == F.col("id")).select("src", "dst", "dist", "indeg").join(lost, F.col("src") == F.col("id"), "left").select("src", "dst", "dist", "indeg", F.col("id").isNotNull().alias("lost"))
 
     def settle(t: pa.Table) -> pa.Table:
@@ -288,13 +362,15 @@ def _moved(edges: DataFrame, moves: DataFrame) -> DataFrame:
 
 def _by_rounds(edges: DataFrame, vectors: DataFrame) -> DataFrame:
     """Each orphan proposes to its nearest neighbour that has a victim; one proposal a neighbour wins, and a victim loses
-    fewer in-edges a round than it has. Every move settles an orphan and makes none, so the rounds end."""
-    now = edges
+    fewer in-edges a round than it has. Edges that came in a round before are no victims. Every move settles an orphan and
+    makes none, so the rounds end."""
+    now, come = edges, None
     while True:
         degree = indegrees(now, vectors)
         lost = degree.where("indeg = 0").select(F.col("id").alias("orphan"))
         own = now.join(lost, F.col("src") == F.col("orphan")).select("orphan", F.col("dst").alias("v"), F.col("dist").alias("w"))
-        spare = now.join(degree.where("indeg > 1"), F.col("dst") == F.col("id")).select(F.col("src").alias("v"), F.col("dst").alias("victim"), F.col("dist").alias("far"), "indeg")
+        old = now if come is None else now.join(come, (F.col("src") == F.col("cs")) & (F.col("dst") == F.col("cd")), "left_anti")
+        spare = old.join(degree.where("indeg > 1"), F.col("dst") == F.col("id")).select(F.col("src").alias("v"), F.col("dst").alias("victim"), F.col("dist").alias("far"), "indeg")
         last = spare.groupBy("v").agg(F.max(F.struct("far", "victim", "indeg")).alias("m")).select("v", "m.victim", "m.indeg")
         first = Window.partitionBy("orphan").orderBy("w", "v")
         asks = own.join(last, "v").withColumn("r", F.row_number().over(first)).where("r = 1")
@@ -304,3 +380,5 @@ def _by_rounds(edges: DataFrame, vectors: DataFrame) -> DataFrame:
         if moves.isEmpty():
             return now
         now = stage(_moved(now, moves), "repair")
+        here = moves.select(F.col("src").alias("cs"), F.col("dst").alias("cd"))
+        come = here if come is None else come.unionByName(here)

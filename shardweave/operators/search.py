@@ -1,9 +1,9 @@
 """Beam search on proximity graphs.
 
-``resident``: a graph shard is one task's; queries are sent to the shards that they ask, one shuffle each. ``frontier``:
-each round joins the queries' best open vertices to the edge table, so a graph may be larger than any task; one shuffle a
-join and one small driver check a round. Both expand one vertex a query and round, in order of distance and id, and so
-find the same results with the same number of distances.
+``resident``: a graph shard is held whole by several tasks that share its queries. ``frontier``: each round joins the queries'
+best open vertices to the edge table, so a graph may be larger than any task; one shuffle a join and one small driver check
+a round. Both expand the same vertices in order of distance and id, and so find the same results with the same number of
+distances.
 """
 
 from __future__ import annotations
@@ -20,126 +20,168 @@ RESULT = "q_id long, index_id int, rank int, vec_id long, dist double, ndc long,
 
 
 class Shard:
-    """One graph in memory: ids in order, vectors, and neighbours as rows of positions."""
+    """One graph in memory: ids in order, vectors, and neighbours as rows of positions with their distances."""
 
-    def __init__(self, ids: np.ndarray, x: np.ndarray, src: np.ndarray, dst: np.ndarray, metric: str):
+    def __init__(self, ids: np.ndarray, x: np.ndarray, src: np.ndarray, dst: np.ndarray, metric: str, far: np.ndarray | None = None):
         order = np.argsort(ids, kind="stable")
         self.ids, self.x, self.metric = ids[order], x[order], metric
         a, b = np.searchsorted(self.ids, src), np.searchsorted(self.ids, dst)
         good = (a < len(ids)) & (b < len(ids))
-        a, b = a[good], b[good]
-        good = (self.ids[a] == src[good]) & (self.ids[b] == dst[good])
+        a, b, src, dst = a[good], b[good], src[good], dst[good]
+        far = None if far is None else far[good]
+        good = (self.ids[a] == src) & (self.ids[b] == dst)
         a, b = a[good], b[good]
         by = np.argsort(a, kind="stable")
         self.to, self.starts = b[by], np.searchsorted(a[by], np.arange(len(ids) + 1))
+        self.far = None if far is None else far[good][by]
 
     def neighbours(self, at: int) -> np.ndarray:
         return self.to[self.starts[at] : self.starts[at + 1]]
 
-    def beam(self, q: np.ndarray, entry: int, size: int) -> tuple[list[tuple[float, int]], int, int]:
+    def lengths(self, at: int) -> np.ndarray:
+        return self.far[self.starts[at] : self.starts[at + 1]]
+
+    def beam(self, q: np.ndarray, entry: int, size: int, width: int = 1, tri: bool = False) -> tuple[list[tuple[float, int]], int, int]:
         """The pool of the best ``size`` vertices found from ``entry``, distances evaluated, vertices expanded."""
-        return beam(self.x, self.neighbours, q, [entry], size, self.metric)
+        return beam(self.x, self.neighbours, q, [entry], size, self.metric, width=width, lengths=self.lengths if tri else None)
+
 
+def beam(
+    x: np.ndarray, neighbours, q: np.ndarray, entries: list[int], size: int, metric: str, visited: list | None = None, width: int = 1, lengths=None
+) -> tuple[list[tuple[float, int]], int, int]:
+    """Best-first search with a pool of ``size``; stops when every pooled vertex is expanded. ``visited`` collects those.
 
-def beam(x: np.ndarray, neighbours, q: np.ndarray, entries: list[int], size: int, metric: str, visited: list | None = None) -> tuple[list[tuple[float, int]], int, int]:
-    """Best-first search with a pool of ``size``; stops when every pooled vertex is expanded. ``visited`` collects those."""
+    ``width`` vertices are expanded at a time. With the ``lengths`` of the edges a neighbour is passed over without a distance
+    where the triangle inequality keeps it out of a full pool; the pool stays the same.
+    """
     first = distance.rows(metric, q[None, :], x[entries])
     pool = sorted(zip(first.tolist(), entries, strict=True))[:size]
     seen, done = set(entries), set()
     ndc, hops = len(entries), 0
     while True:
-        at = next((v for _, v in pool if v not in done), None)
-        if at is None:
+        opened = [p for p in pool if p[1] not in done][:width]
+        if not opened:
             return pool, ndc, hops
-        done.add(at)
-        hops += 1
-        if visited is not None:
-            visited.append(next(p for p in pool if p[1] == at))
-        new = [v for v in neighbours(at) if v not in seen]
+        worst = pool[-1] if len(pool) >= size else None
+        new = []
+        for p in opened:
+            done.add(p[1])
+            hops += 1
+            if visited is not None:
+                visited.append(p)
+            near = neighbours(p[1])
+            if lengths is not None and worst is not None and len(near):
+                out = np.abs(np.asarray(lengths(p[1])) - p[0]) > worst[0] * (1 + 1e-12)
+                seen.update(np.asarray(near)[out].tolist())
+            for v in near:
+                if v not in seen:
+                    seen.add(v)
+                    new.append(v)
         if not new:
             continue
-        seen.update(new)
         ndc += len(new)
         found = distance.rows(metric, q[None, :], x[new]).tolist()
-        if len(pool) >= size:
-            worst = pool[-1]
-            fresh = [p for p in zip(found, new, strict=True) if p < worst]
-        else:
-            fresh = list(zip(found, new, strict=True))
+        fresh = [p for p in zip(found, new, strict=True) if worst is None or p < worst]
         if fresh:
             pool = sorted(pool + fresh)[:size]
 
 
-def resident(edges: DataFrame, vectors: DataFrame, queries: DataFrame, entries: DataFrame, pool: int, k: int, metric: str = "l2") -> DataFrame:
+def resident(
+    edges: DataFrame, vectors: DataFrame, queries: DataFrame, entries: DataFrame, pool: int, k: int, metric: str = "l2", spread: int | None = None, width: int = 1, tri: bool = False
+) -> DataFrame:
     """Search the shard ``target`` of every query. ``vectors`` has ``part``, ``edges`` run inside parts, entries ``(index_id, ep)``.
 
     Result ``(q_id, index_id, rank, vec_id, dist, ndc, hops)``; without ``part`` all is one shard, 0. Queries with a column
-    ``ep`` start there and not at their shard's entry.
+    ``ep`` start there and not at their shard's entry. A shard is sent to ``spread`` tasks and its queries are dealt out to
+    them, by default so many that all cores have work; a graph that outgrows a task is for :func:`frontier`. ``width`` and
+    ``tri`` (l2 only): see :func:`beam`.
     """
     if k > pool:
         raise ValueError(f"the pool ({pool}) must not be smaller than k ({k})")
     distance.known(metric)
+    if tri and metric != "l2":
+        raise ValueError("the triangle inequality prunes l2 only")
+    if spread is None:
+        spread = max(1, -(-edges.sparkSession.sparkContext.defaultParallelism // max(1, entries.count())))
     v = vectors if "part" in vectors.columns else vectors.withColumn("part", F.lit(0))
     ask = queries if "target" in queries.columns else queries.withColumn("target", F.lit(0))
-    lists = edges.groupBy("src").agg(F.collect_list("dst").alias("to"))
+    far = F.col("dist") if tri else F.lit(0.0)
+    lists = edges.groupBy("src").agg(F.collect_list(F.struct("dst", far.alias("dist"))).alias("to"))
     rows = v.join(lists, v["vec_id"] == lists["src"], "left").join(F.broadcast(entries.select("index_id", "ep")), F.col("part") == F.col("index_id"))
-    shard = rows.select(F.col("part").cast("int").alias("target"), "vec_id", "x", F.coalesce("to", F.array().cast("array<long>")).alias("to"), "ep")
+    to = F.coalesce("to", F.array().cast("array<struct<dst:bigint,dist:double>>"))
+    lengths = [F.transform(to, lambda e: e.dist).alias("far")] if tri else []
+    shard = rows.select(F.col("part").cast("int").alias("target"), F.explode(F.sequence(F.lit(0), F.lit(spread - 1))).alias("salt"), "vec_id", "x", F.transform(to, lambda e: e.dst).alias("to"), "ep", *lengths)
     own_entry = F.col("ep") if "ep" in ask.columns else F.lit(None)
-    ask = ask.select(F.col("target").cast("int").alias("target"), F.col("vec_id").alias("q_id"), F.col("x").alias("qx"), own_entry.cast("long").alias("q_ep"))
+    salt = F.pmod(F.xxhash64("vec_id"), F.lit(spread)).cast("int").alias("salt")
+    ask = ask.select(F.col("target").cast("int").alias("target"), salt, F.col("vec_id").alias("q_id"), F.col("x").alias("qx"), own_entry.cast("long").alias("q_ep"))
 
     def run(graph: pa.Table, some: pa.Table) -> pa.Table:
         names = ["q_id", "index_id", "rank", "vec_id", "dist", "ndc", "hops"]
+        kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.int64(), pa.int32())
         if not graph.num_rows or not some.num_rows:
-            return pa.table({n: pa.array([], t) for n, t in zip(names, (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.int64(), pa.int32()), strict=True)})
+            return pa.table({n: pa.array([], t) for n, t in zip(names, kinds, strict=True)})
         ids = graph.column("vec_id").to_numpy()
         lists = graph.column("to").combine_chunks()
         sizes = np.diff(lists.offsets.to_numpy())
-        own = Shard(ids, distance.matrix(graph.column("x")), np.repeat(ids, sizes), lists.flatten().to_numpy(), metric)
+        far = graph.column("far").combine_chunks().flatten().to_numpy() if tri else None
+        own = Shard(ids, distance.matrix(graph.column("x")), np.repeat(ids, sizes), lists.flatten().to_numpy(), metric, far)
         entry = int(np.searchsorted(own.ids, graph.column("ep")[0].as_py()))
         target = graph.column("target")[0].as_py()
         out = []
         for q, x, start in zip(some.column("q_id").to_pylist(), distance.matrix(some.column("qx")), some.column("q_ep").to_pylist(), strict=True):
-            found, ndc, hops = own.beam(x, entry if start is None else int(np.searchsorted(own.ids, start)), pool)
+            found, ndc, hops = own.beam(x, entry if start is None else int(np.searchsorted(own.ids, start)), pool, width, tri)
             out += [(q, target, r + 1, int(own.ids[v]), d, ndc, hops) for r, (d, v) in enumerate(found[:k])]
         columns = list(zip(*out, strict=True)) or [[]] * 7
-        kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.int64(), pa.int32())
         return pa.table({n: pa.array(c, t) for n, c, t in zip(names, columns, kinds, strict=True)})
 
-    return shard.groupBy("target").cogroup(ask.groupBy("target")).applyInArrow(run, RESULT)
+    return shard.groupBy("target", "salt").cogroup(ask.groupBy("target", "salt")).applyInArrow(run, RESULT)
+
 
+def frontier(
+    edges: DataFrame, vectors: DataFrame, queries: DataFrame, entries: DataFrame, pool: int, k: int, metric: str = "l2", max_rounds: int = 2000, width: int = 1
+) -> DataFrame:
+    """The same search as joins, so a graph may be larger than any task: a round joins all open vertices to their edges.
 
-def frontier(edges: DataFrame, vectors: DataFrame, queries: DataFrame, entry: DataFrame, pool: int, k: int, metric: str = "l2", max_rounds: int = 2000) -> DataFrame:
-    """The same search as joins, for one graph; ``entry`` is one row ``(ep)``. Every round is staged, the one before deleted."""
+    ``entries`` has a row an index, ``(ep)`` or ``(index_id, ep)``; queries with ``target`` ask in that index, others in index 0.
+    Every round is staged, the one before deleted.
+    """
     if k > pool:
         raise ValueError(f"the pool ({pool}) must not be smaller than k ({k})")
+    distance.known(metric)
+    at_index = entries if "index_id" in entries.columns else entries.withColumn("index_id", F.lit(0))
+    ask = queries if "target" in queries.columns else queries.withColumn("target", F.lit(0))
     packed = stage(edges.groupBy("src").agg(F.collect_list("dst").alias("to")), "adjacency")
     xs = vectors.select("vec_id", F.col("x").alias("y"))
-    asked = queries.select(F.col("vec_id").alias("q_id"), "x")
-    first = asked.join(F.broadcast(entry.select(F.col("ep"))), F.lit(True)).join(F.broadcast(xs.join(entry, F.col("vec_id") == F.col("ep"), "left_semi")), F.col("vec_id") == F.col("ep"))
-    start = distance.measured(first.select("q_id", "ep", "x", "y"), "x", "y", metric=metric)
+    starts = at_index.select(F.col("index_id").cast("int").alias("target"), "ep").join(xs, F.col("ep") == F.col("vec_id")).select("target", "ep", "y")  # a row an index
+    asked = ask.select(F.col("target").cast("int").alias("target"), F.col("vec_id").alias("q_id"), "x")
+    first = distance.measured(asked.join(F.broadcast(starts), "target").select("q_id", "target", "ep", "x", "y"), "x", "y", metric=metric)
     item = F.struct(F.col("dist"), F.col("ep").alias("id"), F.lit(False).alias("done"))
-    state = stage(start.select("q_id", F.array(item).alias("pool"), F.array("ep").alias("seen"), F.lit(1).cast("long").alias("ndc"), F.lit(0).alias("hops")), "beam")
+    state = stage(first.select("q_id", "target", F.array(item).alias("pool"), F.array("ep").alias("seen"), F.lit(1).cast("long").alias("ndc"), F.lit(0).alias("hops")), "beam")
+    asked = stage(asked, "beam-asked")
     for _ in range(max_rounds):
-        opened = state.withColumn("at", F.get(F.filter("pool", lambda p: ~p.done), F.lit(0)).id)
-        active = opened.where("at is not null")
+        opened = state.withColumn("at", F.transform(F.slice(F.filter("pool", lambda p: ~p.done), 1, width), lambda p: p.id))
+        active = opened.where(F.size("at") > 0)
         if active.isEmpty():
             break
-        met = active.select("q_id", "at", "seen").join(packed, F.col("at") == F.col("src"))
-        new = met.select("q_id", F.explode(F.array_except("to", "seen")).alias("vec_id"))
-        found = distance.measured(new.join(xs, "vec_id").join(asked, "q_id").select("q_id", "vec_id", "x", "y"), "x", "y", metric=metric)
-        gained = found.groupBy("q_id").agg(F.collect_list(F.struct("dist", F.col("vec_id").alias("id"), F.lit(False).alias("done"))).alias("fresh"))
-        both = opened.join(gained, "q_id", "left")
+        met = active.select("q_id", "target", F.explode("at").alias("at"), "seen").join(packed, F.col("at") == F.col("src"))
+        new = met.select("q_id", "target", F.explode(F.array_except("to", "seen")).alias("vec_id"))
+        new = new.distinct() if width > 1 else new
+        found = distance.measured(new.join(xs, "vec_id").join(asked, ["q_id", "target"]).select("q_id", "target", "vec_id", "x", "y"), "x", "y", metric=metric)
+        gained = found.groupBy("q_id", "target").agg(F.collect_list(F.struct("dist", F.col("vec_id").alias("id"), F.lit(False).alias("done"))).alias("fresh"))
+        both = opened.join(gained, ["q_id", "target"], "left")
         fresh = F.coalesce("fresh", F.array().cast("array<struct<dist:double,id:bigint,done:boolean>>"))
-        marked = F.transform("pool", lambda p: F.struct(p.dist.alias("dist"), p.id.alias("id"), (p.done | F.coalesce(p.id == F.col("at"), F.lit(False))).alias("done")))
+        marked = F.transform("pool", lambda p: F.struct(p.dist.alias("dist"), p.id.alias("id"), (p.done | F.array_contains("at", p.id)).alias("done")))
         nxt = both.select(
-            "q_id", F.slice(F.array_sort(F.concat(marked, fresh)), 1, pool).alias("pool"), F.concat("seen", F.transform(fresh, lambda p: p.id)).alias("seen"),
-            (F.col("ndc") + F.size(fresh)).alias("ndc"), (F.col("hops") + F.col("at").isNotNull().cast("int")).alias("hops"),
+            "q_id", "target", F.slice(F.array_sort(F.concat(marked, fresh)), 1, pool).alias("pool"), F.concat("seen", F.transform(fresh, lambda p: p.id)).alias("seen"),
+            (F.col("ndc") + F.size(fresh)).alias("ndc"), (F.col("hops") + F.size("at")).alias("hops"),
         )
         new_state = stage(nxt, "beam")
         drop(state)
         state = new_state
-    out = state.select("q_id", F.posexplode(F.slice("pool", 1, k)).alias("rank", "p"), "ndc", "hops")
-    return out.select("q_id", F.lit(0).alias("index_id"), (F.col("rank") + 1).alias("rank"), F.col("p.id").alias("vec_id"), F.col("p.dist").alias("dist"), "ndc", "hops")
+    drop(packed)
+    drop(asked)
+    out = state.select("q_id", "target", F.posexplode(F.slice("pool", 1, k)).alias("rank", "p"), "ndc", "hops")
+    return out.select("q_id", F.col("target").alias("index_id"), (F.col("rank") + 1).alias("rank"), F.col("p.id").alias("vec_id"), F.col("p.dist").alias("dist"), "ndc", "hops")
 
 
 def medoids(vectors: DataFrame, metric: str = "l2") -> DataFrame:

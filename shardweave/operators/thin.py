@@ -51,7 +51,7 @@ def select(edges: DataFrame, vectors: DataFrame, k: int | None = None, rule: str
     cap = k or 1 << 30
     e = edges.select("src", "dst", "dist")
     degree = e.groupBy(F.col("dst").alias("id")).agg(F.count("*").alias("indeg"))
-    met = e.join(degree, F.col("dst") == F.col("id")).join(vectors.select(F.col("vec_id").alias("v"), F.col("x").cast("array<double>").alias("x")), F.col("dst") == F.col("v"))
+    met = e.join(degree, F.col("dst") == F.col("id")).join(vectors.select(F.col("vec_id").alias("v"), "x"), F.col("dst") == F.col("v"))
     row = F.struct("dist", "dst", "indeg", "x")
     lists = met.groupBy("src").agg(F.array_sort(F.collect_list(row)).alias("n"))
     flat = lists.select("src", F.transform("n", lambda s: s.dist).alias("dist"), F.transform("n", lambda s: s.dst).alias("dst"), F.transform("n", lambda s: s.indeg).alias("indeg"), F.flatten(F.transform("n", lambda s: s.x)).alias("x"))
@@ -66,7 +66,7 @@ def select(edges: DataFrame, vectors: DataFrame, k: int | None = None, rule: str
             at = np.arange(most)[None, :] < sizes[:, None]
             padded = lambda name, kind, at=at: _pad(batch.column(name).flatten().to_numpy(zero_copy_only=False), at, kind)  # noqa: E731, B023
             near, dst, indeg = padded("dist", np.float64), padded("dst", np.int64), padded("indeg", np.int64)
-            values = batch.column("x").flatten().to_numpy(zero_copy_only=False).reshape(int(sizes.sum()), -1)
+            values = batch.column("x").flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(int(sizes.sum()), -1)
             x = np.zeros((*at.shape, values.shape[1]))
             x[at] = values
             src = batch.column("src").to_numpy()
