@@ -80,7 +80,7 @@ def merge(indexes: Sequence[GraphIndex], k: int, **how) -> GraphIndex:
     metrics = {i.metric for i in indexes}
     if len(metrics) > 1:
         raise ValueError(f"indexes of one metric merge, not of {sorted(metrics)}")
-    sizes = {r[0] for i in indexes for r in i.vectors.select(F.size("x")).distinct().limit(2).collect()}
+    sizes = {r[0] for i in indexes for r in i.vectors.select(F.size("x")).limit(1).collect()}
     if len(sizes) > 1:
         raise ValueError(f"indexes of one dimension merge, not of {sorted(sizes)}")
     vectors = edges = None

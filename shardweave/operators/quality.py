@@ -54,6 +54,23 @@ def size(edges: DataFrame, bytes_an_edge: int = 12) -> DataFrame:
     return edges.agg(F.count("*").alias("n_edges"), (F.count("*") * bytes_an_edge).alias("n_bytes"))
 
 
+def stored(spark: SparkSession, path: str) -> DataFrame:
+    """One row ``(n_files, n_bytes)`` of the Parquet files under a path."""
+    files = spark.read.format("binaryFile").option("recursiveFileLookup", "true").option("pathGlobFilter", "*.parquet").load(path)
+    return files.agg(F.count("*").alias("n_files"), F.sum("length").alias("n_bytes"))
+
+
+def objective(spark: SparkSession, build_cost: float, merge_cost: float, qps: float, recall: float) -> DataFrame:
+    """What a merge is after, in one row: what it saves against a build of the whole, at which rate and recall."""
+    row = (float(build_cost), float(merge_cost), float(build_cost - merge_cost), float(build_cost / max(merge_cost, 1e-12)), float(qps), float(recall))
+    return spark.createDataFrame([row], "build_cost double, merge_cost double, saved double, speedup double, qps double, recall double")
+
+
+def delta(with_it: DataFrame, without: DataFrame) -> DataFrame:
+    """The change of recall between two one-row results of :func:`recall`."""
+    return with_it.select("k", F.col("recall").alias("a")).join(without.select("k", F.col("recall").alias("b")), "k").select("k", (F.col("a") - F.col("b")).alias("change"))
+
+
 def reachable(edges: DataFrame, start: DataFrame, max_rounds: int = 10_000) -> DataFrame:
     """Vertices ``(id)`` on directed paths from ``start (id)``: one join of the frontier a round."""
     seen = stage(start.select("id").distinct(), "reach")
@@ -69,7 +86,7 @@ def reachable(edges: DataFrame, start: DataFrame, max_rounds: int = 10_000) -> D
 
 def strong_components(edges: DataFrame, vectors: DataFrame, limit: int = SCC_LIMIT) -> DataFrame:
     """One row ``(n_scc)``. Vertices that can't lie on a cycle are trimmed by joins first; the rest goes through one task
-    while its edges fit ``limit``, and by forward and backward reach from one vertex at a time beyond."""
+    while its edges fit ``limit``, and by colours in joins beyond, with the same result."""
     import pyarrow as pa
 
     core = stage(edges.select("src", "dst").where("src <> dst").distinct(), "scc")
@@ -94,20 +111,30 @@ def strong_components(edges: DataFrame, vectors: DataFrame, limit: int = SCC_LIM
         found = core.groupBy(F.lit("all")).applyInArrow(walk, "n long").first()
         count = found["n"] if found else 0
     else:
-        count = _by_reach(core, inside)
+        count = _by_colour(core, inside)
     return vectors.sparkSession.createDataFrame([(alone + count,)], "n_scc long")
 
 
-def _by_reach(core: DataFrame, inside: DataFrame) -> int:
+def _by_colour(core: DataFrame, inside: DataFrame) -> int:
+    """Every vertex takes the smallest id that reaches it as its colour; what reaches a colour's own vertex back, inside the
+    colour, is one component. All colours at once, until no vertex is left: rounds by components on a path, not by components."""
     count = 0
     while not inside.isEmpty():
-        seed = inside.orderBy("v").limit(1).select(F.col("v").alias("id"))
-        ahead = reachable(core, seed)
-        behind = reachable(core.select(F.col("dst").alias("src"), F.col("src").alias("dst")), seed)
-        one = ahead.intersect(behind)
-        inside = stage(inside.join(one, F.col("v") == F.col("id"), "left_anti"), "scc-left")
-        core = core.join(one, F.col("src") == F.col("id"), "left_anti").join(one, F.col("dst") == F.col("id"), "left_anti")
-        count += 1
+        colour = stage(inside.select("v", F.col("v").alias("c")), "scc-colour")
+        while True:  # the smallest id moves along all edges
+            met = core.join(colour, F.col("src") == F.col("v")).groupBy(F.col("dst").alias("w")).agg(F.min("c").alias("d"))
+            new = stage(colour.join(met, F.col("v") == F.col("w"), "left").select("v", F.least("c", F.coalesce("d", "c")).alias("c")), "scc-colour")
+            still = new.join(colour.withColumnsRenamed({"v": "u", "c": "e"}), (F.col("v") == F.col("u")) & (F.col("c") == F.col("e")), "left_anti").isEmpty()
+            drop(colour)
+            colour = new
+            if still:
+                break
+        one, two = colour.withColumnsRenamed({"v": "src", "c": "a"}), colour.withColumnsRenamed({"v": "dst", "c": "b"})
+        same = stage(core.join(one, "src").join(two, "dst").where("a = b").select(F.col("dst").alias("src"), F.col("src").alias("dst")), "scc-same")
+        back = reachable(same, colour.where("v = c").select(F.col("v").alias("id")))
+        count += colour.where("v = c").count()
+        inside = stage(inside.join(back, F.col("v") == F.col("id"), "left_anti"), "scc-left")
+        core = stage(core.join(back, F.col("src") == F.col("id"), "left_anti").join(back, F.col("dst") == F.col("id"), "left_anti"), "scc-core")
     return count
 
 

@@ -155,23 +155,26 @@ def run(
     for turn in range(1, max_rounds + 1):
         offered = stage(offers(now, vectors, origin, k, scope, metric, cap), "refine-offers")
         new = stage(absorb(now, offered, k), "refine")
-        facts = new.agg(F.sum(F.col("is_new").cast("long")).alias("accepted"), F.count("*").alias("n")).first()
+        counted = new.select(F.col("is_new").cast("long").alias("accepted"), F.lit(1).alias("n"), F.lit(0).cast("long").alias("tried"))
+        counted = counted.unionByName(offered.where("src is null").select(F.lit(0).cast("long").alias("accepted"), F.lit(0).alias("n"), "tried"))
+        facts = counted.agg(*[F.sum(c).alias(c) for c in ("accepted", "n", "tried")]).first()
         if log:
-            log({"round": turn, "pairs": offered.agg(F.sum("tried")).first()[0] or 0, "accepted": facts["accepted"] or 0})
+            log({"round": turn, "pairs": facts["tried"] or 0, "accepted": facts["accepted"] or 0})
         drop(offered)
         drop(now)
-        if repair == "every":
-            now = stage(repaired(new, vectors, settle), "refine")
-            drop(new)
-        else:
-            now = new
+        now = _kept_or_repaired(new, vectors, settle) if repair == "every" else new
         if (facts["accepted"] or 0) <= stop_fraction * (facts["n"] or 0):
             break
-    if repair == "last":
-        fixed = stage(repaired(now, vectors, settle), "refine")
-        drop(now)
-        now = fixed
-    return now
+    return _kept_or_repaired(now, vectors, settle) if repair == "last" else now
+
+
+def _kept_or_repaired(edges: DataFrame, vectors: DataFrame, settle: str) -> DataFrame:
+    """Staged edges as they are where nobody is an orphan, else repaired and staged anew."""
+    if orphans(edges, vectors).isEmpty():
+        return edges
+    fixed = stage(repaired(edges, vectors, settle), "refine")
+    drop(edges)
+    return fixed
 
 
 # --- visit and update in one pass ---

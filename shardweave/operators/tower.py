@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -23,30 +25,54 @@ def hashed(vec_id: Column, seed: int = 0) -> Column:
     return (F.pmod(F.xxhash64(vec_id, F.lit(seed)), F.lit(1 << 40)).cast("double") + 0.5) / float(1 << 40)
 
 
-def rebuild(vectors: DataFrame, k: int, seed: int = 0, metric: str = "l2") -> DataFrame:
+def rebuild(vectors: DataFrame, k: int, seed: int = 0, metric: str = "l2", mode: str = "exact") -> DataFrame:
     """``(layer, src, dst, dist)`` of all layers above the base; about n / k vertices in all.
 
-    A layer is thinned exact neighbours while it is small; a larger one is split in parts that are merged, as the base is.
+    ``exact``: a layer is thinned exact neighbours with reverse edges, up to :data:`EXACT_LIMIT` vertices a layer. ``insert``:
+    vertices enter one by one, by greedy descent to their level and a beam search on each layer from there down, and the rule
+    prunes both ends of their edges; one task holds the layers. ``parts``: a layer is split in parts that are merged as the base is.
     """
-    placed = vectors.withColumn("level", level(hashed(F.col("vec_id"), seed), k)).where("level >= 1").select("vec_id", "x", "level")
+    if mode not in ("exact", "insert", "parts"):
+        raise ValueError(f"mode must be exact, insert or parts, not {mode!r}")
+    placed = stage(vectors.withColumn("level", level(hashed(F.col("vec_id"), seed), k)).where("level >= 1").select("vec_id", "x", "level"), "tower")
+    if mode == "insert":
+        return _inserted(placed, k, metric)
     out = vectors.sparkSession.createDataFrame([], "layer int, src long, dst long, dist double")
-    top = placed.agg(F.max("level")).first()[0] or 0
-    for at in range(1, top + 1):
+    # A row a level.
+    counts = {r["level"]: r["count"] for r in placed.groupBy("level").count().collect()}
+    for at in range(1, max(counts, default=0) + 1):
         members = placed.where(F.col("level") >= at).select("vec_id", "x")
-        n = members.count()
+        n = sum(c for level_, c in counts.items() if level_ >= at)
         if n < 2:
             continue
-        if n <= EXACT_LIMIT:
+        if mode == "exact":
+            if n > EXACT_LIMIT:
+                raise ValueError(f"layer {at} has {n} vertices, more than {EXACT_LIMIT}; rebuild it in parts")
             near = exact.graph(members, min(k, n - 1), metric)
         else:
             from shardweave.plans import fuse
 
-            near = fuse.tree(members, k, parts=-(-n // EXACT_LIMIT), metric=metric).edges
+            near = fuse.tree(members, k, parts=max(2, -(-n // EXACT_LIMIT)), metric=metric).edges
         slim = thin.reciprocate(thin.select(near, members, k, metric=metric), k)
         out = out.unionByName(slim.select(F.lit(at).alias("layer"), "src", "dst", "dist"))
     return out
 
 
+def _inserted(placed: DataFrame, k: int, metric: str) -> DataFrame:
+    from shardweave.plans import builders
+
+    def run(t: pa.Table) -> pa.Table:
+        ids, x = builders.shard_arrays(t)
+        graph = builders.Layered(builders.Net(x, metric), k, 4 * k, 0, wide=False)
+        graph.levels = t.column("level").to_numpy()[np.argsort(t.column("vec_id").to_numpy(), kind="stable")] - 1
+        for v in range(len(ids)):
+            graph.insert(v)
+        return builders.packed(graph.net, ids, graph.layers, 0)
+
+    built = placed.groupBy(F.lit("all")).applyInArrow(run, builders.EDGES)
+    return built.select((F.col("layer") + 1).cast("int").alias("layer"), "src", "dst", "dist")
+
+
 def descend(layers: DataFrame, vectors: DataFrame, queries: DataFrame, base_entry: DataFrame, pool: int = 1, metric: str = "l2") -> DataFrame:
     """``(q_id, ep, ndc)``: each query's entry into the base, by descent from the top layer; where a layer ends, the next begins.
 

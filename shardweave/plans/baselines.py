@@ -8,10 +8,10 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from shardweave.functions import distance
-from shardweave.operators import lift, refine, search, thin
+from shardweave.operators import exact, lift, refine, search, thin
 from shardweave.plans import builders
 from shardweave.plans.builders import EDGES, Layered, Net, insert_flat, medoid, packed, refit, shard_arrays
-from shardweave.staging import stage
+from shardweave.staging import drop, stage
 
 
 def rebuild(vectors: DataFrame, kind: str, metric: str = "l2", **how) -> DataFrame:
@@ -66,9 +66,10 @@ def segment_merge(vectors: DataFrame, m: int = 16, ef: int = 200, low_ef: int =
 def fresh_merge(edges: DataFrame, vectors: DataFrame, degree: int = 16, size: int = 50, alpha: float = 1.2, deleted: DataFrame | None = None, metric: str = "l2") -> DataFrame:
     """Batch insertion into the graph of part 0: bridge deleted vertices, search and prune the other parts' vectors on
     the old graph, then patch the reverse edges. Three passes, as on storage."""
-    gone = {r[0] for r in deleted.select("vec_id").collect()} if deleted is not None else set()
+    marked = deleted.select("vec_id").distinct().withColumn("dead", F.lit(True)) if deleted is not None else vectors.limit(0).select("vec_id", F.lit(True).alias("dead"))
     lists = edges.groupBy("src").agg(F.collect_list("dst").alias("to"))
-    rows = vectors.join(lists, vectors["vec_id"] == lists["src"], "left").select("vec_id", "x", F.col("part").cast("int").alias("part"), F.coalesce("to", F.array().cast("array<long>")).alias("to"))
+    rows = vectors.join(lists, vectors["vec_id"] == lists["src"], "left").join(marked, "vec_id", "left")
+    rows = rows.select("vec_id", "x", F.col("part").cast("int").alias("part"), F.coalesce("to", F.array().cast("array<long>")).alias("to"), F.coalesce("dead", F.lit(False)).alias("dead"))
 
     def run(t: pa.Table) -> pa.Table:
         ids, x = shard_arrays(t)
@@ -76,7 +77,7 @@ def fresh_merge(edges: DataFrame, vectors: DataFrame, degree: int = 16, size: in
         part, to = t.column("part").to_numpy()[order], [t.column("to").to_pylist()[i] for i in order]
         at = {int(v): i for i, v in enumerate(ids)}
         net = Net(x, metric)
-        dead = {at[v] for v in gone if v in at}
+        dead = set(np.flatnonzero(t.column("dead").to_numpy(zero_copy_only=False)[order]).tolist())
         net.to = {i: [at[u] for u in to[i] if u in at] for i in range(len(ids)) if part[i] == 0}
         for v in list(net.to):
             if v not in dead and any(u in dead for u in net.to[v]):
@@ -142,6 +143,73 @@ def prefix_doubling(vectors: DataFrame, degree: int = 16, size: int = 50, alpha:
     return _one_shard(vectors if "part" in vectors.columns else vectors.withColumn("part", F.lit(0)), kernel, metric)
 
 
+def insert_batch(edges: DataFrame, vectors: DataFrame, batch: DataFrame, degree: int, size: int, alpha: float, metric: str) -> tuple[DataFrame, int]:
+    """A batch of new vectors into a stored graph, by two scans over it: each new vertex is searched on the graph as it was and
+    pruned; reverse edges are sent to their sources, and lists that overflow are pruned. Edges, and distances evaluated."""
+    entry = stage(search.medoids(vectors.select("vec_id", "x"), metric), "batch-entry")
+    met = stage(search.resident(edges, vectors.select("vec_id", "x"), batch.select("vec_id", "x"), entry, size, size, metric), "batch-found")
+    found = met.select(F.col("q_id").alias("src"), F.col("vec_id").alias("dst"), "dist")
+    every = vectors.select("vec_id", "x").unionByName(batch.select("vec_id", "x"))
+    own = stage(thin.select(found, every, degree, "alpha", "off", alpha, metric=metric), "batch-own")
+    back = own.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "dist")
+    both = edges.select("src", "dst", "dist").unionByName(own).unionByName(back).groupBy("src", "dst").agg(F.min("dist").alias("dist"))
+    sized = stage(both.withColumn("n", F.count("*").over(Window.partitionBy("src"))), "batch-both")
+    full = sized.where(F.col("n") > degree)
+    pruned = thin.select(full.select("src", "dst", "dist"), every, degree, "alpha", "off", alpha, metric=metric)
+    out = stage(sized.where(F.col("n") <= degree).select("src", "dst", "dist").unionByName(pruned), "batch")
+    pairs = lambda df: df.groupBy("src").count().agg(F.sum(F.floor(F.col("count") * (F.col("count") - 1) / 2))).first()[0] or 0
+    cost = (met.where("rank = 1").agg(F.sum("ndc")).first()[0] or 0) + pairs(found) + pairs(full)
+    for used in (entry, met, own, sized):
+        drop(used)
+    return out, int(cost)
+
+
+def bridged(edges: DataFrame, vectors: DataFrame, deleted: DataFrame, degree: int, alpha: float, metric: str = "l2") -> DataFrame:
+    """One scan that takes deleted vertices ``(vec_id)`` out: who pointed to one gets its neighbours as candidates and is pruned."""
+    gone = deleted.select(F.col("vec_id").alias("v")).distinct()
+    e = edges.select("src", "dst", "dist").join(gone, F.col("src") == F.col("v"), "left_anti")
+    lost = e.join(gone, F.col("dst") == F.col("v"), "left_semi")
+    live = e.join(gone, F.col("dst") == F.col("v"), "left_anti")
+    over = lost.select(F.col("src").alias("s"), F.col("dst").alias("d")).join(edges.select("src", "dst"), F.col("d") == F.col("src")).select(F.col("s").alias("src"), "dst").where("src <> dst")
+    over = over.join(gone, F.col("dst") == F.col("v"), "left_anti").distinct()
+    x, y = vectors.select(F.col("vec_id").alias("src"), "x"), vectors.select(F.col("vec_id").alias("dst"), F.col("x").alias("y"))
+    measured = distance.measured(over.join(x, "src").join(y, "dst").select("src", "dst", "x", "y"), "x", "y", metric=metric)
+    touched = lost.select(F.col("src").alias("t")).distinct()
+    wide = live.join(touched, F.col("src") == F.col("t"), "left_semi").unionByName(measured).groupBy("src", "dst").agg(F.min("dist").alias("dist"))
+    return live.join(touched, F.col("src") == F.col("t"), "left_anti").unionByName(thin.select(wide, vectors, degree, "alpha", "off", alpha, metric=metric))
+
+
+def fresh_scans(edges: DataFrame, vectors: DataFrame, degree: int = 16, size: int = 50, alpha: float = 1.2, deleted: DataFrame | None = None, metric: str = "l2") -> tuple[DataFrame, int]:
+    """:func:`fresh_merge` over stored tables: a scan that bridges deleted vertices, one that searches and prunes the vectors of
+    the other parts, one that patches. No task holds more than a shard's search; edges, and distances evaluated."""
+    now = edges
+    if deleted is not None:
+        now = stage(bridged(edges, vectors, deleted, degree, alpha, metric), "bridged")
+        vectors = vectors.join(deleted.select("vec_id"), "vec_id", "left_anti")
+    old = vectors.where("part = 0")
+    inside = now.join(old.select(F.col("vec_id").alias("src")), "src", "left_semi").select("src", "dst", "dist")
+    return insert_batch(inside, old, vectors.where("part <> 0"), degree, size, alpha, metric)
+
+
+def parallel_doubling(vectors: DataFrame, degree: int = 16, size: int = 50, alpha: float = 1.2, seed: int = 1, metric: str = "l2") -> tuple[DataFrame, int]:
+    """Batches of doubling size, the vectors of a batch searched in parallel by all tasks. Batches go by a hash of the id, so
+    there is no global order. Edges, and distances evaluated."""
+    v = vectors.select("vec_id", "x")
+    n = v.count()
+    turn = (F.pmod(F.xxhash64("vec_id", F.lit(seed)), F.lit(1 << 40)).cast("double") + 0.5) / float(1 << 40) * n
+    start = 2 * degree
+    dealt = stage(v.withColumn("turn", F.greatest(F.lit(0), F.ceil(F.log2(turn / start))).cast("int")), "doubling")
+    first = dealt.where("turn = 0")
+    now = stage(exact.graph(first, degree, metric).select("src", "dst", "dist"), "batch")
+    cost = first.count() ** 2 // 2
+    for at in range(1, (dealt.agg(F.max("turn")).first()[0] or 0) + 1):
+        new, more = insert_batch(now, dealt.where(F.col("turn") < at), dealt.where(F.col("turn") == at), degree, size, alpha, metric)
+        drop(now)
+        now, cost = new, cost + more
+    drop(dealt)
+    return now, cost
+
+
 def knng_merge(edges: DataFrame, vectors: DataFrame, k: int, max_rounds: int = 8, metric: str = "l2", seed: int = 7) -> tuple[DataFrame, list[dict]]:
     """Near halves of the lists, random foreign ids, then local joins over all pairs; neither thinning nor repair."""
     half = lift.best(edges, max(1, k // 2))

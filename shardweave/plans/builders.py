@@ -93,10 +93,10 @@ def nsw(net: Net, m: int = 16, ef: int = 200, **_) -> dict[int, dict[int, list[i
 
 
 class Layered:
-    """A layered graph under insertion."""
+    """A layered graph under insertion; ``wide``: the lowest layer holds twice as many edges a vertex."""
 
-    def __init__(self, net: Net, m: int, ef: int, seed: int):
-        self.net, self.m, self.ef = net, m, ef
+    def __init__(self, net: Net, m: int, ef: int, seed: int, wide: bool = True):
+        self.net, self.m, self.ef, self.wide = net, m, ef, wide
         self.levels = np.floor(-np.log(np.random.default_rng(seed).uniform(1e-12, 1, len(net.x))) / math.log(m)).astype(int)
         self.layers: dict[int, dict[int, list[int]]] = {0: {}}
         self.entry, self.top = -1, -1
@@ -115,7 +115,7 @@ class Layered:
         for layer in range(min(self.top, level), -1, -1):
             net.to = self.layers[layer]
             found = [p for p in net.search(v, at, ef or self.ef) if p[1] != v]
-            cap = self.m * (2 if layer == 0 else 1)
+            cap = self.m * (2 if layer == 0 and self.wide else 1)
             net.to[v] = net.prune(found, self.m)
             for u in net.to[v]:
                 net.to[u].append(v)

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from shardweave.operators import lift, refine, search, thin, tower
-from shardweave.staging import drop, stage
+from shardweave.staging import drop, stage, storing
 
 #: The ablations: random foreign candidates or searched ones, rounds of joins (all visits, then all updates) or fused sweeps
 #: by id or depth first. ``plain`` also forgets which edges are new.
@@ -32,30 +32,48 @@ class Merged:
     facts: dict = field(default_factory=dict)
 
 
-def merge(
+def merge(edges: DataFrame, vectors: DataFrame, k: int, *, storage: str = "parquet", **how) -> Merged:
+    """:func:`run` with its tables kept in ``storage``, ``parquet`` or ``cache``."""
+    with storing(storage):
+        return run(edges, vectors, k, **how)
+
+
+def run(
     edges: DataFrame, vectors: DataFrame, k: int, *, pool: int | str = "worst", init: str = "probe", flags: bool = True, max_rounds: int = 8, scope: str = "cross",
     repair: str = "every", rule: str = "kept", guard: str = "static", alpha: float = 1.0, tau: float = 0.0, stages: tuple[str, ...] = ("lift", "refine", "thin"),
     with_tower: bool = False, metric: str = "l2", reach: int | None = None, stop_fraction: float = 0.0, cap: int | None = None, seed: int = 7,
-    mode: str = "bsp", order: str = "id",
+    mode: str = "bsp", order: str = "id", settle: str = "exact", probe: str = "resident", width: int = 1, tri: bool = False, mapped: DataFrame | None = None,
 ) -> Merged:
     """One graph over all parts of ``vectors (vec_id, x, part)`` from ``edges (src, dst, dist)`` inside the parts.
 
     ``init``: foreign candidates by ``probe`` (beam search), ``random`` or ``exact``. Without ``flags`` every edge counts
-    as new in each round. ``reach`` routes a vertex to the nearest foreign indexes only. ``mode`` and ``order``: see
+    as new in each round. ``reach`` routes a vertex to the nearest foreign indexes only. ``probe``, ``width`` and ``tri``: how
+    beams run, see :func:`shardweave.operators.lift.cross`. ``mode``, ``order`` and ``settle``: see
     :func:`shardweave.operators.refine.run`.
+
+    ``mapped (index_id, local_id, valid, global_id)``: ids are local to their parts, edges have ``part`` as well, and the merged
+    graph has the global ids. Foreign searches run on the graphs as they are; candidates and edges of an end that isn't valid
+    go after them, and copies of one vertex become one.
     """
     if init not in ("probe", "random", "exact"):
         raise ValueError(f"init must be probe, random or exact, not {init!r}")
     facts: dict = {"rounds": []}
+    named = None
+    if mapped is not None:
+        # Ids that are unique over the parts, and what becomes of each.
+        top = (vectors.agg(F.max("part")).first()[0] or 0) + 1
+        unique = lambda c, part: F.col(c) * top + F.col(part)
+        named = stage(mapped.where("valid").select(unique("local_id", "index_id").alias("uid"), "global_id"), "merge-map")
+        edges = edges.select(unique("src", "part").alias("src"), unique("dst", "part").alias("dst"), "dist")
+        vectors = stage(vectors.select(unique("vec_id", "part").alias("vec_id"), "x", "part"), "merge-vectors")
     base = stage(edges.select("src", "dst", "dist"), "merge-own")
-    origin = vectors.select("vec_id", "part")
     entries = stage(search.medoids(vectors, metric), "merge-entries")
     h = entries.count()
     if h < 2:
         raise ValueError(f"a merge takes two indexes at least, not {h}")
     size = lift.pool_of(pool, base, k, h)
     if init == "probe":
-        found = stage(lift.cross(base, vectors, entries, size, metric, reach), "merge-cross")
+        found = stage(lift.cross(base, vectors, entries, size, metric, reach, probe, None, width, tri), "merge-cross")
         facts["ndc_lift"] = found.agg(F.sum("ndc")).first()[0] or 0
     elif init == "exact":
         found = stage(lift.cross_exact(vectors, size, metric), "merge-cross")
@@ -63,20 +81,24 @@ def merge(
     else:
         found = stage(lift.random_cross(vectors, size, metric, seed), "merge-cross")
         facts["ndc_lift"] = found.count()
-    now = stage(lift.run(base, found, k).select("src", "dst", "dist"), "merge-lift")
+    own, other = base, found.select("src", "dst", "dist")
+    if named is not None:
+        own, other = renamed(own, named), renamed(other, named)
+        one = vectors.join(named, F.col("vec_id") == F.col("uid")).groupBy(F.col("global_id").alias("vec_id")).agg(F.max_by(F.struct("x", "part"), "part").alias("v"))
+        vectors = stage(one.select("vec_id", "v.x", "v.part"), "merge-vectors")
+    origin = vectors.select("vec_id", "part")
+    now = stage(lift.run(own, other, k).select("src", "dst", "dist"), "merge-lift")
     drop(found)
     if "refine" in stages:
         log = facts["rounds"].append
         if flags:
-            new = refine.run(now, vectors, origin, k, max_rounds, scope, repair, metric, stop_fraction, cap, log, mode, order)
+            now = refine.run(now, vectors, origin, k, max_rounds, scope, repair, metric, stop_fraction, cap, log, mode, order, settle).select("src", "dst", "dist")
         else:
-            new = now
             for _ in range(max_rounds):
-                one = refine.run(new.select("src", "dst", "dist"), vectors, origin, k, 1, scope, repair, metric, cap=cap, log=log)
-                new = one
+                now = refine.run(now.select("src", "dst", "dist"), vectors, origin, k, 1, scope, repair, metric, cap=cap, log=log, settle=settle)
                 if not facts["rounds"][-1]["accepted"]:
                     break
-        now = stage(new.select("src", "dst", "dist"), "merge-refine")
+            now = now.select("src", "dst", "dist")
     facts["ndc_refine"] = sum(r["pairs"] for r in facts["rounds"])
     facts["ndc_thin"] = 0
     if "thin" in stages:
@@ -87,10 +109,19 @@ def merge(
         now = stage(thin.reciprocate(slim, k).select("src", "dst", "dist"), "merge-thin")
     layers = stage(tower.rebuild(vectors.select("vec_id", "x"), k, seed, metric), "merge-tower") if with_tower else None
     whole = search.medoids(vectors.select("vec_id", "x"), metric)
+    for used in (base, entries, *([named] if named is not None else [])):
+        drop(used)
     facts["pool"] = size
     return Merged(now, layers, whole, facts)
 
 
+def renamed(edges: DataFrame, named: DataFrame) -> DataFrame:
+    """Edges under global ids; those of an end without one go, and those between copies of a vertex."""
+    a = named.select(F.col("uid").alias("src"), F.col("global_id").alias("a"))
+    b = named.select(F.col("uid").alias("dst"), F.col("global_id").alias("b"))
+    return edges.join(a, "src").join(b, "dst").where("a <> b").select(F.col("a").alias("src"), F.col("b").alias("dst"), "dist")
+
+
 def tree(vectors: DataFrame, k: int, parts: int, fan_in: int = 8, kind: str = "nn_descent", metric: str = "l2", **how) -> Merged:
     """Many parts merged level by level, ``fan_in`` at a time, so that foreign searches grow with the levels and not with the square of the parts."""
     from shardweave.plans import builders

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from shardweave.functions import distance
 from shardweave.operators import exact, idmap, lift, quality, refine, search, thin, tower
+from shardweave.plans import baselines
 from shardweave.sources import tables
 from shardweave.staging import stage
 from shardweave.workloads import sql
@@ -156,13 +157,27 @@ def repair_scc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def naive_union_recall(h: int):
-    """One entry reaches one part: its exact answers against the whole truth."""
+    """The parts' graphs side by side, searched from one entry with a pool that holds all it reaches."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         base, asked = tables.base_and_queries(spark, sf_dir)
-        first = base.where(F.col("vec_id") % h == 0)
-        out = quality.recall(exact.knn(first, asked, 10), exact.knn(base, asked, 10), 10)
-        return out.select(F.lit(h).alias("h"), F.round("recall", 6).alias("recall"))
+        parts = idmap.by_modulus(base, h)
+        union = stage(baselines.naive_union(own_exact(parts, K)), "union")
+        entry = stage(search.lowest(base), "entry")
+        found = search.resident(union, base, asked, entry, base.count(), 10)
+        return quality.recall(found, exact.knn(base, asked, 10), 10).select(F.lit(h).alias("h"), F.round("recall", 6).alias("recall"))
+
+    return run
+
+
+def cross_exhaustive(mode: str):
+    """Foreign candidates by beams whose pool holds the whole index: the nearest of what an entry reaches."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        v = stage(split(spark, sf_dir, 2), "vectors")
+        own = stage(own_exact(v, K), "own")
+        found = lift.cross(own, v, stage(search.lowest(v), "entries"), v.count(), mode=mode)
+        return rounded(lift.best(found.select("src", "dst", "dist"), K).select("src", "dst", "dist"))
 
     return run
 
@@ -242,6 +257,7 @@ QUERIES = {
     "repair_scc": repair_scc,
     "reach_recursive": reach_query,
     **{f"naive_union_recall_h{h}": naive_union_recall(h) for h in (2, 3, 4)},
+    "cross_exhaustive_h2": cross_exhaustive("resident"),
     **{f"delete_{r}": changed(r, "delete") for r in (4, 3, 2)},
     **{f"overlap_{r}": changed(r, "overlap") for r in (4, 3, 2)},
     "cost_model": cost_model,
@@ -296,10 +312,17 @@ SELECT (SELECT count(*) FROM g)::BIGINT AS n_edges, (SELECT count(*) FROM i WHER
     "graph_recall_init": f"WITH {sql.PAIRS}, {sql.START}, g AS ({sql.graph(K)}) SELECT round((SELECT count(*) FROM g JOIN start USING (src, dst))::DOUBLE / (SELECT count(*) FROM g), 6) AS recall",
     "repair_scc": sql.recursive(sql.exact_graph(K) + sql.SCC),
     "reach_recursive": sql.recursive(sql.exact_graph(K) + sql.REACH) + " SELECT count(*)::BIGINT AS reached FROM reach",
-    **{f"naive_union_recall_h{h}": f"""WITH v AS ({_V}), d AS (
-  SELECT q.vec_id AS q_id, b.vec_id, list_distance(q.x, b.x) AS d FROM v q JOIN v b ON q.vec_id % 11 = 7 AND b.vec_id % 11 <> 7),
-t AS (SELECT q_id, vec_id FROM d QUALIFY row_number() OVER (PARTITION BY q_id ORDER BY d, vec_id) <= 10)
-SELECT {h} AS h, round(avg((vec_id % {h} = 0)::INT), 6) AS recall FROM t""" for h in (2, 3, 4)},
+    **{f"naive_union_recall_h{h}": f"""WITH RECURSIVE v AS ({_V}), b AS (SELECT * FROM v WHERE vec_id % 11 <> 7),
+g AS (SELECT x.vec_id AS src, y.vec_id AS dst FROM b x JOIN b y ON x.vec_id <> y.vec_id AND x.vec_id % {h} = y.vec_id % {h}
+  QUALIFY row_number() OVER (PARTITION BY x.vec_id ORDER BY list_distance(x.x, y.x), y.vec_id) <= {K}),
+reach AS (SELECT min(vec_id) AS id FROM b UNION SELECT g.dst FROM reach JOIN g ON g.src = reach.id),
+d AS (SELECT q.vec_id AS q_id, b.vec_id, list_distance(q.x, b.x) AS d FROM v q JOIN b ON q.vec_id % 11 = 7),
+t AS (SELECT q_id, vec_id FROM d QUALIFY row_number() OVER (PARTITION BY q_id ORDER BY d, vec_id) <= 10),
+f AS (SELECT q_id, vec_id FROM d JOIN reach ON id = vec_id QUALIFY row_number() OVER (PARTITION BY q_id ORDER BY d, vec_id) <= 10)
+SELECT {h} AS h, round(count(f.vec_id) / count(*)::DOUBLE, 6) AS recall FROM t LEFT JOIN f USING (q_id, vec_id)""" for h in (2, 3, 4)},
+    "cross_exhaustive_h2": sql.recursive(f"""WITH {sql.PAIRS}, g AS ({sql.graph(K, 2)}),
+reach AS (SELECT min(vec_id) AS id FROM v GROUP BY vec_id % 2 UNION SELECT g.dst FROM reach JOIN g ON g.src = reach.id)
+SELECT src, dst, round(dist, 6) AS dist FROM p JOIN reach ON id = dst WHERE src % 2 <> dst % 2 QUALIFY row_number() OVER (PARTITION BY src ORDER BY p.dist, dst) <= {K}"""),
     **{f"delete_{r}": sql.changed(r, "delete") for r in (4, 3, 2)},
     **{f"overlap_{r}": sql.changed(r, "overlap") for r in (4, 3, 2)},
     "cost_model": """WITH c AS (SELECT count(*) AS n FROM embeddings), m AS (SELECT h, (n // h) AS s, (n // h) * h AS n FROM c, (VALUES (2), (4)) AS t(h))

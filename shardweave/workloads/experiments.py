@@ -135,49 +135,146 @@ def multi_merge(h: int):
 def multi_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Search quality of merges of two to seven indexes."""
     rows = []
-    for h in (2, 4, 7):
+    for h in range(2, 8):
         b = Bench(spark, sf_dir, h, "vamana")
         edges, cost, _ = b.merged()
         rows += b.measured("merge", edges, cost, (20, 80), setting=f"h={h}")
     return report(spark, rows)
 
 
-def rebuild_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The merge of halves against building anew, four methods."""
-    rows = []
-    for kind, how in (("vamana", {}), ("tau_graph", {"size": 50}), ("nn_descent", {}), ("nsw", {"ef": 50})):
-        b = Bench(spark, sf_dir, 2, kind, **how)
-        edges, cost, _ = b.merged()
-        rows += b.measured("merge", edges, cost, (POOL, 200), setting=kind)
-        again = stage(baselines.rebuild(b.base, kind, **({"degree": K, "m": K // 2, "k": K} | how)), "again")
-        rows += b.measured("rebuild", baselines.base_layer(again), baselines.cost(again), (POOL, 200), setting=kind)
-    return report(spark, rows)
+#: Methods of the comparison with building anew, and the degrees that each is tried with.
+REBUILT = {"vamana": {}, "tau_graph": {"size": 50}, "nn_descent": {}, "nsw": {"ef": 50}}
+DEGREES = (8, 12, 16, 24)
+
+
+def rebuild_curve(kind: str):
+    """The merge of halves against building anew, in four settings, searched with a pool of 200."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        rows = []
+        for k in DEGREES:
+            how = {"degree": k, "m": k // 2, "k": k} | REBUILT[kind]
+            b = Bench(spark, sf_dir, 2, kind, k=k, **how)
+            edges, cost, _ = b.merged()
+            rows += b.measured("merge", edges, cost, (200,), setting=f"{kind} k={k}")
+            again = stage(baselines.rebuild(b.base, kind, **how), "again")
+            rows += b.measured("rebuild", baselines.base_layer(again), baselines.cost(again), (200,), setting=f"{kind} k={k}")
+        return report(spark, rows)
+
+    return run
 
 
 def method_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Search quality of merges and of rebuilt indexes of two methods over pools."""
+    """Search quality of merges and of rebuilt indexes of four methods over pools."""
     rows = []
-    for kind, how in (("vamana", {}), ("nn_descent", {})):
-        b = Bench(spark, sf_dir, 2, kind, **how)
+    for kind, more in REBUILT.items():
+        b = Bench(spark, sf_dir, 2, kind, **more)
         edges, cost, _ = b.merged()
         rows += b.measured("merge", edges, cost, (10, 20, 80, 320), setting=kind)
-        again = stage(baselines.rebuild(b.base, kind, degree=K, k=K), "again")
+        again = stage(baselines.rebuild(b.base, kind, **({"degree": K, "m": K // 2, "k": K} | more)), "again")
         rows += b.measured("rebuild", baselines.base_layer(again), baselines.cost(again), (10, 20, 80, 320), setting=kind)
     return report(spark, rows)
 
 
-def growth(form: str, sizes: tuple[int, ...]):
-    """The merge of halves against insertion as the base grows by vectors between others, or by near twins."""
+def changed_merge(form: str):
+    """An index of all vectors merged with one of every r-th, under a map: ``delete`` drops those vectors, ``overlap`` keeps the
+    newer copy of each. Recall is over the vectors that are left."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        rows = []
+        for r in (4, 3, 2):
+            b = Bench(spark, sf_dir, 1, "random")
+            v = stage(idmap.full_and_subset(b.base.select("vec_id", "x"), r), "changed")
+            built = stage(builders.build(v, "vamana", degree=K), "changed-index").where("layer = 0").select("src", "dst", "dist", F.col("index_id").alias("part"))
+            members = v.select(F.col("part").alias("index_id"), F.col("vec_id").alias("local_id"), F.col("vec_id").alias("key"), F.col("part").alias("ts"))
+            if form == "delete":
+                mapped = idmap.build(members.withColumn("global_id", F.col("local_id")), "explicit", F.col("local_id") % r != 0)
+                b.base = stage(b.base.where(F.col("vec_id") % r != 0), "left")
+                b.truth = stage(exact.knn(b.base.select("vec_id", "x"), b.asked, 100), "truth")
+                b.whole = stage(search.medoids(b.base.select("vec_id", "x")), "entry")
+            else:
+                mapped = idmap.build(members, "newest")
+            # Deleted vertices take places in the pools of the searches; twice the size leaves enough of the others.
+            got = fuse.merge(built, v, K, mapped=mapped, pool=2 * lift.pool_size(K, 2))
+            cost = sum(c for name, c in got.facts.items() if name.startswith("ndc"))
+            rows += b.measured("merge", got.edges, cost, (POOL, 200), setting=f"{form} 1/{r}")
+        return report(spark, rows)
+
+    return run
+
+
+def composition_built(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Of the edges of an index of all vectors the shares that indexes of two to five parts had, by builder."""
+    out = None
+    for kind, how in (("hnsw", {"m": K // 2, "ef": 50}), ("vamana", {"degree": K})):
+        full = stage(baselines.base_layer(builders.build(Bench(spark, sf_dir, 1, "random").base, kind, **how)), "whole")
+        for h in (2, 3, 4, 5):
+            v = stage(idmap.by_hash(tables.base_and_queries(spark, sf_dir)[0], h, 3), "parts")
+            sub = baselines.base_layer(builders.build(v, kind, **how))
+            row = quality.composition(sub, full, v).select(F.lit(kind).alias("method"), F.lit(h).alias("h"), "kept", "new_same", "new_cross")
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
+def merge_objective(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the merge of halves saves against building anew, with its recall and its queries a second."""
+    b = Bench(spark, sf_dir, 2, "vamana")
+    edges, cost, _ = b.merged()
+    again = stage(baselines.rebuild(b.base, "vamana", degree=K), "again")
+    row = b.measured("merge", edges, cost)[0]
+    rate = quality.qps(lambda: b.answers(edges), b.asked.count(), 1)
+    return quality.objective(spark, baselines.cost(again), cost, rate, row["recall"])
+
+
+def fresh_table(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Batch insertion over stored tables in scans, and batches of doubling size searched in parallel, against the merge."""
+    b = Bench(spark, sf_dir, 2, "vamana")
+    edges, cost, _ = b.merged()
+    rows = b.measured("merge", edges, cost)
+    rows += b.measured("fresh_scans", *baselines.fresh_scans(b.edges, b.base, K))
+    return report(spark, rows + b.measured("parallel_doubling", *baselines.parallel_doubling(b.base, K)), "halves")
+
+
+def consolidation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Vectors on nodes by the nation of a customer, an index a node; the nodes of each region are merged to one index."""
+    customer, nation, region = (tables.table(spark, sf_dir, t) for t in ("customer", "nation", "region"))
+    v = tables.vectors(spark, sf_dir).withColumn("owner", F.col("vec_id") % F.lit(customer.count()) + 1)
+    placed = v.join(customer, F.col("owner") == F.col("c_custkey")).join(F.broadcast(nation), F.col("c_nationkey") == F.col("n_nationkey")).join(F.broadcast(region), F.col("n_regionkey") == F.col("r_regionkey"))
+    placed = stage(placed.select("vec_id", "x", F.col("n_nationkey").cast("int").alias("part"), "r_name"), "nodes")
+    edges = baselines.base_layer(stage(builders.build(placed, "vamana", degree=K), "nodes-index"))
+    out = []
+    for name in [r[0] for r in placed.select("r_name").distinct().orderBy("r_name").collect()]:  # five regions
+        own = stage(placed.where(F.col("r_name") == name).select("vec_id", "x", "part"), "region")
+        got = fuse.merge(edges.join(own.select(F.col("vec_id").alias("src")), "src", "left_semi"), own, K)
+        truth = exact.knn(own, own.select("vec_id", "x"), ASK)
+        found = search.resident(got.edges, own.select("vec_id", "x"), own.select("vec_id", "x"), stage(got.entries, "entry"), POOL, ASK)
+        out.append((name, own.select("part").distinct().count(), own.count(), got.edges.count(), float(quality.recall(found, truth, ASK).first()["recall"])))
+    return spark.createDataFrame(out, "region string, n_nodes long, n_vectors long, n_edges long, recall double")
+
+
+def probe_options(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The options of foreign searches: distances, and the same graph. Joins, pruning by triangles, several vertices a round, routing."""
+    b = Bench(spark, sf_dir, 3, "vamana")
+    rows = []
+    for name, how in (("resident", {}), ("tri", {"tri": True}), ("width 4", {"width": 4}), ("reach 1", {"reach": 1}), ("cap 24", {"cap": 24}), ("stop 1 %", {"stop_fraction": 0.01}), ("cache", {"storage": "cache"})):
+        edges, cost, _ = b.merged(**how)
+        rows += b.measured("merge", edges, cost, setting=name)
+    return report(spark, rows)
+
+
+def growth(form: str, sizes: tuple[int, ...], kind: str = "hnsw"):
+    """The merge of halves against insertion (``hnsw``) or building anew, as the base grows by vectors between others, or by near twins."""
     grow = {"blend": tables.blended, "twins": tables.jittered}[form]
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         rows = []
         for n in sizes:
-            b = Bench(spark, sf_dir, 2, "hnsw", larger=lambda base, n=n: grow(base, n))
+            b = Bench(spark, sf_dir, 2, kind, larger=lambda base, n=n: grow(base, n))
             edges, cost, _ = b.merged()
-            rows += b.measured("merge", edges, cost, setting=f"{form} x{n}")
-            inserted = stage(baselines.insert_all(b.base, "hnsw", K // 2, EFFORT), "inserted")
-            rows += b.measured("insert_all", baselines.base_layer(inserted), baselines.cost(inserted), setting=f"{form} x{n}")
+            # Pools from small to large, so that distances can be compared at equal recall.
+            rows += b.measured("merge", edges, cost, (POOL, 2 * POOL), setting=f"{form} x{n}")
+            other = stage(baselines.insert_all(b.base, "hnsw", K // 2, EFFORT) if kind == "hnsw" else baselines.rebuild(b.base, kind, degree=K), "other")
+            rows += b.measured("insert_all" if kind == "hnsw" else "rebuild", baselines.base_layer(other), baselines.cost(other), (POOL, 2 * POOL), setting=f"{form} x{n}")
         return report(spark, rows)
 
     return run
@@ -320,7 +417,7 @@ def beam_modes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def merge_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Eight parts merged two at a time."""
+    """Four parts merged two at a time."""
     b = Bench(spark, sf_dir, 1, "random")
     got = fuse.tree(b.base.select("vec_id", "x"), K, 4, 2)
     return report(spark, b.measured("merge_tree", got.edges, got.facts["ndc"]), "4 parts, fan-in 2")
@@ -338,8 +435,10 @@ def document_overlap(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "merge2_cost": merge2_cost, "search_curve": search_curve, "strategy_table": strategy_table,
     **{f"multi_merge_h{h}": multi_merge(h) for h in (3, 5, 7)},
-    "multi_recall": multi_recall, "rebuild_curve": rebuild_curve, "builders_table": builders_table, "prefix_doubling": doubling, "effort_sweep": effort_sweep,
+    "multi_recall": multi_recall, **{f"rebuild_{kind}": rebuild_curve(kind) for kind in REBUILT}, "builders_table": builders_table, "prefix_doubling": doubling, "effort_sweep": effort_sweep,
     "pool_sweep": pool_sweep, "ablation": ablation, "stage_ablation": stage_ablation, "repair_ablation": repair_ablation, "rule_table": rule_table,
     "heterogeneous": heterogeneous, "tower_layers": tower_layers, "beam_modes": beam_modes, "merge_tree": merge_tree,
-    "method_curve": method_curve, "growth": growth("blend", (1, 2, 4)), "growth_twins": growth("twins", (2,)), "layered_search": layered_search, "hub_sketch": hub_sketch, "document_overlap": document_overlap,
+    "method_curve": method_curve, "growth": growth("blend", (1, 2, 4)), "growth_twins": growth("twins", (2,)), "growth_vamana": growth("blend", (1, 2), "vamana"),
+    "delete_merge": changed_merge("delete"), "overlap_merge": changed_merge("overlap"), "composition_built": composition_built, "merge_objective": merge_objective,
+    "fresh_table": fresh_table, "consolidation": consolidation, "probe_options": probe_options, "layered_search": layered_search, "hub_sketch": hub_sketch, "document_overlap": document_overlap,
 }
