@@ -12,7 +12,7 @@ without a piece become byte pieces. Decoding joins the pieces' bytes; a text com
 itself (U+2581), which comes back as a space.
 
 Defined cases: a null text has null ids, an empty one no ids, and both decode to themselves; ill-formed ids are an error;
-repeated rows encode alike; an empty table gives an empty result; input columns of the added names are replaced.
+repeated rows encode alike; an empty table gives an empty result; other columns of the input take no part.
 """
 
 from __future__ import annotations
@@ -25,6 +25,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from shardweave.staging import drop, stage
+
 SPACE = "▁"
 WORD = rf"{SPACE}*[^{SPACE}\n]+|\n|{SPACE}+"
 #: Bounds: words in the broadcast dictionary, pieces of a model.
@@ -189,14 +191,38 @@ def word_ids(word: str, pieces: Pieces) -> tuple[int, ...]:
 
 
 def dictionary(df: DataFrame, pieces: Pieces, text: str = "text", size: int = DICTIONARY) -> dict[str, tuple[int, ...]]:
-    """Ids of the ``size`` most frequent words of all texts, by the relational lattice."""
+    """Ids of the most frequent words of all texts, ``size`` at most, by the relational lattice."""
     words = F.regexp_extract_all(marked(F.col(text)), F.lit(WORD), F.lit(0))
-    counts = df.select(F.explode(words).alias("word")).groupBy("word").count()
-    often = counts.orderBy(F.desc("count"), "word").limit(size).select("word")
-    got = lattice(often.repartition("word"), pieces).toArrow()
+    # A floor follows from small histograms, so that no task sorts all words.
+    counts = stage(df.select(F.explode(words).alias("word")).groupBy("word").agg(F.count("*").alias("n")), "piece-words")
+    often = counts.where(F.col("n") >= least_often(counts, size))
+    parts = 4 * df.sparkSession.sparkContext.defaultParallelism
+    got = lattice(often.select("word").repartition(parts, "word"), pieces).toArrow()
+    drop(counts)
     return {w: tuple(i) for w, i in zip(got.column("word").to_pylist(), got.column("ids").to_pylist(), strict=True)}
 
 
+def least_often(counts: DataFrame, size: int) -> int:
+    """The smallest ``n`` that no more than ``size`` words reach; counts by octave first, then inside the octave where it ends.
+
+    Words of equal count stay together, so the dictionary may be smaller than ``size``.
+    """
+    octave = F.floor(F.log2("n")).cast("int")
+    above = 0
+    for at, words in sorted(counts.groupBy(octave.alias("at")).count().collect(), reverse=True):  # 63 rows at most
+        if above + words > size:
+            # The octave below 2 ** (at + 1), in 1024 steps at most.
+            step = max(1, (1 << at) >> 10)
+            inside = counts.where(octave == at).groupBy(F.floor(F.col("n") / step).alias("at")).count().collect()
+            for low, more in sorted(inside, reverse=True):
+                if above + more > size:
+                    return (low + 1) * step
+                above += more
+            return 1 << at
+        above += words
+    return 1
+
+
 class Words(dict):
     """Ids of words as bytes; words that the dictionary lacks are encoded when asked for, and kept up to a bound."""
 
