@@ -257,3 +257,149 @@ def test_the_surface(spark, tmp_path):
         api.merge([parts[0]], 12)
     with pytest.raises(ValueError):
         api.merge([parts[0], api.GraphIndex(parts[1].edges, parts[1].vectors, "cosine")], 12)
+
+
+# --- ties ---
+
+
+def brute(x, ids, k, metric="l2"):
+    out = {}
+    for i, a in zip(ids, x, strict=True):
+        d = distance.rows(metric, np.repeat(a[None], len(x), 0), x)
+        out[i] = sorted((float(w), int(j)) for w, j in zip(d, ids, strict=True) if j != i)[:k]
+    return out
+
+
+@pytest.mark.parametrize("form", ["twins", "grid", "offset"])
+def test_exact_neighbours_under_ties(spark, form):
+    rng = np.random.default_rng(3)
+    x = {"twins": np.zeros((400, 3)) + 0.1, "grid": rng.integers(0, 3, (500, 3)).astype(float), "offset": rng.integers(0, 3, (300, 3)) + 1e4}[form]
+    v = stage(spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(x)], "vec_id long, x array<double>"))
+    want = [(i, j) for i, near in brute(x, range(len(x)), 5).items() for _, j in near]
+    assert sorted(want) == pairs(exact.graph(v, 5))
+    few = exact.knn(v, v, 5, exclude_self=True, block=70)
+    assert pairs(few, "q_id", "vec_id") == sorted(want) and "Union" not in few._jdf.queryExecution().toString()
+
+
+def test_range_search_in_blocks(spark):
+    x = np.random.default_rng(4).integers(0, 4, (200, 2)).astype(float)
+    v = stage(spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(x)], "vec_id long, x array<double>"))
+    want = sorted((i, j) for i in range(200) for j in range(200) if np.sqrt(((x[i] - x[j]) ** 2).sum()) <= 1.0)
+    assert pairs(exact.within(v, v, 1.0, block=30), "q_id", "vec_id") == want == pairs(exact.within(v, v, 1.0), "q_id", "vec_id")
+
+
+# --- searches ---
+
+
+@pytest.fixture(scope="module")
+def halves(spark):
+    v = stage(idmap.by_modulus(tables.vectors(spark, SF).where("vec_id < 160"), 2))
+    return v, stage(exact.graph(v, 6, scope="same").select("src", "dst", "dist")), stage(search.medoids(v))
+
+
+def test_a_shard_has_several_tasks(spark, halves):
+    v, own, entries = halves
+    rows = lambda df: sorted(map(tuple, df.select("src", "dst", "ndc").collect()))
+    one = rows(lift.cross(own, v, entries, 4, spread=1))
+    assert rows(lift.cross(own, v, entries, 4, spread=5)) == one == rows(lift.cross(own, v, entries, 4))
+    assert rows(lift.cross(own, v, entries, 4, mode="frontier")) == one
+    plan = lift.cross(own, v, entries, 4, spread=5)._jdf.queryExecution().toString()
+    assert "salt" in plan
+
+
+def test_triangles_and_width_keep_results(spark, halves):
+    v, own, entries = halves
+    plain, tri, wide = (lift.cross(own, v, entries, 6, **how) for how in ({}, {"tri": True}, {"width": 3}))
+    assert pairs(plain) == pairs(tri)
+    ndc = lambda df: df.agg(F.sum("ndc")).first()[0]
+    assert ndc(tri) <= ndc(plain)
+    other = lift.cross(own, v, entries, 6, mode="frontier", width=3)
+    assert pairs(wide) == pairs(other) and ndc(wide) == ndc(other)
+    with pytest.raises(ValueError):
+        search.resident(own, v, v, entries, 4, 4, "cosine", tri=True)
+
+
+# --- refinement ---
+
+
+@pytest.mark.parametrize("scope", ["cross", "all"])
+def test_hubs_are_split(spark, halves, scope):
+    v, own, _ = halves
+    start = stage(lift.run(own, lift.random_cross(v, 4), 6).select("src", "dst", "dist").withColumn("is_new", F.lit(True)))
+    origin = v.select("vec_id", "part")
+    whole, split = (stage(refine.offers(start, v, origin, 6, scope, hub=h)) for h in (10_000, 4))
+    found = lambda df: sorted(set(pairs(df.where("src is not null"))))
+    assert found(whole) == found(split)
+    assert whole.agg(F.sum("tried")).first()[0] == split.agg(F.sum("tried")).first()[0] >= refine.pairs(start, origin, scope).count()
+    assert pairs(refine.absorb(start, whole, 6)) == pairs(refine.absorb(start, split, 6))
+
+
+def test_no_silent_change_of_method(spark, halves, monkeypatch):
+    v, own, _ = halves
+    monkeypatch.setattr(refine, "SWEEP_LIMIT", 10)
+    with pytest.raises(ValueError):
+        refine.run(own, v, v.select("vec_id", "part"), 6, mode="sweep")
+    slim = own.where("src < 60 and dst < 60")
+    with pytest.raises(ValueError):
+        refine.repaired(slim.unionByName(own.where("src >= 60 and dst < 40")), v, limit=1)
+    monkeypatch.setattr(tower, "EXACT_LIMIT", 1)
+    with pytest.raises(ValueError):
+        tower.rebuild(v.select("vec_id", "x"), 2)
+
+
+def test_sweeps_repair_inside(spark):
+    """Two lines of neighbours that nobody at the end points to: after every sweep the orphans have an in-edge."""
+    x = np.array([[0.0], [1.0], [2.0], [3.0], [50.0]])
+    lists = [[[1.0, 1, False, False], [2.0, 2, False, False]], [[1.0, 0, False, False], [1.0, 2, False, False]], [[1.0, 1, False, False], [1.0, 3, False, False]], [[1.0, 2, False, False], [2.0, 1, False, False]], [[47.0, 3, False, False], [48.0, 2, False, False]]]
+    off = [[list(e) for e in row] for row in lists]
+    refine.sweep(x, np.zeros(5, int), off, 2, 1, "cross", "l2", 0.0, "id", "off")
+    refine.sweep(x, np.zeros(5, int), lists, 2, 1, "cross", "l2", 0.0, "id", "every")
+    assert not any(e[1] == 4 for row in off for e in row) and any(e[1] == 4 for row in lists for e in row)
+    assert [len(r) for r in lists] == [2] * 5
+
+
+# --- maps, layers, measures, baselines ---
+
+
+def test_a_merge_under_a_map(spark):
+    base = tables.vectors(spark, SF).where("vec_id < 150")
+    v = stage(idmap.full_and_subset(base, 3))
+    built = stage(builders.build(v, "vamana", degree=8)).where("layer = 0").select("src", "dst", "dist", F.col("index_id").alias("part"))
+    members = v.select(F.col("part").alias("index_id"), F.col("vec_id").alias("local_id"), F.col("vec_id").alias("key"), F.col("part").alias("ts"))
+    newest = fuse.merge(built, v, 8, mapped=idmap.build(members, "newest"), pool=16).edges
+    assert {r["src"] for r in newest.collect()} == set(range(150)) and newest.where("src = dst").count() == 0
+    kept = idmap.build(members.withColumn("global_id", F.col("local_id") + 1000), "explicit", F.col("local_id") % 3 != 0)
+    left = fuse.merge(built, v, 8, mapped=kept, pool=16, storage="cache").edges
+    assert {r["src"] for r in left.collect()} | {r["dst"] for r in left.collect()} == {i + 1000 for i in range(150) if i % 3}
+
+
+def test_layers_by_insertion(spark):
+    v = stage(tables.vectors(spark, SF))
+    got = tower.rebuild(v, 4, seed=1, mode="insert")
+    by = {r["layer"]: (r["n"], r["d"]) for r in got.groupBy("layer", "src").count().groupBy("layer").agg(F.count("*").alias("n"), F.max("count").alias("d")).collect()}
+    assert sorted(by) == list(range(1, max(by) + 1)) and all(by[i][0] >= by[i + 1][0] for i in range(1, max(by))) and max(d for _, d in by.values()) <= 4
+
+
+def test_components_by_colours(spark):
+    rng = np.random.default_rng(5)
+    edges = [(int(a), int(b)) for a, b in rng.integers(0, 40, (70, 2)) if a != b]
+    e = stage(spark.createDataFrame(edges, "src long, dst long"))
+    v = spark.range(40).select(F.col("id").alias("vec_id"))
+    assert quality.strong_components(e, v, limit=0).first()[0] == quality.strong_components(e, v).first()[0]
+
+
+def test_objective_and_stored_size(spark, tmp_path):
+    row = quality.objective(spark, 100, 40, 5.0, 0.9).first()
+    assert (row["saved"], row["speedup"]) == (60, 2.5)
+    spark.range(100).write.parquet(str(tmp_path / "p"))
+    assert quality.stored(spark, str(tmp_path / "p")).first()["n_bytes"] == sum(f.stat().st_size for f in (tmp_path / "p").glob("*.parquet"))
+
+
+def test_stored_baselines(spark, halves):
+    v, own, _ = halves
+    gone = spark.createDataFrame([(2,), (5,)], "vec_id long")
+    edges, cost = baselines.fresh_scans(own, v, 8, 30, deleted=gone)
+    ends = {r["src"] for r in edges.collect()} | {r["dst"] for r in edges.collect()}
+    assert ends == set(range(160)) - {2, 5} and cost > 0 and edges.groupBy("src").count().agg(F.max("count")).first()[0] <= 8
+    doubled, _ = baselines.parallel_doubling(v, 8, 30)
+    assert doubled.select("src").distinct().count() == 160
