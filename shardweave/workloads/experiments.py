@@ -154,7 +154,7 @@ def rebuild_curve(kind: str):
         rows = []
         for k in DEGREES:
             how = {"degree": k, "m": k // 2, "k": k} | REBUILT[kind]
-            b = Bench(spark, sf_dir, 2, kind, k=k, **how)
+            b = Bench(spark, sf_dir, 2, kind, k=k, **REBUILT[kind])
             edges, cost, _ = b.merged()
             rows += b.measured("merge", edges, cost, (200,), setting=f"{kind} k={k}")
             again = stage(baselines.rebuild(b.base, kind, **how), "again")
