@@ -254,7 +254,9 @@ def one_of(df: DataFrame, marked: DataFrame, member: DataFrame, least: DataFrame
     digest, of, root = unused(df, "_digest", "_of", "_root")
     said = F.xxhash64(F.coalesce(F.col(text), F.lit("")))
     own = F.col(id_col).cast("long")
-    placed = marked.where("id is not null").join(member.select("fp", "root"), "fp")
+    # Only ids with several fingerprints need their classes; a join of all rows would send a group of copies to one task.
+    several = marked.where("id is not null").groupBy("id").agg(F.min("fp").alias("low"), F.max("fp").alias("high")).where("low <> high").select("id")
+    placed = marked.join(several, "id", "left_semi").select("id", "fp").distinct().join(member.select("fp", "root"), "fp")
     mixed = stage(placed.groupBy("id").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select(F.col("id").alias("component_id")), "mixed-ids")
     first = least.where("component_id is not null")
     # Join and deduplication share the partitioning by id.
