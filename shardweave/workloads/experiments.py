@@ -7,6 +7,7 @@ searches and the comparisons that its selection makes. Building the inputs count
 
 from __future__ import annotations
 
+import time
 from collections.abc import Iterable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -235,6 +236,33 @@ def fresh_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     return report(spark, rows + b.measured("parallel_doubling", *baselines.parallel_doubling(b.base, K)), "halves")
 
 
+#: Numbers of tasks that the runs by number of tasks allow at once.
+TASKS = (2, 4, 8)
+
+
+def tasks_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The merge of halves against batches of doubling size searched in parallel, by the number of tasks that a shuffle makes.
+
+    Seconds are of this session and its cores; more tasks than cores change nothing. Distances and recall stay the same.
+    """
+    b = Bench(spark, sf_dir, 2, "vamana")
+    name = "spark.sql.shuffle.partitions"
+    before = spark.conf.get(name)
+    out = []
+    try:
+        for n in TASKS:
+            spark.conf.set(name, str(n))
+            for method, run in (("merge", lambda: b.merged()[:2]), ("parallel_doubling", lambda: baselines.parallel_doubling(b.base, K))):
+                began = time.perf_counter()
+                edges, cost = run()
+                spent = time.perf_counter() - began
+                recall = float(quality.recall(b.answers(edges), b.truth, ASK).first()["recall"])
+                out.append((n, method, recall, int(cost), spent))
+    finally:
+        spark.conf.set(name, before)
+    return spark.createDataFrame(out, "tasks int, method string, recall double, merge_ndc long, seconds double")
+
+
 def consolidation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Vectors on nodes by the nation of a customer, an index a node; the nodes of each region are merged to one index."""
     customer, nation, region = (tables.table(spark, sf_dir, t) for t in ("customer", "nation", "region"))
@@ -440,5 +468,5 @@ QUERIES = {
     "heterogeneous": heterogeneous, "tower_layers": tower_layers, "beam_modes": beam_modes, "merge_tree": merge_tree,
     "method_curve": method_curve, "growth": growth("blend", (1, 2, 4)), "growth_twins": growth("twins", (2,)), "growth_vamana": growth("blend", (1, 2), "vamana"),
     "delete_merge": changed_merge("delete"), "overlap_merge": changed_merge("overlap"), "composition_built": composition_built, "merge_objective": merge_objective,
-    "fresh_table": fresh_table, "consolidation": consolidation, "probe_options": probe_options, "layered_search": layered_search, "hub_sketch": hub_sketch, "document_overlap": document_overlap,
+    "fresh_table": fresh_table, "tasks_curve": tasks_curve, "consolidation": consolidation, "probe_options": probe_options, "layered_search": layered_search, "hub_sketch": hub_sketch, "document_overlap": document_overlap,
 }
