@@ -1,6 +1,7 @@
 """The hand-computed fixtures, invariants, and bad inputs of the core."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -403,3 +404,28 @@ def test_stored_baselines(spark, halves):
     assert ends == set(range(160)) - {2, 5} and cost > 0 and edges.groupBy("src").count().agg(F.max("count")).first()[0] <= 8
     doubled, _ = baselines.parallel_doubling(v, 8, 30)
     assert doubled.select("src").distinct().count() == 160
+
+
+def test_pool_of_a_whole_shard_is_searched_exactly(spark):
+    rng = np.random.default_rng(5)
+    x, far = rng.normal(size=(60, 6)), np.arange(60)
+    # Vertices from 40 on can't be reached from the others; twins at one place go by id.
+    x[3] = x[30]
+    src = np.repeat(far, 3)
+    dst = np.where(src < 40, rng.integers(0, 40, 180), rng.integers(0, 60, 180))
+    own = search.Shard(far * 2, x, src * 2, dst * 2, "l2")
+    q, ids = rng.normal(size=(7, 6)), np.arange(100, 107)
+    shape = [("q_id", pa.int64()), ("index_id", pa.int32()), ("rank", pa.int32()), ("vec_id", pa.int64()), ("dist", pa.float64()), ("ndc", pa.int64()), ("hops", pa.int32())]
+    entry = np.array([0, 0, 5, 0, 45, 45, 0])
+    got = own.exhausted(ids, q, entry, 5, 1, shape).to_pylist()
+    want = []
+    for i in range(7):
+        pool, ndc, hops = own.beam(q[i], int(entry[i]), 60)
+        want += [{"q_id": int(ids[i]), "index_id": 1, "rank": r + 1, "vec_id": int(own.ids[v]), "dist": d, "ndc": ndc, "hops": hops} for r, (d, v) in enumerate(pool[:5])]
+    key = lambda r: (r["q_id"], r["rank"])
+    assert sorted(got, key=key) == sorted(want, key=key)
+    v = stage(spark.createDataFrame([(i, x[i].tolist(), i % 2) for i in range(60)], "vec_id long, x array<double>, part int"), "vectors")
+    near = stage(exact.graph(v, 4, scope="same"), "near")
+    entries = stage(search.lowest(v), "entries")
+    found = {mode: lift.cross(near, v, entries, 60, mode=mode, keep=3).orderBy("src", "dst").collect() for mode in ("resident", "frontier")}
+    assert found["resident"] == found["frontier"] and len(found["resident"]) == 180
