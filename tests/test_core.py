@@ -11,6 +11,7 @@ from shardweave.operators import exact, idmap, lift, quality, refine, search, th
 from shardweave.plans import baselines, builders, fuse
 from shardweave.sources import store, tables
 from shardweave.staging import stage
+from shardweave.workloads import core
 
 SF = "/root/testdata/sf0.001"
 
@@ -429,3 +430,18 @@ def test_pool_of_a_whole_shard_is_searched_exactly(spark):
     entries = stage(search.lowest(v), "entries")
     found = {mode: lift.cross(near, v, entries, 60, mode=mode, keep=3).orderBy("src", "dst").collect() for mode in ("resident", "frontier")}
     assert found["resident"] == found["frontier"] and len(found["resident"]) == 180
+
+
+@pytest.fixture(scope="module")
+def few(spark, tmp_path_factory):
+    """A folder with 44 vectors of three dimensions."""
+    folder = str(tmp_path_factory.mktemp("few"))
+    x = np.random.default_rng(3).normal(size=(44, 3)).tolist()
+    spark.createDataFrame(list(enumerate(x)), "vec_id long, embedding array<float>").write.parquet(f"{folder}/embeddings.parquet")
+    return folder, np.array(x, np.float32).astype(float)
+
+
+def test_cost_model_takes_the_dimension_of_the_table(spark, few):
+    for row, h in zip(core.cost_model(spark, few[0]).orderBy("h").collect(), (2, 4), strict=True):
+        assert (row["n"], row["h"], row["dim"]) == (44, h, 3)
+        assert row["lift_cost"] == pytest.approx(h * (44 // h) ** (1 + 2 / 3) * np.log(44 // h) * 16, abs=1e-5)
