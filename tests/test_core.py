@@ -445,3 +445,13 @@ def test_cost_model_takes_the_dimension_of_the_table(spark, few):
     for row, h in zip(core.cost_model(spark, few[0]).orderBy("h").collect(), (2, 4), strict=True):
         assert (row["n"], row["h"], row["dim"]) == (44, h, 3)
         assert row["lift_cost"] == pytest.approx(h * (44 // h) ** (1 + 2 / 3) * np.log(44 // h) * 16, abs=1e-5)
+
+
+def test_curve_is_one_of_the_table(spark, few):
+    folder, x = few
+    ids = np.arange(44)
+    base, asked = ids[ids % 11 != 7], ids[ids % 11 == 7]
+    truth = np.array([base[np.argsort(np.linalg.norm(x[base] - x[q], axis=1), kind="stable")[:10]] for q in asked])
+    points = [((truth % 8 < p).mean(), (base % 8 < p).sum()) for p in range(1, 9)]
+    (a, n), (b, m) = next((s, t) for s, t in zip(points, points[1:], strict=False) if s[0] <= 0.97 < t[0])
+    assert core.curve_at_recall(spark, folder).collect() == [(0.97, pytest.approx(n + (0.97 - a) * (m - n) / (b - a), abs=1e-5))]
