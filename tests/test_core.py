@@ -455,3 +455,17 @@ def test_curve_is_one_of_the_table(spark, few):
     points = [((truth % 8 < p).mean(), (base % 8 < p).sum()) for p in range(1, 9)]
     (a, n), (b, m) = next((s, t) for s, t in zip(points, points[1:], strict=False) if s[0] <= 0.97 < t[0])
     assert core.curve_at_recall(spark, folder).collect() == [(0.97, pytest.approx(n + (0.97 - a) * (m - n) / (b - a), abs=1e-5))]
+
+
+def test_pools_follow_from_the_table(spark, few):
+    folder, x = few
+    far = np.linalg.norm(x[:, None] - x[None], axis=2)
+    np.fill_diagonal(far, np.inf)
+    near = np.argsort(far, axis=1, kind="stable")
+    want = {}
+    for h in range(2, 8):
+        for k in (8, 16, 32):
+            for m in (near[:, :k] % h == np.arange(44)[:, None] % h).sum(axis=1).tolist():
+                key = (h, k, m, lift.pool_size(k, h), lift.pool_size(k, h, m))
+                want[key] = want.get(key, 0) + 1
+    assert {tuple(r)[:5]: r["n"] for r in core.pool_size(spark, folder).collect()} == want
