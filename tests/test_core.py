@@ -1,5 +1,7 @@
 """The hand-computed fixtures, invariants, and bad inputs of the core."""
 
+import tracemalloc
+
 import numpy as np
 import pyarrow as pa
 import pytest
@@ -469,3 +471,26 @@ def test_pools_follow_from_the_table(spark, few):
                 key = (h, k, m, lift.pool_size(k, h), lift.pool_size(k, h, m))
                 want[key] = want.get(key, 0) + 1
     assert {tuple(r)[:5]: r["n"] for r in core.pool_size(spark, folder).collect()} == want
+
+
+def test_kernels_hold_no_table_of_all_pairs():
+    x = np.random.default_rng(2).normal(size=(900, 16))
+    far = np.linalg.norm(x - x[0], axis=1)
+    near = sorted(zip(far[1:].tolist(), range(1, 900), strict=True))
+    tracemalloc.start()
+    net = builders.Net(x)
+    kept = net.prune(near, 12, "alpha", 1.2)
+    pruned = tracemalloc.get_traced_memory()[1]
+    tracemalloc.reset_peak()
+    built = builders.nn_descent(net, 10)[0]
+    joined = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert pruned < 5 << 20 and joined < 30 << 20
+    want = []
+    for d, v in near:
+        if len(want) < 12 and not any(1.2 * np.linalg.norm(x[w] - x[v]) <= d for w in want):
+            want.append(v)
+    assert kept == want
+    truth = np.argsort(np.linalg.norm(x[:, None] - x[None], axis=2), axis=1)[:, 1:11]
+    assert np.mean([len(set(built[v]) & set(truth[v].tolist())) / 10 for v in range(900)]) > 0.85
+    assert all(far == sorted(far) for v, us in built.items() for far in [np.linalg.norm(x[us] - x[v], axis=1).tolist()])
