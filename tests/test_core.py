@@ -1,5 +1,6 @@
 """The hand-computed fixtures, invariants, and bad inputs of the core."""
 
+import threading
 import tracemalloc
 
 import numpy as np
@@ -13,7 +14,7 @@ from shardweave.operators import exact, idmap, lift, quality, refine, search, th
 from shardweave.plans import baselines, builders, fuse
 from shardweave.sources import store, tables
 from shardweave.staging import stage
-from shardweave.workloads import core
+from shardweave.workloads import core, experiments
 
 SF = "/root/testdata/sf0.001"
 
@@ -494,3 +495,11 @@ def test_kernels_hold_no_table_of_all_pairs():
     truth = np.argsort(np.linalg.norm(x[:, None] - x[None], axis=2), axis=1)[:, 1:11]
     assert np.mean([len(set(built[v]) & set(truth[v].tolist())) / 10 for v in range(900)]) > 0.85
     assert all(far == sorted(far) for v, us in built.items() for far in [np.linalg.norm(x[us] - x[v], axis=1).tolist()])
+
+
+def test_strategies_run_side_by_side(spark):
+    met = threading.Barrier(2, timeout=60)
+    assert experiments.together([lambda i=i: [(met.wait() >= 0, i)] for i in range(2)]) == [(True, 0), (True, 1)]
+    made = experiments.beside(lambda: met.wait() >= 0 and spark.range(3), "side")
+    met.wait()
+    assert made.result().count() == 3
