@@ -248,8 +248,7 @@ def shards_by_region(s: SparkSession, d: str) -> DataFrame:
 
 def part_neighbors(s: SparkSession, d: str) -> DataFrame:
     """Exact neighbours over numeric columns of ``part``; ties and twins go by id."""
-    v = tables.part_vectors(s, d)
-    return exact.knn(v, v, 5, exclude_self=True).withColumn("dist", F.round("dist", 6))
+    return exact.twin_knn(tables.part_vectors(s, d), 5).withColumn("dist", F.round("dist", 6))
 
 
 def order_shards(s: SparkSession, d: str) -> DataFrame:

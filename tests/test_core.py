@@ -14,7 +14,7 @@ from shardweave.operators import exact, idmap, lift, quality, refine, search, th
 from shardweave.plans import baselines, builders, fuse
 from shardweave.sources import store, tables
 from shardweave.staging import stage
-from shardweave.workloads import core, experiments
+from shardweave.workloads import core, experiments, relational
 
 SF = "/root/testdata/sf0.001"
 
@@ -503,3 +503,33 @@ def test_strategies_run_side_by_side(spark):
     made = experiments.beside(lambda: met.wait() >= 0 and spark.range(3), "side")
     met.wait()
     assert made.result().count() == 3
+
+
+def test_equal_vectors_are_measured_once(spark, monkeypatch):
+    """Ranks, ids and ties as in a plain search, though only distinct vectors meet."""
+    asked = []
+    plain = exact.knn
+    rng = np.random.default_rng(4)
+    places = [(int(i), float(x), 0) for i, x in zip(rng.permutation(600), rng.integers(0, 12, 600), strict=True)]
+    v = line(spark, [*places, (600, 40.0, 0), (601, 41.0, 0)])
+    monkeypatch.setattr(exact, "knn", lambda vectors, queries, *a, **how: asked.append((vectors.count(), queries.count())) or plain(vectors, queries, *a, **how))
+    for k in (1, 5, 70):
+        got = pairs(exact.twin_knn(v.select("vec_id", "x"), k), "q_id", "rank", "vec_id", "dist")
+        assert got == pairs(plain(v, v, k, exclude_self=True), "q_id", "rank", "vec_id", "dist")
+    monkeypatch.setattr(relational.tables, "part_vectors", lambda *_: v.select("vec_id", "x"))
+    assert relational.part_neighbors(spark, SF).count() == 602 * 5
+    assert asked == [(14, 14)] * 4
+
+
+@pytest.mark.parametrize("metric", ["l2", "cosine", "ip"])
+def test_a_task_gives_its_nearest_only(spark, monkeypatch, metric):
+    monkeypatch.setattr(exact, "ROWS", 16)
+    x = np.random.default_rng(5).integers(1, 4, (400, 3)).astype(float)
+    v = spark.createDataFrame([(i, x[i].tolist(), i % 3) for i in range(400)], "vec_id long, x array<float>, part int").coalesce(1)
+    pack = spark.sparkContext.broadcast(v.where("vec_id < 20").toArrow().combine_chunks())
+    assert exact._candidates(v, pack, 7, metric, True, "any").count() == 20 * 7
+    assert exact._candidates(v, pack, 7, metric, True, "other", True).count() == 20 * 7 * 2
+    got = pairs(exact.knn(v, v.where("vec_id < 20"), 7, metric, exclude_self=True), "q_id", "rank", "vec_id")
+    far = distance.rows(metric, x[:20, None, :], x[None, :, :])
+    far[np.arange(20), np.arange(20)] = np.inf
+    assert got == [(q, r + 1, int(v)) for q in range(20) for r, v in enumerate(np.lexsort((np.arange(400), far[q]))[:7])]
