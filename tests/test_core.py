@@ -533,3 +533,43 @@ def test_a_task_gives_its_nearest_only(spark, monkeypatch, metric):
     far = distance.rows(metric, x[:20, None, :], x[None, :, :])
     far[np.arange(20), np.arange(20)] = np.inf
     assert got == [(q, r + 1, int(v)) for q in range(20) for r, v in enumerate(np.lexsort((np.arange(400), far[q]))[:7])]
+
+
+@pytest.mark.parametrize("metric", ["l2", "ip"])
+def test_beams_in_step_find_what_single_ones_find(monkeypatch, metric):
+    monkeypatch.setattr(search, "WAVE", 7)
+    rng = np.random.default_rng(6)
+    for x in (rng.normal(size=(300, 6)), rng.integers(0, 3, (300, 3)).astype(float)):  # the second with many ties
+        src = np.repeat(np.arange(300), 6)
+        shard = search.Shard(np.arange(300), x, src, rng.integers(0, 300, len(src)), metric)  # some lists name a vertex twice
+        q = x[rng.choice(300, 40)] + 0.5
+        far, at, ndc, hops, visits = search.beams(shard.x, shard.links, q, np.full((40, 1), 9), 12, metric, True)
+        for i in range(40):
+            seen = []
+            pool, n, h = search.beam(shard.x, shard.neighbours, q[i], [9], 12, metric, seen)
+            assert [(d, v) for d, v in zip(far[i].tolist(), at[i].tolist(), strict=True) if v >= 0] == [(d, int(v)) for d, v in pool]
+            assert (n, h) == (ndc[i], hops[i]) and visits[1][visits[0] == i].tolist() == [v for _, v in seen]
+
+
+def test_batches_of_the_builder(monkeypatch):
+    """A batch of one vertex gives the sequential graph and count; larger ones a graph as good."""
+    x = np.random.default_rng(7).normal(size=(1700, 8))
+    few, want = builders.Net(x[:150]), builders.Net(x[:150])
+    to = builders.vamana(want, 8, 20)[0]
+    lists = builders.Lists(few, 8)
+    for v, us in builders._random(few, 8, 1).items():
+        lists.to[v, : len(us)] = us
+    for a in (1.0, 1.2):
+        for v in builders.mixed(150, 1):
+            lists.refit(np.array([v]), builders.medoid(few.x), 20, a)
+    assert [sorted(row[row >= 0].tolist()) for row in lists.to] == [sorted(to[v]) for v in range(150)] and few.ndc == want.ndc
+    recall = {}
+    for share in (100, 1 << 20):
+        monkeypatch.setattr(builders, "SHARE", share)
+        net = builders.Net(x)
+        to = builders.vamana(net, 12, 30)[0]
+        assert all(len(set(us)) == len(us) <= 12 and v not in us for v, us in to.items())
+        truth = np.argsort(np.linalg.norm(x[:, None] - x[None, :80], axis=2), axis=0)[1:11].T
+        found = [[u for _, u in search.beam(x, lambda v, to=to: to[v], x[q], [builders.medoid(x)], 40, "l2")[0]] for q in range(80)]
+        recall[share] = np.mean([len(set(f) & set(t.tolist())) / 10 for f, t in zip(found, truth, strict=True)])
+    assert recall[100] > recall[1 << 20] - 0.02
