@@ -573,3 +573,24 @@ def test_batches_of_the_builder(monkeypatch):
         found = [[u for _, u in search.beam(x, lambda v, to=to: to[v], x[q], [builders.medoid(x)], 40, "l2")[0]] for q in range(80)]
         recall[share] = np.mean([len(set(f) & set(t.tolist())) / 10 for f, t in zip(found, truth, strict=True)])
     assert recall[100] > recall[1 << 20] - 0.02
+
+
+def test_local_joins_in_blocks_give_the_same_graph(monkeypatch):
+    x = np.random.default_rng(8).normal(size=(700, 12))
+    whole = builders.Net(x)
+    want = builders.nn_descent(whole, 10)[0]
+    tracemalloc.start()
+    builders.nn_descent(builders.Net(x), 10)
+    most = tracemalloc.get_traced_memory()[1]
+    sizes, offered = [], builders._offered
+    monkeypatch.setattr(builders, "PAIRS", 256)
+    monkeypatch.setattr(builders, "OFFERS", 64)
+    monkeypatch.setattr(builders, "_offered", lambda *a: (sizes.append(len(o)) or o for o in offered(*a)))
+    tracemalloc.reset_peak()
+    blocks = builders.Net(x)
+    got = builders.nn_descent(blocks, 10)[0]
+    least = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert got == want and blocks.ndc == whole.ndc == sum(sizes) + 700 * 10
+    # Smaller ends lie among the low ids, so the first blocks are up to twice the mean.
+    assert max(sizes) <= 2 * 256 * 64 and least < most / 2
