@@ -594,3 +594,41 @@ def test_local_joins_in_blocks_give_the_same_graph(monkeypatch):
     assert got == want and blocks.ndc == whole.ndc == sum(sizes) + 700 * 10
     # Smaller ends lie among the low ids, so the first blocks are up to twice the mean.
     assert max(sizes) <= 2 * 256 * 64 and least < most / 2
+
+
+def test_wide_beams_in_step_find_what_single_ones_find(monkeypatch):
+    monkeypatch.setattr(search, "WAVE", 7)
+    rng = np.random.default_rng(9)
+    for x in (rng.normal(size=(300, 6)), rng.integers(0, 3, (300, 3)).astype(float)):
+        src = np.repeat(np.arange(300), 6)
+        shard = search.Shard(np.arange(300), x, src, rng.integers(0, 300, len(src)), "l2")
+        q, starts = x[rng.choice(300, 40)] + 0.5, np.array([[9, -1, 4]] * 40)
+        far, at, ndc, hops, visits = search.beams(shard.x, shard.links, q, starts, 12, "l2", True, 4)
+        for i in range(40):
+            seen = []
+            pool, n, h = search.beam(shard.x, shard.neighbours, q[i], [9, 4], 12, "l2", seen, 4)
+            assert [(d, v) for d, v in zip(far[i].tolist(), at[i].tolist(), strict=True) if v >= 0] == [(d, int(v)) for d, v in pool]
+            assert (n, h) == (ndc[i], hops[i]) and visits[1][visits[0] == i].tolist() == [v for _, v in seen]
+
+
+@pytest.mark.parametrize("rule", thin.RULES)
+@pytest.mark.parametrize("scale", [1.0, 1e30, 1e-25])
+def test_lists_are_pruned_with_few_distances(monkeypatch, rule, scale):
+    """Products of rounded vectors decide nearly all pairs; kept neighbours and counts are those of one list at a time."""
+    rng = np.random.default_rng(10)
+    measured, rows = [], distance.rows
+    for x, often in ((scale * rng.normal(size=(400, 16)), False), (scale * rng.integers(0, 3, (400, 4)), True)):  # the second with many ties
+        for cap, n in ((3, 60), (12, 60)):
+            one, many = builders.Net(x), builders.Net(x)
+            near = [one.sorted(v, rng.choice(400, n).tolist()) for v in range(50)]
+            ids, far = np.full((50, n), -1), np.full((50, n), np.inf)
+            for v, own in enumerate(near):
+                far[v, : len(own)], ids[v, : len(own)] = zip(*own, strict=True)
+            one.ndc = 0
+            want = [one.prune(own, cap, rule, 1.2, 0.1 * scale) for own in near]
+            with monkeypatch.context() as m:
+                m.setattr(distance, "rows", lambda metric, a, b: measured.append(len(a)) or rows(metric, a, b))
+                kept = builders.prune_many(many, ids, far, cap, rule, 1.2, 0.1 * scale)
+            assert [ids[v][kept[v]].tolist() for v in range(50)] == want and many.ndc == one.ndc
+            assert often or scale < 1 or sum(measured) < one.ndc / 10
+            measured.clear()
