@@ -632,3 +632,28 @@ def test_lists_are_pruned_with_few_distances(monkeypatch, rule, scale):
             assert [ids[v][kept[v]].tolist() for v in range(50)] == want and many.ndc == one.ndc
             assert often or scale < 1 or sum(measured) < one.ndc / 10
             measured.clear()
+
+
+def test_batches_of_layered_insertion(monkeypatch):
+    """Batches of one vertex give the graph and count of insertion one by one; larger ones a graph as good."""
+    x = np.random.default_rng(11).normal(size=(2400, 8))
+    one, few = builders.Layered(builders.Net(x[:300]), 6, 30, 1), builders.Layered(builders.Net(x[:300]), 6, 30, 1)
+    for v in range(300):
+        one.insert(v)
+    few.grow(np.arange(100))
+    monkeypatch.setattr(builders, "WIDTH", 1)
+    for v in range(100, 300):
+        few.insert_many(np.array([v]))
+    sets = lambda layers: {at: {v: sorted(us) for v, us in to.items()} for at, to in layers.items()}
+    assert sets(few.built()) == sets(one.layers) and few.net.ndc == one.net.ndc and (few.entry, few.top) == (one.entry, one.top)
+    monkeypatch.undo()
+    recall, sizes, insert_many = {}, [], builders.Layered.insert_many
+    monkeypatch.setattr(builders.Layered, "insert_many", lambda self, some, ef=None: sizes.append(len(some)) or insert_many(self, some, ef))
+    for share in (100, 1 << 20):
+        monkeypatch.setattr(builders, "SHARE", share)
+        to = builders.hnsw(builders.Net(x), 8, 40)[0]
+        assert len(to) == 2400 and all(len(set(us)) == len(us) <= 16 and v not in us for v, us in to.items())
+        truth = np.argsort(np.linalg.norm(x[:, None] - x[None, :80], axis=2), axis=0)[1:11].T
+        found = [[u for _, u in search.beam(x, lambda v, to=to: to[v], x[q], [builders.medoid(x)], 40, "l2")[0]] for q in range(80)]
+        recall[share] = np.mean([len(set(f) & set(t.tolist())) / 10 for f, t in zip(found, truth, strict=True)])
+    assert recall[100] > recall[1 << 20] - 0.02 and sum(sizes) == 800 and max(sizes) > 30
