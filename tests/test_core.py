@@ -657,3 +657,11 @@ def test_batches_of_layered_insertion(monkeypatch):
         found = [[u for _, u in search.beam(x, lambda v, to=to: to[v], x[q], [builders.medoid(x)], 40, "l2")[0]] for q in range(80)]
         recall[share] = np.mean([len(set(f) & set(t.tolist())) / 10 for f, t in zip(found, truth, strict=True)])
     assert recall[100] > recall[1 << 20] - 0.02 and sum(sizes) == 800 and max(sizes) > 30
+
+
+def test_benches_share_their_questions(spark, monkeypatch):
+    """The exact answers don't depend on the split, so several merges of one base need them once."""
+    asked, knn = [], exact.knn
+    monkeypatch.setattr(exact, "knn", lambda *a, **how: asked.append(1) or knn(*a, **how))
+    rows = experiments.heterogeneous(spark, SF).collect()
+    assert len(asked) == 1 and [r["setting"] for r in rows] == ["vamana+hnsw", "7:1"] and all(r["recall"] > 0.9 for r in rows)
