@@ -665,3 +665,13 @@ def test_benches_share_their_questions(spark, monkeypatch):
     monkeypatch.setattr(exact, "knn", lambda *a, **how: asked.append(1) or knn(*a, **how))
     rows = experiments.heterogeneous(spark, SF).collect()
     assert len(asked) == 1 and [r["setting"] for r in rows] == ["vamana+hnsw", "7:1"] and all(r["recall"] > 0.9 for r in rows)
+
+
+def test_in_edges_are_counted_once_a_repair(spark, monkeypatch):
+    v = tables.vectors(spark, SF)
+    edges = stage(exact.graph(v, 2).select("src", "dst", "dist"), "few")
+    want = pairs(refine.repaired(edges, v))
+    labels, kept = [], refine.stage
+    monkeypatch.setattr(refine, "stage", lambda df, label: labels.append(label) or kept(df, label))
+    assert pairs(refine._kept_or_repaired(edges, v, "exact")) == want and want != pairs(exact.graph(v, 2))
+    assert labels == ["repair-degree", "repair-around", "repair", "refine"]
