@@ -675,3 +675,22 @@ def test_in_edges_are_counted_once_a_repair(spark, monkeypatch):
     monkeypatch.setattr(refine, "stage", lambda df, label: labels.append(label) or kept(df, label))
     assert pairs(refine._kept_or_repaired(edges, v, "exact")) == want and want != pairs(exact.graph(v, 2))
     assert labels == ["repair-degree", "repair-around", "repair", "refine"]
+
+
+@pytest.mark.parametrize("scope", ["cross", "all"])
+def test_pools_share_vectors_in_groups(spark, halves, scope):
+    """Groups of pools offer the same and count the same, however many there are; what several pools of a group find leaves it once."""
+    v, own, _ = halves
+    start = stage(lift.run(own, lift.random_cross(v, 4), 6).select("src", "dst", "dist").withColumn("is_new", F.expr("dst % 3 <> 0")))
+    origin = v.select("vec_id", "part")
+    want, tried = None, None
+    for groups in (1, 3, 40):  # the last more than a list is long
+        got = stage(refine.offers(start, v, origin, 6, scope, groups=groups))
+        found = pairs(got.where("src is not null"))
+        assert groups > 1 or len(found) == len(set(found))
+        n = got.agg(F.sum("tried")).first()[0]
+        want, tried = want or set(found), tried or n
+        assert set(found) == want and n == tried >= refine.pairs(start, origin, scope).count() > 0
+    labels = refine.even_labels(spark, 9)
+    dealt = spark.createDataFrame([(n,) for n in labels], "id int").select((F.pmod(F.hash("id"), F.lit(4))).alias("task")).groupBy("task").count().collect()
+    assert len(set(labels)) == 9 and sorted(r["count"] for r in dealt) == [2, 2, 2, 3]
