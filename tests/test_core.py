@@ -694,3 +694,23 @@ def test_pools_share_vectors_in_groups(spark, halves, scope):
     labels = refine.even_labels(spark, 9)
     dealt = spark.createDataFrame([(n,) for n in labels], "id int").select((F.pmod(F.hash("id"), F.lit(4))).alias("task")).groupBy("task").count().collect()
     assert len(set(labels)) == 9 and sorted(r["count"] for r in dealt) == [2, 2, 2, 3]
+
+
+@pytest.mark.parametrize("scale", [1.0, 1e30, 1e-25])
+def test_rounded_vectors_tell_what_is_too_far(monkeypatch, scale):
+    """Searches in step measure few of the vectors they meet in full, and find and count the same."""
+    rng = np.random.default_rng(12)
+    sizes, measure = [], search.measure
+    monkeypatch.setattr(search, "measure", lambda metric, a, b: sizes.append(len(a)) or measure(metric, a, b))
+    for x, often in ((scale * rng.normal(size=(900, 12)), False), (scale * rng.integers(0, 3, (900, 4)), True)):  # the second with many ties
+        src = np.repeat(np.arange(900), 8)
+        shard = search.Shard(np.arange(900), x, src, rng.integers(0, 900, len(src)), "l2")
+        q, starts = x[:60] + 0.3 * scale, np.full((60, 1), 5)
+        with np.errstate(over="ignore"):
+            single = x.astype(np.float32)
+        one, whole = search.beams(shard.x, shard.links, q, starts, 12, "l2", True, 4), sum(sizes)
+        sizes.clear()
+        two, few = search.beams(shard.x, shard.links, q, starts, 12, "l2", True, 4, single), sum(sizes)
+        sizes.clear()
+        assert all((a == b).all() for a, b in zip((*one[:4], *one[4]), (*two[:4], *two[4]), strict=True))
+        assert often or scale != 1 or few < whole / 2
