@@ -714,3 +714,18 @@ def test_rounded_vectors_tell_what_is_too_far(monkeypatch, scale):
         sizes.clear()
         assert all((a == b).all() for a, b in zip((*one[:4], *one[4]), (*two[:4], *two[4]), strict=True))
         assert often or scale != 1 or few < whole / 2
+
+
+def test_parts_are_built_in_tasks_of_their_own(spark):
+    """As many parts as a shuffle has tasks don't wait for each other; of more, several go through one task."""
+    v = tables.vectors(spark, SF)
+    for h in (4, 9):
+        split = v.withColumn("part", F.pmod("vec_id", F.lit(h)).cast("int"))
+        with_ids = builders.build(split, "random", degree=3).select("index_id", F.col("src") % h, F.col("dst") % h).distinct().collect()
+        assert sorted(tuple(r) for r in with_ids) == [(p, p, p) for p in range(h)]
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        four = builders.build(v.withColumn("part", F.pmod("vec_id", F.lit(4)).cast("int")), "random", degree=3)
+        assert four.select(F.spark_partition_id().alias("task"), "index_id").distinct().groupBy("task").count().agg(F.count("*")).first()[0] == 4
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", "true")
