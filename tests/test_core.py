@@ -729,3 +729,18 @@ def test_parts_are_built_in_tasks_of_their_own(spark):
         assert four.select(F.spark_partition_id().alias("task"), "index_id").distinct().groupBy("task").count().agg(F.count("*")).first()[0] == 4
     finally:
         spark.conf.set("spark.sql.adaptive.enabled", "true")
+
+
+def test_free_places_of_a_pool_name_no_vertex():
+    """Searches in step with a pool larger than what they reach find that, as one by one, and nothing that isn't there."""
+    rng = np.random.default_rng(3)
+    for n in (90, 200, 310, 400):
+        x, src = rng.normal(size=(n, 6)), np.repeat(np.arange(n), 30)
+        shard = search.Shard(np.arange(n), x, src, rng.integers(0, n, len(src)), "l2")
+        q, starts = rng.normal(size=(20, 6)), rng.integers(0, n, (20, 1))
+        far, at, ndc, hops, _ = search.beams(x, shard.links, q, starts, 500, "l2", width=4)
+        assert at.max() < n and ((at < 0) == np.isinf(far)).all()
+        for i in range(20):
+            pool, n_measured, n_expanded = shard.beam(q[i], int(starts[i, 0]), 500, 4)
+            assert [v for _, v in pool] == at[i, : len(pool)].tolist() and (at[i, len(pool) :] == -1).all()
+            assert (n_measured, n_expanded) == (ndc[i], hops[i])
