@@ -744,3 +744,44 @@ def test_free_places_of_a_pool_name_no_vertex():
             pool, n_measured, n_expanded = shard.beam(q[i], int(starts[i, 0]), 500, 4)
             assert [v for _, v in pool] == at[i, : len(pool)].tolist() and (at[i, len(pool) :] == -1).all()
             assert (n_measured, n_expanded) == (ndc[i], hops[i])
+
+
+def test_exact_repair_takes_what_it_needs(spark, monkeypatch):
+    """Orphans are settled in turn as over their whole surroundings, of which one task gets a small share."""
+
+    def in_turn(edges):
+        lists, indeg, lost = {}, {}, []
+        for s, d, w in edges:
+            lists.setdefault(s, []).append([w, d, False])
+            indeg[d] = indeg.get(d, 0) + 1
+        lost = [s for s in sorted(lists) if s not in indeg]
+        around = sum(len(lists[v]) for v in {e[1] for s in lost for e in lists[s]} | set(lost))
+        for row in lists.values():
+            row.sort()
+        for orphan in lost:
+            for w, v, _ in list(lists[orphan]):
+                victim = next((e for e in reversed(lists[v]) if not e[2] and indeg[e[1]] > 1), None)
+                if victim:
+                    indeg[victim[1]] -= 1
+                    victim[:] = [w, orphan, True]
+                    lists[v].sort()
+                    break
+        return sorted((s, e[1]) for s, row in lists.items() for e in row), len(lost), around
+
+    rng = np.random.default_rng(5)
+    sent, settle = [], refine._settle
+    monkeypatch.setattr(refine, "stage", lambda df, label, kept=refine.stage: (sent.append(df.count()) if label == "repair-around" else None) or kept(df, label))
+    # Targets that some are more often than others, and forty that all point to, whose lists run out.
+    for power, most in ((6, 0.7), (None, 1.1)):
+        to = lambda v: {u for u in (400 * rng.random(12) ** power if power else rng.integers(0, 40, 12)).astype(int).tolist() if u != v}  # noqa: B023, E731
+        edges = sorted({(v, u, float(rng.integers(1, 50))) for v in range(400) for u in to(v)})
+        want, lost, around = in_turn(edges)
+        assert lost > 9
+        e = stage(spark.createDataFrame(edges, "src long, dst long, dist double"))
+        v = spark.range(400).select(F.col("id").alias("vec_id"))
+        for near, spare in ((1, 1), (4, 4)):
+            monkeypatch.setattr(refine, "NEAR", near)
+            monkeypatch.setattr(refine, "SPARE", spare)
+            sent.clear()
+            assert pairs(refine.repaired(e, v)) == want
+            assert most > 1 or max(sent) < most * around, (sent, around)
