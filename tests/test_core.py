@@ -785,3 +785,34 @@ def test_exact_repair_takes_what_it_needs(spark, monkeypatch):
             sent.clear()
             assert pairs(refine.repaired(e, v)) == want
             assert most > 1 or max(sent) < most * around, (sent, around)
+
+
+def test_batch_insertion_searches_in_step(monkeypatch):
+    """All searches of a batch run on the graph without it: edges and distances as one by one, deleted vertices too."""
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(260, 8))
+    graph = builders.vamana(builders.Net(x[:150]), degree=8)[0]
+    for dead in (set(), {3, 40, 200}):
+        want, got = (builders.Net(x) for _ in range(2))
+        for net in (want, got):
+            net.to = {v: list(us) for v, us in graph.items()}
+        new = [v for v in range(150, 260) if v not in dead]
+        for v in list(want.to):
+            if v not in dead and any(u in dead for u in want.to[v]):
+                wide = [u for u in want.to[v] if u not in dead] + [w for u in want.to[v] if u in dead for w in want.to[u] if w not in dead]
+                want.to[v] = want.prune(want.sorted(v, wide), 8, "alpha", 1.2)
+        want.to = {v: us for v, us in want.to.items() if v not in dead}
+        alive = sorted(want.to)
+        back = {}
+        for v in new:
+            seen = []
+            want.search(v, [alive[builders.medoid(x[alive])]], 20, seen)
+            back[v] = want.prune(want.sorted(v, [u for _, u in seen]), 8, "alpha", 1.2)
+        want.to |= back
+        for u in alive:
+            both = list(dict.fromkeys(want.to[u] + [v for v, us in back.items() if u in us]))
+            want.to[u] = both if len(both) <= 8 else want.prune(want.sorted(u, both), 8, "alpha", 1.2)
+        with monkeypatch.context() as m:
+            m.setattr(builders.Net, "search", None)
+            baselines.insert_frozen(got, new, dead, 8, 20, 1.2)
+        assert {v: sorted(us) for v, us in got.to.items()} == {v: sorted(us) for v, us in want.to.items()} and got.ndc == want.ndc
