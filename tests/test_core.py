@@ -816,3 +816,24 @@ def test_batch_insertion_searches_in_step(monkeypatch):
             m.setattr(builders.Net, "search", None)
             baselines.insert_frozen(got, new, dead, 8, 20, 1.2)
         assert {v: sorted(us) for v, us in got.to.items()} == {v: sorted(us) for v, us in want.to.items()} and got.ndc == want.ndc
+
+
+def test_probe_options_try_all_that_they_name(spark, monkeypatch):
+    """Foreign searches by joins, pruned, several vertices a round and routed, each in a merge of its own."""
+    tried = []
+
+    class Bench:
+        def __init__(self, *_, **__):
+            pass
+
+        def merged(self, **how):
+            tried.append(how)
+            return None, 0, {}
+
+        def measured(self, name, edges, cost, setting):
+            return [{"setting": setting, "method": name, "pool": 40, "ask": 10, "recall": 1.0, "search_ndc": 0.0, "hops": 0.0, "n_edges": 0, "merge_ndc": cost}]
+
+    monkeypatch.setattr(experiments, "Bench", Bench)
+    settings = [r["setting"] for r in experiments.probe_options(spark, SF).collect()]
+    assert len(settings) == len(tried) == len(set(settings)) and {"resident", "joins", "tri", "width 4", "reach 1"} <= set(settings)
+    assert all(how in tried for how in ({}, {"probe": "frontier"}, {"tri": True}, {"width": 4}, {"reach": 1}))
