@@ -837,3 +837,27 @@ def test_probe_options_try_all_that_they_name(spark, monkeypatch):
     settings = [r["setting"] for r in experiments.probe_options(spark, SF).collect()]
     assert len(settings) == len(tried) == len(set(settings)) and {"resident", "joins", "tri", "width 4", "reach 1"} <= set(settings)
     assert all(how in tried for how in ({}, {"probe": "frontier"}, {"tri": True}, {"width": 4}, {"reach": 1}))
+
+
+def test_tau_graph_searches_in_step(monkeypatch):
+    """Candidates come from searches of the frozen neighbour graph: lists and distances as one by one."""
+    rng = np.random.default_rng(6)
+    for x, tau in ((rng.normal(size=(500, 10)), 0.3), (rng.integers(0, 3, (300, 5)).astype(float), 0.4)):  # the second with twins
+        want = builders.Net(x)
+        builders.nn_descent(want, 8)
+        base, entry, out = want.to, builders.medoid(x), {}
+        for v in range(len(x)):
+            want.to = base
+            near = want.sorted(v, [u for _, u in want.search(v, [entry], 20)[:12]] + base[v])
+            always = [u for d, u in near if d <= 3 * tau]
+            out[v] = list(dict.fromkeys(always + want.prune(near, 8, "tau", tau=tau)))[:8]
+        to = {v: list(us) for v, us in out.items()}
+        for v, us in out.items():
+            for u in us:
+                if v not in to[u] and len(to[u]) < 16:
+                    to[u].append(v)
+        with monkeypatch.context() as m:
+            m.setattr(builders.Net, "search", None)
+            m.setattr(builders, "HELD", 64)
+            got = builders.Net(x)
+            assert builders.tau_graph(got, degree=8, size=20, h=12, tau=tau)[0] == to and got.ndc == want.ndc
